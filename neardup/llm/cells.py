@@ -36,7 +36,7 @@ def fit(vectors: DataFrame, k: int, seed: int = 0, rounds: int = 8) -> np.ndarra
     """``k`` unit centroids from the sample of ``vectors(id, vec)``; all vectors have the same length."""
     k = max(1, min(k, MOST))
     rows = (
-        vectors.select("vec", F.xxhash64("id", F.lit(seed)).alias("h")).orderBy("h").limit(min(SAMPLE, 40 * k)).select("vec").toPandas()
+        vectors.select("vec", F.xxhash64("id", F.lit(seed)).alias("h")).orderBy("h").limit(min(SAMPLE, 40 * k)).select("vec").toArrow().to_pandas()
     )
     x = unit(stacked(rows["vec"]))
     if len(x) <= k:

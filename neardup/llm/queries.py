@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from neardup.llm import ann, embed_dedup, mixing, pii, simhash, url_templates
+from neardup.llm import ann, chat, embed_dedup, mixing, pieces, pii, quality, simhash, toxicity, url_templates
 from neardup.sources.tables import table
 
 
@@ -28,18 +28,50 @@ def op10_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ann.nearest_of_every(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
 
 
+def op2_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pieces.encode(table(spark, sf_dir, "documents").select("doc_id", "text"), pieces.load())
+
+
 def op3_url_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     return url_templates.judge(pages, url_templates.labels_by_document(pages, table(spark, sf_dir, "labels")))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = toxicity.score(docs, toxicity.learn(docs, table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", toxicity.held_out().alias("held_out"), "score", "predicted", "evidence")
+
+
+def op5_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.format_turns(table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text"))
+
+
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    scorer, _ = quality.fit(docs)
+    return quality.score(docs, scorer)
+
+
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return found.select("doc_id", simhash.hex_fingerprint().alias("fingerprint"), "component_id")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_embedding_dedup, op3_url_templates, op7_simhash, op8_mixing, op9_pii, op10_ann)}
+    own = (
+        op1_embedding_dedup,
+        op2_sentencepiece,
+        op3_url_templates,
+        op4_toxicity,
+        op5_chat,
+        op6_quality,
+        op7_simhash,
+        op8_mixing,
+        op9_pii,
+        op10_ann,
+    )
+    return {f.__name__: f for f in own}
 
 
 def oracle_sql() -> dict[str, str]:
