@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
-MARK, UNKNOWN, CACHE = "▁", 10.0, 200_000
+MARK, UNKNOWN, CACHE, SLICE = "▁", 10.0, 500_000, 256
 #: Stands for a marker character of the text itself; no text and no piece can hold a lone surrogate.
 _LITERAL = "\udfff"
 
@@ -117,6 +117,11 @@ class DoubleArray:
                 self.check[place + code] = node
                 todo.append((place + code, a, b, depth + 1))
 
+        # Every cell that a step may look at exists; a leaf's steps end among the root's children, not its own.
+        room = int(self.base.max()) + 258 - len(self.check)
+        if room > 0:
+            self.base, self.check, self.value = (np.append(x, np.full(room, f, np.int32)) for x, f in ((self.base, 0), (self.check, -1), (self.value, -1)))
+
     def lists(self) -> tuple[list[int], list[int], list[int]]:
         return self.base.tolist(), self.check.tolist(), self.value.tolist()
 
@@ -142,13 +147,17 @@ class PieceModel:
 
     def _start(self):
         self.base, self.check, self.value = self.trie.lists()
-        self.cache: dict[str, tuple[int, ...]] = {}
-        names = {i: None for i in self.bytes.values()}
-        self.text = [names.get(i, p.replace(MARK, " ")) if kind in (1, 4, 6) else "" for i, (p, _, kind) in enumerate(self.pieces)]
+        self.cache: dict[str, bytes] = {}
+        # A byte below 128 is a character of its own; the others are gathered before they are decoded.
         self.byte_of = {i: b for b, i in self.bytes.items()}
+        self.text = [p.replace(MARK, " ") if kind in (1, 4) else "" for p, _, kind in self.pieces]
+        self.is_byte, self.gathered = np.zeros(len(self.pieces), bool), np.zeros(len(self.pieces), bool)
+        for b, i in self.bytes.items():
+            self.text[i] = chr(b) if b < 128 else None
+            self.is_byte[i], self.gathered[i] = True, b >= 128
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k not in ("base", "check", "value", "cache", "text", "byte_of")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("base", "check", "value", "cache", "text", "byte_of", "is_byte", "gathered")}
 
     def __setstate__(self, state):
         self.__dict__.update(state)
@@ -158,7 +167,7 @@ class PieceModel:
         """Ids of the best segmentation of one part (spaces already markers)."""
         data = part.encode("utf-8", "surrogatepass")
         base, check, value, score = self.base, self.check, self.value, self.score
-        n, limit = len(data), len(check)
+        n = len(data)
         total: list[float | None] = [None] * (n + 1)
         back: list[tuple[int, int]] = [(0, 0)] * (n + 1)
         total[0] = 0.0
@@ -171,7 +180,7 @@ class PieceModel:
             node, at, single = 0, s, False
             while at < n:
                 to = base[node] + data[at] + 1
-                if to >= limit or check[to] != node or not base[node]:
+                if check[to] != node:
                     break
                 node = to
                 at += 1
@@ -197,37 +206,39 @@ class PieceModel:
             at = s
         return tuple(reversed(out))
 
-    def encode(self, text: str | None) -> list[int]:
+    def encode(self, text: str | None) -> np.ndarray:
+        """Ids of a text (int32)."""
         if not text:
-            return []
+            return np.zeros(0, np.int32)
         marked = text.replace(MARK, _LITERAL).replace(" ", MARK)
-        out: list[int] = []
-        cache = self.cache
-        for part in self.parts.findall(MARK + marked if self.prefix else marked):
-            ids = cache.get(part)
-            if ids is None:
-                ids = self.best(part)
-                if len(part) <= 64:
-                    if len(cache) >= CACHE:
-                        cache.clear()
-                    cache[part] = ids
-            out += ids
+        parts = self.parts.findall(MARK + marked if self.prefix else marked)
+        new = set(parts).difference(self.cache)
+        if len(self.cache) + len(new) > CACHE:
+            self.cache.clear()
+            new = set(parts)
+        for part in new:
+            self.cache[part] = np.array(self.best(part), np.int32).tobytes()
+        out = np.frombuffer(b"".join(map(self.cache.__getitem__, parts)), np.int32)
+        for part in new:
+            if len(part) > 64:
+                del self.cache[part]
         return out
 
-    def decode(self, ids) -> str:
-        out, raw, text = [], bytearray(), self.text
-        for i in ids:
-            piece = text[i]
-            if piece is None:
-                raw.append(self.byte_of[i])
-                continue
-            if raw:
-                out.append(raw.decode("utf-8", "replace"))
-                raw.clear()
-            out.append(piece)
-        if raw:
-            out.append(raw.decode("utf-8", "replace"))
-        joined = "".join(out)
+    def decode(self, ids: np.ndarray) -> str:
+        """The text of ids."""
+        if not self.gathered[ids].any():
+            joined = "".join(map(self.text.__getitem__, ids.tolist()))
+        else:
+            out, raw = [], bytearray()
+            for i in ids.tolist():
+                if self.gathered[i]:
+                    raw.append(self.byte_of[i])
+                    continue
+                if raw:
+                    out.append(raw.decode("utf-8", "replace"))
+                    raw.clear()
+                out.append(self.text[i])
+            joined = "".join([*out, raw.decode("utf-8", "replace")])
         return joined[1:] if self.prefix and joined.startswith(" ") else joined
 
 
@@ -241,21 +252,26 @@ def encode(docs: DataFrame, model: PieceModel) -> DataFrame:
     """``doc_id, ids, n_pieces, n_byte_pieces, round_trip`` for each row of ``docs(doc_id, text)``."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    @F.pandas_udf("ids array<int>, n_pieces int, n_byte_pieces int, round_trip boolean")
-    def encoded(texts: pd.Series) -> pd.DataFrame:
+    def encoded(batches):
         m = shared.value
-        rows = [m.encode(t) for t in texts]
-        last = max(m.byte_of)
-        return pd.DataFrame(
-            {
-                "ids": [np.array(r, np.int32) for r in rows],
-                "n_pieces": [len(r) for r in rows],
-                "n_byte_pieces": [sum(i <= last and i in m.byte_of for i in r) for r in rows],
-                "round_trip": [m.decode(r) == (t or "") for r, t in zip(rows, texts, strict=True)],
-            }
-        )
-
-    return docs.select("doc_id", encoded("text").alias("e")).select("doc_id", "e.*")
+        for pdf in batches:
+            for s in range(0, len(pdf), SLICE):  # ids take several times the room of their text
+                part = pdf.iloc[s : s + SLICE]
+                rows = [m.encode(t) for t in part["text"]]
+                yield pd.DataFrame(
+                    {
+                        "doc_id": part["doc_id"].to_numpy(),
+                        "ids": rows,
+                        "n_pieces": [len(r) for r in rows],
+                        "n_byte_pieces": [int(m.is_byte[r].sum()) for r in rows],
+                        "round_trip": [m.decode(r) == (t or "") for r, t in zip(rows, part["text"], strict=True)],
+                    }
+                )
+
+    kind = dict(docs.dtypes)["doc_id"]
+    return docs.select("doc_id", "text").mapInPandas(
+        encoded, f"doc_id {kind}, ids array<int>, n_pieces int, n_byte_pieces int, round_trip boolean"
+    )
 
 
 def decode(encoded: DataFrame, model: PieceModel) -> DataFrame:
@@ -264,6 +280,6 @@ def decode(encoded: DataFrame, model: PieceModel) -> DataFrame:
 
     @F.pandas_udf("string")
     def text(ids: pd.Series) -> pd.Series:
-        return pd.Series([shared.value.decode(x) if x is not None else None for x in ids], dtype=object)
+        return pd.Series([shared.value.decode(np.asarray(x, np.int64)) if x is not None else None for x in ids], dtype=object)
 
     return encoded.select("doc_id", text("ids").alias("text"))
