@@ -1,23 +1,30 @@
 """SimHash near-dedup: byte-position inverted index with count filtering.
 
-Every text becomes 64 majority bits of its word-shingle hashes. A fingerprint is eight positional bytes;
-two fingerprints that differ in at most ``max_bits`` bits agree in at least ``8 - max_bits`` of them. The
-inverted index lists fingerprints under combinations of positional bytes, chosen so that every pair with
-that guaranteed number of matches meets in some list. Within a list the shared positional bytes of each
-pair are tallied, pairs that reach the guaranteed minimum are kept and verified by their differing bits.
-
-How many bytes a key combines grows with the number of distinct fingerprints, so that lists of unrelated
-fingerprints stay short; equal fingerprints are one entry. A list longer than ``BLOCK`` (a large group of
-near copies) is compared in blocks, one task a pair of blocks. A task returns no pairs but a forest that
-spans its links, at most one edge a fingerprint; components come from the distributed closure.
-
-Defined cases: a null text counts as empty, and an empty text has fingerprint zero, linked like any other;
-rows with a null id keep their fingerprint and get a null component; repeated rows stay and share their
+A fingerprint is a row of positional bytes. The inverted index lists fingerprints under combinations of
+positional bytes, chosen so that every pair with the guaranteed number of matching bytes meets in some list.
+Within a list the shared positional bytes of each pair are tallied, pairs that reach the guaranteed minimum
+are kept and verified by their differing bits.
+
+* ``near_duplicates`` uses 64 majority bits of word-shingle hashes: two fingerprints that differ in at most
+  ``max_bits`` bits agree in at least ``8 - max_bits`` bytes, so no link is missed.
+* ``similar_documents`` finds texts by similarity of their word shingles, estimated from 256 majority bits of
+  the distinct shingles. One changed word changes ``shingle`` shingles but one word, so the index is built on
+  256 bits of the distinct words: texts of similarity 0.8 over five words agree in ``MATCHES`` or more of
+  their 32 bytes (11 was the least among 2,100 such pairs of the given documents; unrelated ones: 2).
+
+Keys combine more bytes as the number of distinct fingerprints grows, so that lists of unrelated ones stay
+short; equal fingerprints are one entry. A list longer than ``BLOCK`` (a large group of near copies) is
+compared in blocks, one task a pair of blocks. A task returns no pairs but a forest that spans its links, at
+most one edge a fingerprint; components come from the distributed closure.
+
+Defined cases: a null text counts as empty; the empty text has fingerprint zero, linked like any other; rows
+with a null id keep their fingerprint and get a null component; repeated rows stay and share their
 component; extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import math
 from itertools import combinations
 
 import numpy as np
@@ -29,20 +36,24 @@ from neardup.llm.blocks import dense_roots, forest
 from neardup.operators.closure import components
 from neardup.sources.lineage import drop_written, written
 
-BYTES = 8
-#: Rows a block of a long list, and rows of short lists a task holds.
-BLOCK, TASK_ROWS = 4096, 65_536
-#: A random list should not hold more than this many fingerprints.
-LIST = 16
+#: Rows a block of a long list, rows of short lists a task holds, fingerprints of a random list.
+BLOCK, TASK_ROWS, LIST = 4096, 65_536, 16
+#: 64-bit words of a wide fingerprint, and the matching bytes of 32 that similar texts have at least.
+WORDS, MATCHES = 4, 11
 
 
-def simhash(text: bytes, shingle: int = 3) -> int:
-    """Fingerprint of one UTF-8 text, as a signed 64-bit number."""
+def _majority(h: np.ndarray) -> np.ndarray:
+    """Bytes of the bits that are set in over half of the 64-bit hashes."""
+    bits = np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+    whole = len(bits) // 255 * 255  # counts of 255 rows fit a byte, and bytes add fast
+    count = bits[:whole].reshape(-1, 255, 64).sum(1, dtype=np.uint8).sum(0, dtype=np.int64) + bits[whole:].sum(0, dtype=np.int64)
+    return np.packbits(count * 2 > len(h), bitorder="little")
+
+
+def _shingle_hashes(words: list[bytes], shingle: int) -> np.ndarray:
+    """XXH64 (seed 42) of the word shingles of a text, repeats included; of all of it if it has fewer words."""
     import xxhash
 
-    words = text.lower().split()  # bytes: A-Z only, and exactly the six ASCII white-space bytes
-    if not words:
-        return 0
     joined = b" ".join(words)
     ends = np.cumsum([len(w) + 1 for w in words]) - 1
     if len(words) <= shingle:
@@ -50,10 +61,41 @@ def simhash(text: bytes, shingle: int = 3) -> int:
     else:
         spans = zip([0, *(ends[:-shingle] + 1).tolist()], ends[shingle - 1 :].tolist(), strict=True)
     digest = xxhash.xxh64_intdigest
-    h = np.fromiter((digest(joined[s:e], 42) for s, e in spans), np.uint64)
-    bits = np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-    value = np.packbits(bits.sum(0, dtype=np.int64) * 2 > len(h), bitorder="little")
-    return int(value.view(np.int64)[0])
+    return np.fromiter((digest(joined[s:e], 42) for s, e in spans), np.uint64)
+
+
+def simhash(text: bytes, shingle: int = 3) -> int:
+    """Fingerprint of one UTF-8 text, as a signed 64-bit number."""
+    words = text.lower().split()  # bytes: A-Z only, and exactly the six ASCII white-space bytes
+    return int(_majority(_shingle_hashes(words, shingle)).view(np.int64)[0]) if words else 0
+
+
+def _wide(h: np.ndarray) -> bytes:
+    """``WORDS`` times 64 majority bits of hashes, each word from another mix of them (a published 64-bit finaliser)."""
+    out = []
+    for k in range(WORDS):
+        z = h + np.uint64((0x9E3779B97F4A7C15 * (k + 1)) % 2**64)
+        z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+        out.append(_majority(z ^ (z >> np.uint64(31))).tobytes())
+    return b"".join(out)
+
+
+def wide_fingerprints(text: bytes, shingle: int = 5) -> tuple[bytes, bytes]:
+    """Wide fingerprints of a text's distinct words and of its distinct shingles."""
+    import xxhash
+
+    words = text.lower().split()
+    if not words:
+        return bytes(8 * WORDS), bytes(8 * WORDS)
+    single = np.fromiter((xxhash.xxh64_intdigest(w, 42) for w in set(words)), np.uint64)
+    return _wide(single), _wide(np.unique(_shingle_hashes(words, shingle)))
+
+
+def bits_at(similarity: float, spread: float = 1.25) -> int:
+    """Differing bits of a wide fingerprint at a Jaccard similarity: the mean and ``spread`` deviations."""
+    n, p = 64 * WORDS, math.acos(2 * similarity / (1 + similarity)) / math.pi
+    return round(n * p + spread * math.sqrt(n * p * (1 - p)))
 
 
 def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
@@ -66,105 +108,112 @@ def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
     return docs.select("doc_id", fp(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("fp"))
 
 
-def key_family(width: int, max_bits: int) -> list[tuple[int, ...]]:
-    """Combinations of ``width`` byte positions such that any ``max_bits`` damaged bytes leave one whole."""
-    todo = {frozenset(c) for c in combinations(range(BYTES), max_bits)}
-    every, family = list(combinations(range(BYTES), width)), []
-    while todo:
-        best = max(every, key=lambda c: sum(not d & set(c) for d in todo))
-        family.append(best)
-        todo = {d for d in todo if d & set(best)}
-    return family
+def key_family(n_bytes: int, matches: int, width: int) -> list[tuple[int, ...]]:
+    """Combinations of ``width`` byte positions such that any ``matches`` of ``n_bytes`` positions hold one whole.
 
+    Positions are dealt to so few groups that ``matches`` of them put ``width`` into one group; the keys are
+    all combinations within the groups.
+    """
+    groups = max(1, (matches - 1) // (width - 1)) if width > 1 else n_bytes - matches + 1
+    if width == 1:
+        return [(p,) for p in range(groups)]
+    groups = min(groups, n_bytes // width)
+    return [c for g in range(groups) for c in combinations(range(g, n_bytes, groups), width)]
 
-def key_width(n: int, max_bits: int) -> int:
-    """Bytes a key combines for ``n`` distinct fingerprints."""
-    width = 1
-    while width < BYTES - max_bits and n > LIST * 256**width:
+
+def key_width(n: int, matches: int, odds: float) -> int:
+    """Bytes a key combines for ``n`` entries, if two unrelated ones agree in a byte with probability ``odds``."""
+    width = 2
+    while width < min(matches, 5) and n * odds**width > LIST:
         width += 1
     return width
 
 
-def _links(ids: np.ndarray, fps: np.ndarray, first: np.ndarray, max_bits: int):
+def _match(ia, ib, ca, cb, matches: int, max_bits: int) -> np.ndarray:
+    """Whether rows (last axis: 64-bit words) share enough positional bytes and differ in few enough bits."""
+    x = ia ^ ib
+    tally = (x.view(np.uint8) == 0).sum(-1, dtype=np.uint8)
+    ok = tally >= matches
+    if ca is not ia:
+        ok[ok] = np.bitwise_count(np.broadcast_to(ca, x.shape)[ok] ^ np.broadcast_to(cb, x.shape)[ok]).sum(-1) <= max_bits
+    else:
+        ok &= np.bitwise_count(x).sum(-1) <= max_bits
+    return ok
+
+
+def _links(ids, index, check, first: np.ndarray, matches: int, max_bits: int):
     """Verified links between rows of one block pair (``first``: rows of the first block; all: one block)."""
     whole = first.all()
     a = np.flatnonzero(first)
     b = a if whole else np.flatnonzero(~first)
-    need, out_a, out_b = BYTES - max_bits, [], []
     linked = np.zeros((len(a), len(b)), bool)
-    for s in range(0, len(a), 256):
-        x = fps[a[s : s + 256], None] ^ fps[None, b]
-        tally = (x[..., None].view(np.uint8) == 0).sum(-1, dtype=np.uint8)
-        linked[s : s + 256] = (tally >= need) & (np.bitwise_count(x) <= max_bits)
+    step = max(16, 512 // index.shape[1])
+    for s in range(0, len(a), step):
+        r = a[s : s + step]
+        ia = index[r, None]
+        ca = ia if check is index else check[r, None]
+        linked[s : s + step] = _match(ia, index[None, b], ca, check[None, b], matches, max_bits)
     if whole:
         root = dense_roots(linked)
         keep = root != np.arange(len(a))
         return ids[a[keep]], ids[a[root[keep]]]
-    hit = np.flatnonzero(linked.any(1))
-    cols = linked.any(0)
-    # A row's links all lead to its first partner; a column's to its first row: enough to span them.
-    out_a += [ids[a[hit]]]
-    out_b += [ids[b[linked[hit].argmax(1)]]]
-    col = np.flatnonzero(cols)
-    out_a += [ids[b[col]]]
-    out_b += [ids[a[linked[:, col].argmax(0)]]]
-    # Stars of first partners may leave pieces apart; join them until no link crosses two pieces.
-    node = np.concatenate([a, b])
-    at = {int(v): k for k, v in enumerate(ids[node])}
+    hit, col = np.flatnonzero(linked.any(1)), np.flatnonzero(linked.any(0))
+    # First partners of all rows and columns, then more links until none crosses two pieces.
+    out_a = [ids[a[hit]], ids[b[col]]]
+    out_b = [ids[b[linked[hit].argmax(1)]], ids[a[linked[:, col].argmax(0)]]]
     while True:
         lo, hi = forest(np.concatenate(out_a), np.concatenate(out_b))
-        label = np.arange(len(node))
-        if len(lo):
-            label[[at[int(v)] for v in lo]] = [at[int(v)] for v in hi]
-        cross = linked & (label[: len(a), None] != label[None, len(a) :])
+        piece = pd.Series(ids).map(pd.Series(hi, lo)).fillna(pd.Series(ids)).to_numpy(ids.dtype)
+        cross = linked & (piece[a][:, None] != piece[b][None, :])
         rows = np.flatnonzero(cross.any(1))
         if not len(rows):
             return lo, hi
         out_a, out_b = [lo, ids[a[rows]]], [hi, ids[b[cross[rows].argmax(1)]]]
 
 
-def _short(keys: np.ndarray, ids: np.ndarray, fps: np.ndarray, max_bits: int):
+def _short(keys, ids, index, check, matches: int, max_bits: int):
     """Verified links of many whole lists at once: lists of equal length are compared together."""
     order = np.argsort(keys, kind="stable")
-    ids, fps = ids[order], fps[order]
+    own = check is index
+    ids, index = ids[order], index[order]
+    check = index if own else check[order]
     _, start, length = np.unique(keys[order], return_index=True, return_counts=True)
-    a, b, need = [], [], BYTES - max_bits
+    a, b = [], []
     for n in np.unique(length):
         if n < 2:
             continue
         at = start[length == n]
         if n > 512:
             for s in at:
-                lo, hi = _links(ids[s : s + n], fps[s : s + n], np.ones(n, bool), max_bits)
+                part = index[s : s + n]
+                lo, hi = _links(ids[s : s + n], part, part if own else check[s : s + n], np.ones(n, bool), matches, max_bits)
                 a.append(lo)
                 b.append(hi)
             continue
-        step = max(1, 400_000 // int(n * n))
+        step = max(1, 400_000 // int(n * n * index.shape[1]))
         for s in range(0, len(at), step):
             rows = at[s : s + step, None] + np.arange(n)
-            f = fps[rows]
-            x = f[:, :, None] ^ f[:, None, :]
-            tally = (x[..., None].view(np.uint8) == 0).sum(-1, dtype=np.uint8)
-            ok = (tally >= need) & (np.bitwise_count(x) <= max_bits)
+            ia = index[rows][:, :, None]
+            ca = ia if own else check[rows][:, :, None]
+            ok = _match(ia, index[rows][:, None], ca, check[rows][:, None], matches, max_bits)
             g, i, j = np.nonzero(np.triu(ok, 1))
             a.append(ids[rows[g, i]])
             b.append(ids[rows[g, j]])
     return np.concatenate(a) if a else ids[:0], np.concatenate(b) if b else ids[:0]
 
 
-def near_edges(reps: DataFrame, max_bits: int = 3) -> DataFrame:
-    """Edges that span the links between distinct fingerprints of ``reps(fp, rep)``, written once."""
-    n = reps.count()
-    family = key_family(key_width(n, max_bits), max_bits)
-    byte = lambda p: F.shiftrightunsigned("fp", 8 * p).bitwiseAND(255)
+def near_edges(reps: DataFrame, matches: int, max_bits: int, odds: float = 1 / 256) -> DataFrame:
+    """Edges that span the links between entries of ``reps(rep, idx, chk)``, written once.
 
-    def key(no: int, positions: tuple[int, ...]):
-        packed = F.lit(no).cast("long")
-        for p in positions:
-            packed = F.shiftleft(packed, 8).bitwiseOR(byte(p))
-        return packed
-
-    listed = reps.select("fp", "rep", F.explode(F.array(*(key(i, c) for i, c in enumerate(family)))).alias("key"))
+    ``idx`` and ``chk`` are fingerprints as bytes: the first is indexed and tallied, the second (null: the
+    first) verified.
+    """
+    n = reps.count()
+    n_bytes = (reps.select(F.max(F.length("idx"))).first()[0] or 8) if n else 8
+    family = key_family(n_bytes, matches, key_width(n, matches, odds))
+    mark = lambda no: F.lit(no.to_bytes(4, "big"))
+    keys = [F.xxhash64(F.concat(mark(no), *(F.substring("idx", p + 1, 1) for p in c))) for no, c in enumerate(family)]
+    listed = reps.select("rep", "idx", "chk", F.explode(F.array(*keys)).alias("key"))
     long_lists = written(listed.groupBy("key").count().where(F.col("count") > BLOCK))
     tasks = max(1, -(-n * len(family) // TASK_ROWS))
     n_long = long_lists.count()
@@ -172,7 +221,7 @@ def near_edges(reps: DataFrame, max_bits: int = 3) -> DataFrame:
         sized = F.broadcast(long_lists) if n_long <= 20_000 else long_lists
         listed = listed.join(sized, "key", "left")
         blocks = F.ceil(F.col("count") / BLOCK).cast("int")
-        own = F.pmod(F.xxhash64("fp", F.lit(7)), blocks).cast("int")
+        own = F.pmod(F.xxhash64("rep", F.lit(7)), blocks).cast("int")
         units = F.when(
             F.col("count").isNotNull(),
             F.transform(
@@ -183,16 +232,18 @@ def near_edges(reps: DataFrame, max_bits: int = 3) -> DataFrame:
     else:
         units, own = F.lit(None), F.lit(0)
     light = F.array(F.struct(F.pmod(F.xxhash64("key"), F.lit(tasks)).alias("unit"), F.lit(-1).alias("i"), F.lit(-1).alias("j")))
-    dealt = listed.select("fp", "rep", "key", own.alias("own"), F.explode(F.coalesce(units, light)).alias("u")).select(
-        "fp", "rep", "key", F.coalesce("own", F.lit(0)).alias("own"), "u.unit", "u.i", "u.j"
+    dealt = listed.select("rep", "idx", "chk", "key", own.alias("own"), F.explode(F.coalesce(units, light)).alias("u")).select(
+        "rep", "idx", "chk", "key", F.coalesce("own", F.lit(0)).alias("own"), "u.unit", "u.i", "u.j"
     )
 
     def compare(at: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        ids, fps = rows["rep"].to_numpy(), rows["fp"].to_numpy().view(np.uint64)
+        ids = rows["rep"].to_numpy()
+        index = np.frombuffer(b"".join(rows["idx"]), np.uint64).reshape(len(rows), -1)
+        check = index if rows["chk"].isna().any() else np.frombuffer(b"".join(rows["chk"]), np.uint64).reshape(len(rows), -1)
         if at[1] < 0:
-            a, b = _short(rows["key"].to_numpy(), ids, fps, max_bits)
+            a, b = _short(rows["key"].to_numpy(), ids, index, check, matches, max_bits)
         else:
-            a, b = _links(ids, fps, rows["own"].to_numpy() == at[1], max_bits)
+            a, b = _links(ids, index, check, rows["own"].to_numpy() == at[1], matches, max_bits)
         a, b = forest(a, b) if len(a) else (a, b)
         return pd.DataFrame({"src": b, "dst": a})
 
@@ -201,6 +252,14 @@ def near_edges(reps: DataFrame, max_bits: int = 3) -> DataFrame:
     return edges
 
 
+def _with_components(fps: DataFrame, reps: DataFrame, edges: DataFrame, by: list[str]) -> DataFrame:
+    """``fps`` with ``component_id``: that of its entry in ``reps``, found by the columns ``by``."""
+    found = components(edges).withColumnRenamed("item", "rep")
+    linked = reps.join(found, "rep", "left").select(*by, F.coalesce("component", "rep").alias("component_id"))
+    known = F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id")
+    return fps.join(linked, by, "left").select(*fps.columns, known)
+
+
 def near_duplicates(docs: DataFrame, max_bits: int = 3, shingle: int = 3) -> DataFrame:
     """One row per row of ``docs(doc_id, text)``: ``doc_id, fp, component_id``.
 
@@ -208,16 +267,37 @@ def near_duplicates(docs: DataFrame, max_bits: int = 3, shingle: int = 3) -> Dat
     """
     fps = written(fingerprints(docs, shingle))
     reps = written(fps.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")))
-    found = components(near_edges(reps, max_bits)).withColumnRenamed("item", "rep")
-    linked = reps.join(found, "rep", "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
-    return fps.join(linked, "fp", "left").select(
-        "doc_id", "fp", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id")
+    as_bytes = F.unhex(F.lpad(F.hex("fp"), 16, "0"))
+    entries = reps.select("rep", as_bytes.alias("idx"), F.lit(None).cast("binary").alias("chk"))
+    return _with_components(fps, reps, near_edges(entries, 8 - max_bits, max_bits), ["fp"])
+
+
+def similar_documents(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
+    """``doc_id, component_id`` for each row of ``docs(doc_id, text)``: linked are texts of at least that similarity."""
+
+    @F.pandas_udf("idx binary, chk binary")
+    def wide(texts: pd.Series) -> pd.DataFrame:
+        return pd.DataFrame([wide_fingerprints(t, shingle) for t in texts], columns=["idx", "chk"])
+
+    fps = docs.select("doc_id", wide(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("w"))
+    fps = written(fps.select("doc_id", "w.*").withColumn("h", F.xxhash64("idx", "chk")).withColumn("h2", F.hash("chk", "idx")))
+    reps = written(
+        fps.where("doc_id is not null")
+        .groupBy("h", "h2")
+        .agg(F.min("doc_id").alias("rep"), F.first("idx").alias("idx"), F.first("chk").alias("chk"))
     )
+    # Texts of one language share their frequent words, so their bytes agree more often than by chance.
+    edges = near_edges(reps.select("rep", "idx", "chk"), MATCHES, bits_at(similarity), odds=1 / 96)
+    return _with_components(fps.select("doc_id", "h", "h2"), reps, edges, ["h", "h2"]).select("doc_id", "component_id")
 
 
-def deduplicate(docs: DataFrame, max_bits: int = 3, shingle: int = 3) -> DataFrame:
-    """``docs`` with the smallest-id document of each near-duplicate group; columns unchanged."""
-    keep = near_duplicates(docs.select("doc_id", "text"), max_bits, shingle).where("doc_id = component_id").select("doc_id").distinct()
+def deduplicate(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
+    """``docs`` with the smallest-id document of each group of similar texts; columns unchanged.
+
+    Rows that repeat a kept id stay; rows without an id go.
+    """
+    found = similar_documents(docs.select("doc_id", "text"), similarity, shingle)
+    keep = found.where("doc_id = component_id").select("doc_id").distinct()
     return docs.join(keep, "doc_id", "left_semi")
 
 
