@@ -4,15 +4,14 @@ The fixed point of "give each source its share, clamp at ``epochs`` times its si
 weight" is reached directly: with sources in order of cap per weight, the clamped ones are a prefix, and
 running sums give the level of the rest.
 
-A source's repetitions are ``target / size``: the whole part for every document, and one more for a fraction
-of them. That fraction is sampled evenly over the sizes: within small seeded buckets of a source, documents
-stand in order of size and every ``1 / fraction``-th is taken, starting at a seeded offset. Of ``STARTS``
-offsets that one is used which brings the source's words nearest to its target, and at last one document of
-about the size still missing (or over) is taken once more (or less). Buckets hold about ``BUCKET``
-documents, so no source meets in one task.
+A source's repetitions are ``target / size``: the whole part for every document, and one more for some of
+them, drawn in the order of a seeded hash of the id until the words still wanted are reached. The end of that
+order is one number for each source, found from sums over hash buckets and then within the one bucket that
+holds it. At last one document of about the size still missing (or over) is taken once more (or less). So a
+row's repetitions follow from its source's few numbers and its own id: texts are neither sorted nor shuffled.
 
 Defined cases: a null text has size 0 and is taken 0 words; a null source is a source of its own, last in
-order; rows with equal ids are sampled apart; a source of size 0 has target 0; extra columns are ignored;
+order; rows with equal ids are drawn together; a source of size 0 has target 0; extra columns are ignored;
 an empty table gives an empty result.
 """
 
@@ -25,7 +24,7 @@ from neardup.sources.lineage import written
 
 #: Weights in order of the sources, repeating: fixed values of the query's contract.
 WEIGHTS = (5.0, 2.0, 1.0)
-EPOCHS, BUCKET, STARTS = 3, 2000, 16
+EPOCHS, BITS, FEW = 3, 12, 10_000
 
 
 def word_count(text: str = "text") -> Column:
@@ -56,63 +55,88 @@ def targets(sizes: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS) -> DataFram
     )
 
 
-def plan(docs: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, seed: int = 0) -> DataFrame:
-    """One row per row of ``docs(doc_id, source, text)``: ``doc_id, size, source, source_size, target, times``."""
-    sized = written(docs.select("doc_id", "source", word_count().alias("size")))
-    per = sized.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("docs"))
-    goal = written(
-        targets(per.select("source", "source_size"), weights, epochs)
-        .join(per.select(F.col("source").alias("s"), "docs"), F.col("source").eqNullSafe(F.col("s")))
-        .drop("s")
-        .withColumn("rate", F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0)))
-        .withColumn("whole", F.least(F.floor("rate"), F.lit(epochs)).cast("long"))
-        .withColumn("part", F.when(F.col("whole") < epochs, F.col("rate") - F.col("whole")).otherwise(F.lit(0.0)))
-    )
-    few = F.broadcast(goal) if goal.count() <= 10_000 else goal
-    seeded = F.xxhash64("doc_id", F.lit(seed))
-    bucket = F.pmod(seeded, F.ceil(F.col("docs") / BUCKET))
-    at = Window.partitionBy("source", "bucket").orderBy("size", F.xxhash64("doc_id", F.lit(seed + 1)), "doc_id")
-    placed = written(
-        sized.join(few.withColumnRenamed("source", "s"), F.col("source").eqNullSafe(F.col("s")))
-        .drop("s")
-        .withColumn("bucket", bucket)
-        .withColumn("place", F.row_number().over(at))
-    )
+def _drawn(seed: int) -> Column:
+    """A row's place in the seeded order, from 0 to 2^63."""
+    return F.shiftrightunsigned(F.xxhash64("doc_id", F.lit(seed)), 1)
+
+
+def _small(df: DataFrame) -> DataFrame:
+    """A table of one row a source, written, and broadcast where it is small."""
+    df = written(df)
+    return F.broadcast(df) if df.count() <= FEW else df
+
+
+def _at(source: str = "s") -> Column:
+    return F.col("source").eqNullSafe(F.col(source))
+
 
-    def taken(start: Column) -> Column:
-        shift = F.pmod(F.xxhash64("source", "bucket", F.lit(seed)), F.lit(1 << 20)) / float(1 << 20) + start
-        upto = lambda n: F.floor(n * F.col("part") + shift)
-        return F.col("whole") + upto(F.col("place")) - upto(F.col("place") - 1)
+def decisions(sized: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, seed: int = 0) -> DataFrame:
+    """One row a source of ``sized(doc_id, source, size)``: ``s, source_size, target, whole, until, turned, by``.
 
-    trial = lambda i: F.lit(i / STARTS)
-    sums = placed.groupBy("source").agg(
-        F.first("target").alias("target"), *(F.sum(F.col("size") * taken(trial(i))).alias(f"sum{i}") for i in range(STARTS))
+    A document is taken ``whole`` times, once more if drawn up to ``until``, and ``by`` more if drawn at ``turned``.
+    """
+    per = sized.groupBy("source").agg(F.sum("size").alias("source_size"))
+    rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
+    goal = (
+        targets(per, weights, epochs)
+        .withColumn("whole", F.least(F.floor(rate), F.lit(epochs)).cast("long"))
+        .withColumn("wanted", F.when(F.col("whole") < epochs, F.col("target") - F.col("whole") * F.col("source_size")).otherwise(F.lit(0.0)))
+        .select(F.col("source").alias("s"), "source_size", "target", "whole", "wanted")
     )
-    off = lambda i: F.col("target") - F.col(f"sum{i}")
-    best = F.array_min(
-        F.array(*(F.struct(F.abs(off(i)).alias("far"), trial(i).alias("start"), off(i).alias("short")) for i in range(STARTS)))
+    goal = _small(goal)
+    placed = sized.withColumn("h", _drawn(seed)).withColumn("bucket", F.shiftright("h", 63 - BITS))
+    upto = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0)
+    sums = placed.groupBy("source", "bucket").agg(F.sum("size").alias("words")).withColumn("sum", F.sum("words").over(upto))
+    edge = (
+        sums.join(goal, _at())
+        .where((F.col("sum") - F.col("words") < F.col("wanted")) & (F.col("wanted") <= F.col("sum")))
+        .groupBy("s")
+        .agg(F.min(F.struct("bucket", (F.col("sum") - F.col("words")).alias("before"), "wanted")).alias("e"))
+        .select("s", F.col("e.bucket").alias("edge"), "e.before", "e.wanted")
+    )
+    edge = _small(edge)
+    inside = placed.join(edge, _at() & (F.col("bucket") == F.col("edge")))
+    running = F.col("before") + F.sum("size").over(Window.partitionBy("source").orderBy("h").rangeBetween(Window.unboundedPreceding, 0))
+    stop = inside.withColumn("got", running).groupBy("s").agg(
+        F.min(F.struct(F.abs(F.col("got") - F.col("wanted")).alias("off"), "h", "got")).alias("at"), F.first("before").alias("before"), F.first("edge").alias("edge"), F.first("wanted").alias("wanted")
     )
-    chosen = written(sums.select(F.col("source").alias("s"), best["start"].alias("start"), best["short"].alias("short")))
-    chosen = F.broadcast(chosen) if chosen.count() <= 10_000 else chosen
-    drawn = placed.join(chosen, F.col("source").eqNullSafe(F.col("s"))).withColumn("times", taken(F.col("start")))
-    # One document a source, of about the size still short or over, is taken once more or once less.
-    can = F.when(F.col("short") > 0, (F.col("times") == F.col("whole")) & (F.col("part") > 0)).otherwise(F.col("times") > F.col("whole"))
+    # Stopping before the first row of the bucket may be nearer than after any of its rows.
+    none = F.col("wanted") - F.col("before") <= F.col("at.off")
+    first = F.shiftleft(F.col("edge"), 63 - BITS) - 1
+    stop = stop.select(F.col("s").alias("s2"), F.when(none, first).otherwise(F.col("at.h")).alias("until"), F.when(none, F.col("before")).otherwise(F.col("at.got")).alias("got"))
+    cut = goal.join(stop, F.col("s").eqNullSafe(F.col("s2")), "left").drop("s2")
+    cut = cut.withColumn("until", F.coalesce("until", F.lit(-1).cast("long"))).withColumn("short", F.col("wanted") - F.coalesce("got", F.lit(0)))
+    cut = _small(cut)
     miss = F.abs(F.col("size") - F.abs("short"))
+    can = F.when(F.col("short") > 0, (F.col("h") > F.col("until")) & (F.col("whole") < epochs)).otherwise(F.col("h") <= F.col("until"))
     turned = (
-        drawn.where(can & (miss < F.abs("short")))
+        placed.join(cut, _at())
+        .where(can & (miss < F.abs("short")))
         .groupBy("s")
-        .agg(F.min(F.struct(miss.alias("miss"), F.xxhash64("doc_id", F.lit(seed)).alias("h"), "bucket", "place", F.signum("short").alias("by"))).alias("t"))
-        .select(F.col("s").alias("ts"), "t.bucket", "t.place", F.col("t.by").cast("long").alias("by"))
+        .agg(F.min(F.struct(miss.alias("miss"), "h", F.signum("short").cast("long").alias("by"))).alias("t"))
+        .select(F.col("s").alias("s2"), F.col("t.h").alias("turned"), "t.by")
     )
-    turned = written(turned.select("ts", F.col("bucket").alias("tb"), F.col("place").alias("tp"), "by"))
-    turned = F.broadcast(turned) if turned.count() <= 10_000 else turned
-    same = F.col("source").eqNullSafe(F.col("ts")) & (F.col("bucket") == F.col("tb")) & (F.col("place") == F.col("tp"))
-    times = F.least(F.col("times") + F.coalesce("by", F.lit(0)), F.lit(epochs)).cast("long")
-    return drawn.join(turned, same, "left").select("doc_id", "size", "source", "source_size", "target", times.alias("times"))
+    return _small(cut.join(turned, F.col("s").eqNullSafe(F.col("s2")), "left").select("s", "source_size", "target", "whole", "until", "turned", "by"))
+
+
+def _times(epochs: int, drawn: Column, at: str = "") -> Column:
+    col = lambda c: F.col(at + c)
+    extra = (drawn <= col("until")).cast("long") + F.when(drawn == col("turned"), col("by")).otherwise(F.lit(0))
+    return F.least(col("whole") + extra, F.lit(epochs)).cast("long")
+
+
+def plan(docs: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, seed: int = 0) -> DataFrame:
+    """One row per row of ``docs(doc_id, source, text)``: ``doc_id, size, source, source_size, target, times``."""
+    sized = written(docs.select("doc_id", "source", word_count().alias("size")))
+    chosen = decisions(sized, weights, epochs, seed)
+    return sized.join(chosen, _at()).select("doc_id", "size", "source", "source_size", "target", _times(epochs, _drawn(seed)).alias("times"))
 
 
 def mix(docs: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, seed: int = 0) -> DataFrame:
-    """``docs`` with every document as often as the mix takes it; columns unchanged. Ids must be unique."""
-    times = plan(docs.select("doc_id", "source", "text"), weights, epochs, seed).where("times > 0").select("doc_id", "times")
-    repeated = docs.join(times.withColumnRenamed("times", "__times"), "doc_id")
-    return repeated.withColumn("__times", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*docs.columns)
+    """``docs`` with every document as often as the mix takes it; columns unchanged."""
+    sized = written(docs.select("doc_id", "source", word_count().alias("size")))
+    chosen = decisions(sized, weights, epochs, seed).select(F.col("s").alias("__s"), F.struct("whole", "until", "turned", "by").alias("__d"))
+    times = _times(epochs, _drawn(seed), "__d.").cast("int")
+    few = F.broadcast(chosen) if chosen.count() <= FEW else chosen
+    rows = docs.join(few, _at("__s")).withColumn("__times", times).where("__times > 0")
+    return rows.withColumn("__times", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*docs.columns)

@@ -36,8 +36,8 @@ from neardup.llm.blocks import dense_roots, forest
 from neardup.operators.closure import components
 from neardup.sources.lineage import drop_written, written
 
-#: Rows a block of a long list, rows of short lists a task holds, fingerprints of a random list.
-BLOCK, TASK_ROWS, LIST = 4096, 65_536, 16
+#: Rows a block of a long list, rows of short lists a task holds, most fingerprints of a random list.
+BLOCK, TASK_ROWS, LIST = 4096, 65_536, 1024
 #: 64-bit words of a wide fingerprint, and the matching bytes of 32 that similar texts have at least.
 WORDS, MATCHES = 4, 11
 
