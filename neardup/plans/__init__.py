@@ -1 +1,6 @@
-"""Plans of the near-duplicate engine."""
+"""Named queries over the given tables and their SQL equivalents."""
+
+from neardup.plans import core  # noqa: F401
+from neardup.plans.registry import QUERIES, SQL
+
+__all__ = ["QUERIES", "SQL"]
