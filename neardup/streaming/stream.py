@@ -53,18 +53,27 @@ def engaged(arrivals: DataFrame, bookmarks: DataFrame, within: str = "1 day") ->
 
 
 class ClusterCounter(StatefulProcessor):
-    """Events per cluster so far; the count ends after a quiet time (a processing-time timer)."""
+    """Events per cluster so far; in event time a count ends a day after its last event."""
 
-    QUIET_MS = 3_600_000
+    QUIET_MS = 86_400_000
+
+    def __init__(self, timed: bool = False):
+        self.timed = timed
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.handle = handle
         self.count = handle.getValueState("count", "n long")
 
     def handleInputRows(self, key: Any, rows: Iterator[pd.DataFrame], timerValues: Any) -> Iterator[pd.DataFrame]:
-        n = sum(len(r) for r in rows) + (self.count.get()[0] if self.count.exists() else 0)
+        n, last = self.count.get()[0] if self.count.exists() else 0, 0
+        for r in rows:
+            n += len(r)
+            last = max(last, int(r["ts"].max().timestamp() * 1000))
         self.count.update((n,))
-        self.handle.registerTimer(timerValues.getCurrentProcessingTimeInMs() + self.QUIET_MS)
+        if self.timed:
+            for t in list(self.handle.listTimers()):
+                self.handle.deleteTimer(t)
+            self.handle.registerTimer(last + self.QUIET_MS)
         yield pd.DataFrame({"head_id": [key[0]], "events": [n]})
 
     def handleExpiredTimer(self, key: Any, timerValues: Any, expiredTimerInfo: Any) -> Iterator[pd.DataFrame]:
@@ -75,11 +84,15 @@ class ClusterCounter(StatefulProcessor):
         pass
 
 
-def cluster_counts(df: DataFrame) -> DataFrame:
-    """Running counts ``(head_id, events)`` of a stream with ``head_id``. Needs the RocksDB state store."""
+def cluster_counts(df: DataFrame, timed: bool = False) -> DataFrame:
+    """Running counts ``(head_id, events)`` of a stream with ``head_id`` and ``ts``. Needs the RocksDB state store.
+
+    ``timed`` ends quiet counts by event-time timers and needs a watermark.
+    """
     return df.groupBy("head_id").transformWithStateInPandas(
-        statefulProcessor=ClusterCounter(), outputStructType="head_id long, events long", outputMode="Update", timeMode="ProcessingTime"
-    )
+        statefulProcessor=ClusterCounter(timed), outputStructType="head_id long, events long",
+        outputMode="Update", timeMode="EventTime" if timed else "None",
+    )
 
 
 def batch_writer(store: Snapshots, items: Snapshots, cfg: Config = DEFAULT):
