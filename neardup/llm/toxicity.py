@@ -38,9 +38,14 @@ BEGINNING, FEWEST = 5, 3
 _WORD = re.compile(r"[^\W_]+")
 
 
+def words_of(text: str | None) -> Counter:
+    """Word counts of a whole text."""
+    return Counter(_WORD.findall((text or "").lower()))
+
+
 def terms(text: str | None) -> Counter:
     """Term counts of a whole text: words, and beginnings of longer words marked by ``~``."""
-    words = Counter(_WORD.findall((text or "").lower()))
+    words = words_of(text)
     for w, n in list(words.items()):
         if len(w) > BEGINNING:
             words[w[:BEGINNING] + "~"] += n
@@ -134,6 +139,7 @@ class Model:
 
     def __init__(self, vocabulary: dict[str, int], idf: np.ndarray, examples: pd.DataFrame):
         self.vocabulary, self.idf = vocabulary, idf
+        self.beginnings = {t[:-1]: i for t, i in vocabulary.items() if t.endswith("~")}
         labels = examples["toxic"].to_numpy(np.float64)
         vectors = [self.vector(dict(zip(t, n, strict=True))) for t, n in zip(examples["terms"], examples["counts"], strict=True)]
         self.base = float(labels.mean()) if len(labels) else 0.0
@@ -158,11 +164,22 @@ class Model:
         w = np.array([(1 + math.log(n)) * self.idf[t] for t, n in found])
         return at, w / np.linalg.norm(w) if len(w) else w
 
+    def query(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
+        """``vector(terms(text))``, looking only at words that the vocabulary may hold."""
+        words, found = words_of(text), {}
+        for w in words.keys() & self.vocabulary.keys():
+            found[w] = words[w]
+        if self.beginnings.keys() & {w[:BEGINNING] for w in words}:
+            for w, n in words.items():
+                if len(w) > BEGINNING and (start := w[:BEGINNING]) in self.beginnings:
+                    found[start + "~"] = found.get(start + "~", 0) + n
+        return self.vector(found)
+
     def vote(self, rows: np.ndarray, cosine: np.ndarray) -> float:
         return float((cosine @ self.index.labels[rows] + PRIOR * self.base) / (cosine.sum() + PRIOR))
 
     def score(self, text: str | None) -> tuple[float, list]:
-        query = self.vector(terms(text))
+        query = self.query(text)
         if not len(query[0]):
             return self.blank, []
         rows, cosine = self.index.nearest(query, NEIGHBOURS)
