@@ -205,7 +205,8 @@ def fit(docs: DataFrame, labelled: DataFrame, examples: int = EXAMPLES, seed: in
                 n_all.update(found)
                 if toxic:
                     n_toxic.update(found)
-        yield pd.DataFrame({"term": list(n_all), "n": list(n_all.values()), "a": [n_toxic[t] for t in n_all]})
+        if n_all:
+            yield pd.DataFrame({"term": list(n_all), "n": list(n_all.values()), "a": [n_toxic[t] for t in n_all]})
 
     size, toxic = sample.agg(F.count("*"), F.coalesce(F.sum("toxic"), F.lit(0))).first()
     counted = written(sample.select("text", "toxic").mapInPandas(held, "term string, n long, a long").groupBy("term").agg(F.sum("n").alias("n"), F.sum("a").alias("a")))

@@ -94,7 +94,7 @@ def templates(shapes: DataFrame) -> DataFrame:
             now = written(now)
     for p in range(DEPTH, 0, -1):  # similar branches, from the leaves up
         leaf = _tally(now).where(F.size("segs") >= p).withColumn("merged", _with_star(p))
-        pool = leaf.groupBy("host", "merged").agg(F.sum("labelled").alias("of"), F.sum("bad").alias("hits"))
+        pool = leaf.groupBy("host", "merged").agg(F.sum("labelled").alias("of"), F.sum("bad").alias("hits"), F.count("*").alias("kinds")).where("kinds > 1")
         share = F.when(F.col("of") > 0, F.col("hits") / F.col("of")).otherwise(F.lit(0.0))
         spread = F.sqrt(share * (1 - share) / F.greatest("labelled", F.lit(1)))
         differs = (F.col("labelled") > 0) & (F.abs(F.col("bad") / F.greatest("labelled", F.lit(1)) - share) > SIMILAR * spread)
