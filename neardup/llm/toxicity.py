@@ -34,7 +34,7 @@ from neardup.sources.lineage import written
 #: Bound on the examples, on the vocabulary, rows a block, neighbours, weight of the prior, decision.
 EXAMPLES, TERMS, BLOCK, NEIGHBOURS, PRIOR, TOXIC = 20_000, 4096, 64, 15, 0.5, 0.7
 #: Letters of a word's beginning that is a term of its own, and the fewest examples that hold a term.
-BEGINNING, FEWEST = 5, 3
+BEGINNING, FEWEST = 5, 5
 _WORD = re.compile(r"[^\W_]+")
 
 
@@ -195,7 +195,9 @@ def fit(docs: DataFrame, labelled: DataFrame, examples: int = EXAMPLES, seed: in
     n = known.count()
     share = min(1.0, examples / max(1, n))
     drawn = known.where(F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1 << 40)) <= int(share * (1 << 40)))
-    sample = written(docs.select("doc_id", "text").join(F.broadcast(drawn), "doc_id").dropDuplicates(["doc_id"]))
+    # Equal texts are one example, toxic if one of them is: copies of a text must not make its words look telling.
+    drawn = docs.select("doc_id", "text").join(F.broadcast(drawn), "doc_id").withColumn("of", F.sha2(F.coalesce("text", F.lit("")), 256))
+    sample = written(drawn.groupBy("of").agg(F.min("doc_id").alias("doc_id"), F.first("text").alias("text"), F.max("toxic").alias("toxic")).drop("of"))
 
     def held(batches):
         n_all, n_toxic = Counter(), Counter()
