@@ -155,10 +155,19 @@ def generation_mappings(spark, sf):
     """Closure mappings of the three generations over the documents."""
     items = text_items(spark, sf)
     points = written(legacy.keypoints(items))
-    verified = lambda pairs, n: legacy.align(pairs, points).where((F.col("inliers") >= n) & (F.col("inlier_ratio") >= 0.5))
-    one = verified(legacy.global_candidates(items, min_overlap=4), 3)
-    rare = points.groupBy("h").agg(F.count("*").alias("n")).where("n <= 20").select("h")
-    two = verified(legacy.bow_search(points.join(rare, "h").select("item_id", F.col("h").alias("term")), 3), 3)
+    size = items.select("item_id", F.size(T.words()).alias("n"))
+    na, nb = size.select(F.col("item_id").alias("a"), F.col("n").alias("na")), size.select(F.col("item_id").alias("b"), F.col("n").alias("nb"))
+    # Inliers are among the shared runs: pairs that share too few of them need no alignment.
+    shared = legacy.bow_search(points.select("item_id", F.col("h").alias("term")), 3).join(na, "a").join(nb, "b")
+    strong = written(shared.where(F.col("overlap") >= 0.6 * F.greatest("na", "nb")))
+
+    def verified(pairs):
+        """Aligned pairs whose inliers are most matches and 60 % of the words of either side."""
+        near = legacy.align(pairs, points).where("inlier_ratio >= 0.5")
+        return near.join(strong, ["a", "b"]).where(F.col("inliers") >= 0.6 * F.greatest("na", "nb"))
+
+    one = verified(legacy.global_candidates(items, min_overlap=5).join(strong, ["a", "b"], "left_semi"))
+    two = verified(strong)
     words = doc_words(spark, sf)
     first, second = (alone_too(words, closure.components(as_edges(p.select("a", "b")))) for p in (one, two))
     return {"first": first, "second": second, "third": alone_too(words, doc_components(words))}

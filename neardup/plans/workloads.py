@@ -62,30 +62,59 @@ def _(spark, sf):
     return g.select("a", "b", F.col("truth").cast("long").alias("truth"), C.joined("votes").alias("votes"), F.col("label").cast("long").alias("label"), "split")
 
 
-def classifier_scores(spark, sf, epochs=12):
-    """Scores of the test half by each generation: ``name, label, score``."""
-    gold = written(X.gold(spark, sf))
-    test = gold.where("split = 'test'").select("a", "b", "label")
-    words = C.doc_words(spark, sf)
-    boot = written(C.bootstrap(spark, sf, words))
-    train_side = gold.where("split <> 'train'").select("a", "b")
-    boot = written(boot.join(train_side, ["a", "b"], "left_anti"))
-    ids = words.select("item_id")
-    n = max(1, ids.count())
-    other = ids.select(F.col("item_id").alias("x"), ((F.col("item_id") * 104729 + 71) % n).alias("y")).where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-    other = other.distinct().join(boot, ["a", "b"], "left_anti").join(gold, ["a", "b"], "left_anti").withColumn("label", F.lit(0))
+def codebook(words, size: int = 64):
+    """Word sets as visual words: each word by one of ``size`` entries of a small vocabulary, as quantised descriptors are."""
+    return words.select("item_id", F.array_distinct(F.transform("terms", lambda w: F.pmod(F.xxhash64(w), F.lit(size)))).alias("terms"))
+
+
+def gold_with_variants(spark, sf):
+    """The gold pairs and modified copies: each with its origin (positive) and with the next document (negative).
+
+    Pairs are ``(a, b, label, split)``; origins are split by hash. Also returns the texts of all items.
+    """
+    items = text_items(spark, sf).select("item_id", "text")
     v = written(X.text_variants(spark, sf))
-    both = written(words.unionByName(signatures.text_bits(v.select("item_id", "text"))))
-    hard = v.select(F.col("origin_id").alias("a"), F.col("item_id").alias("b"), F.lit(1).alias("label"))  # positives far from their origin
-    base = training.make_set("base", boot.unionByName(other), share=0.3)
-    more = training.make_set("hard", boot.unionByName(other), hard)
+    side = F.when(X.h32("s", F.col("origin_id")) % 2 == 0, "train").otherwise("test")
+    near = v.select(F.col("origin_id").alias("a"), F.col("item_id").alias("b"), F.lit(1).alias("label"), side.alias("split"))
+    n = max(1, items.count())
+    far = v.withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(6)))).select(
+        ((F.col("origin_id") + F.col("k") * 11) % n).alias("a"), F.col("item_id").alias("b"), F.lit(0).alias("label"), side.alias("split")
+    )
+    gold = X.gold(spark, sf).select("a", "b", "label", "split")
+    texts = written(items.unionByName(v.select("item_id", "text")))
+    return written(gold.unionByName(near).unionByName(far)), texts
+
+
+def classifier_scores(spark, sf, epochs=24):
+    """Scores of the test half by each generation: ``name, a, b, label, score``.
+
+    The base network learns from the earlier generation's labels of candidates (and random others); the
+    hard one also from modified copies that the earlier generation does not recognise.
+    """
+    from neardup.operators import legacy
+
+    gold, texts = gold_with_variants(spark, sf)
+    test = gold.where("split = 'test'").select("a", "b", "label")
+    words = written(signatures.text_bits(texts))
+    points = written(legacy.keypoints(texts))
+    features = written(legacy.pair_features(legacy.align(gold.select("a", "b"), points), legacy.global_descriptor(texts)))
+    plain = X.gold(spark, sf).select("a", "b")
+    tree = legacy.TreeScorer().fit(features, gold.where("split = 'train'").join(plain, ["a", "b"], "left_semi").select("a", "b", "label"))
+    held = gold.where("split <> 'train'").select("a", "b")
+    docs_ = words.where("item_id < 1000000")
+    boot = C.bootstrap(spark, sf, docs_).join(held, ["a", "b"], "left_anti")
+    n = max(1, docs_.count())
+    other = docs_.select(F.col("item_id").alias("x"), ((F.col("item_id") * 104729 + 71) % n).alias("y")).where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+    boot = written(boot.unionByName(other.distinct().join(held, ["a", "b"], "left_anti").withColumn("label", F.lit(0))).dropDuplicates(["a", "b"]))
+    hard = gold.where("split = 'train'").select("a", "b", "label")
+    sets_ = {"base_deep": training.make_set("base", boot, share=0.3), "hard_deep": training.make_set("hard", boot, hard)}
     rows = {
-        "words": scorers.WordJaccard().score(test, B.word_sets(spark, sf)),
-        "tree": B.tree_scores(spark, sf, gold).where("split = 'test'"),
+        "words": scorers.WordJaccard().score(test, codebook(texts.select("item_id", F.array_distinct(T.words()).alias("terms")))),
+        "tree": tree.score_features(test, features),
         "distance": scorers.HammingScorer().score(test, words),
     }
-    for name, pairs in (("base_deep", base), ("hard_deep", more)):
-        weights, _ = training.fit_mlp(written(pairs), both, epochs=epochs, local_steps=4)
+    for name, pairs in sets_.items():
+        weights, _ = training.fit_mlp(written(pairs), words, epochs=epochs, local_steps=4)
         rows[name] = scorers.MlpScorer(weights).score(test, words)
     out = None
     for name, r in rows.items():
