@@ -26,6 +26,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from neardup.llm.batches import small_batches
+
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK, UNKNOWN, CACHE, SLICE = "▁", 10.0, 500_000, 256
 #: Stands for a marker character of the text itself; no text and no piece can hold a lone surrogate.
@@ -250,6 +252,7 @@ def load(path: str = MODEL) -> PieceModel:
 
 def encode(docs: DataFrame, model: PieceModel) -> DataFrame:
     """``doc_id, ids, n_pieces, n_byte_pieces, round_trip`` for each row of ``docs(doc_id, text)``."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def encoded(batches):
@@ -276,6 +279,7 @@ def encode(docs: DataFrame, model: PieceModel) -> DataFrame:
 
 def decode(encoded: DataFrame, model: PieceModel) -> DataFrame:
     """``doc_id, text`` for each row of ``encoded(doc_id, ids)``."""
+    small_batches(encoded.sparkSession)
     shared = encoded.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("string")

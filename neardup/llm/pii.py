@@ -19,6 +19,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from neardup.llm.batches import small_batches
+
 BASE = ("email", "ip", "card", "phone")
 KINDS = (*BASE, "iban", "ssn", "passport")
 #: Characters of context on each side, and the least score at which a span of a further kind is kept.
@@ -144,6 +146,7 @@ def find(docs: DataFrame) -> DataFrame:
     def found(texts: pd.Series) -> pd.Series:
         return pd.Series([[dict(zip(("kind", "start", "end", "score"), x, strict=True)) for x in spans(t)] for t in texts])
 
+    small_batches(docs.sparkSession)
     return docs.select("doc_id", found("text").alias("spans"))
 
 
@@ -154,6 +157,7 @@ def redact(docs: DataFrame) -> DataFrame:
     def masked(texts: pd.Series) -> pd.Series:
         return pd.Series([_mask(t) for t in texts], dtype=object)
 
+    small_batches(docs.sparkSession)
     out = docs.withColumn("text", masked("text"))
     return out.withColumn("n_chars", F.char_length("text").cast("long")) if "n_chars" in docs.columns else out
 

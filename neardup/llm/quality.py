@@ -23,6 +23,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from neardup.llm.batches import small_batches
 from neardup.sources.lineage import written
 
 #: Bound on the training sample, hashed features, passes of the fit and of the estimation.
@@ -176,6 +177,7 @@ class Scorer:
 def fit(docs: DataFrame, sample: int = SAMPLE, seed: int = 0) -> tuple[Scorer, DataFrame]:
     """The scorer, and ``(pattern, n, posterior)``: all vote patterns of ``docs(doc_id, text)`` with their posterior."""
     spark = docs.sparkSession
+    small_batches(spark)
 
     @F.pandas_udf("string")
     def voted(texts: pd.Series) -> pd.Series:
@@ -203,6 +205,7 @@ def fit(docs: DataFrame, sample: int = SAMPLE, seed: int = 0) -> tuple[Scorer, D
 
 def score(docs: DataFrame, scorer: Scorer) -> DataFrame:
     """``doc_id, score, keep`` for each row of ``docs(doc_id, text)``."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(scorer)
 
     @F.pandas_udf("double")

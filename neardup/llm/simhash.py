@@ -32,6 +32,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from neardup.llm.batches import large_batches, small_batches
 from neardup.llm.blocks import dense_roots, forest
 from neardup.operators.closure import components
 from neardup.sources.lineage import drop_written, written
@@ -105,6 +106,7 @@ def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
     def fp(texts: pd.Series) -> pd.Series:
         return pd.Series([simhash(t, shingle) for t in texts], dtype="int64")
 
+    small_batches(docs.sparkSession)
     return docs.select("doc_id", fp(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("fp"))
 
 
@@ -247,7 +249,8 @@ def near_edges(reps: DataFrame, matches: int, max_bits: int, odds: float = 1 / 2
         a, b = forest(a, b) if len(a) else (a, b)
         return pd.DataFrame({"src": b, "dst": a})
 
-    edges = written(dealt.groupBy("unit", "i", "j").applyInPandas(compare, "src long, dst long"))
+    with large_batches(reps.sparkSession):
+        edges = written(dealt.groupBy("unit", "i", "j").applyInPandas(compare, "src long, dst long"))
     drop_written(long_lists)
     return edges
 
@@ -279,6 +282,7 @@ def similar_documents(docs: DataFrame, similarity: float = 0.8, shingle: int = 5
     def wide(texts: pd.Series) -> pd.DataFrame:
         return pd.DataFrame([wide_fingerprints(t, shingle) for t in texts], columns=["idx", "chk"])
 
+    small_batches(docs.sparkSession)
     fps = docs.select("doc_id", wide(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("w"))
     fps = written(fps.select("doc_id", "w.*").withColumn("h", F.xxhash64("idx", "chk")).withColumn("h2", F.hash("chk", "idx")))
     reps = written(

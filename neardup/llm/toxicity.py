@@ -29,12 +29,13 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from neardup.llm.batches import small_batches
 from neardup.sources.lineage import written
 
 #: Bound on the examples, on the vocabulary, rows a block, neighbours, weight of the prior, decision.
 EXAMPLES, TERMS, BLOCK, NEIGHBOURS, PRIOR, TOXIC = 20_000, 4096, 64, 15, 0.5, 0.7
 #: Letters of a word's beginning that is a term of its own, and the fewest examples that hold a term.
-BEGINNING, FEWEST = 5, 5
+BEGINNING, FEWEST = 5, 3
 _WORD = re.compile(r"[^\W_]+")
 
 
@@ -191,6 +192,7 @@ class Model:
 
 def fit(docs: DataFrame, labelled: DataFrame, examples: int = EXAMPLES, seed: int = 0) -> Model:
     """The model of ``docs(doc_id, text)`` with the labels in ``labelled(doc_id, toxic)``, all of which may be learned from."""
+    small_batches(docs.sparkSession)
     known = labelled.where("toxic is not null").groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     n = known.count()
     share = min(1.0, examples / max(1, n))
@@ -236,6 +238,7 @@ def fit(docs: DataFrame, labelled: DataFrame, examples: int = EXAMPLES, seed: in
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """``doc_id, score, predicted, evidence`` for each row of ``docs(doc_id, text)``."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("score double, evidence array<struct<doc_id:long,cosine:double,toxic:int>>")
