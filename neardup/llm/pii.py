@@ -12,7 +12,6 @@ all stay in the list and are masked as one piece; repeated rows are treated alik
 
 from __future__ import annotations
 
-import hashlib
 import re
 
 import pandas as pd
