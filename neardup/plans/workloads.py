@@ -134,6 +134,16 @@ def auc(spark, sf):
     return out
 
 
+@query("b07_base_deep")
+def _(spark, sf):
+    """The network trained on a share of the earlier generation's labels only, over all candidates."""
+    words = C.doc_words(spark, sf)
+    cands = written(B.candidates(words))
+    base = written(training.make_set("base", C.bootstrap(spark, sf, words, cands), share=0.3))
+    weights, _ = training.fit_mlp(base, words, hidden=(64, 32, 16), epochs=5, local_steps=2)
+    return scorers.MlpScorer(weights).score(cands, words)
+
+
 same_as("w07_clusters", "s09_cluster_stats")
 
 _PARTS = """ps as (select p_partkey as item_id, list_distinct(string_split(p_name, ' ') || [p_brand, p_type, cast(p_size as varchar)]) as t from part),
