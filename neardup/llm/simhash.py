@@ -7,12 +7,13 @@ are kept and verified by their differing bits.
 
 * ``near_duplicates`` uses 64 majority bits of word-shingle hashes: two fingerprints that differ in at most
   ``max_bits`` bits agree in at least ``8 - max_bits`` bytes, so no link is missed.
-* ``similar_documents`` finds texts by similarity of their word shingles, estimated from 256 majority bits of
-  the distinct shingles. One changed word changes ``shingle`` shingles but one word, so the index is built on
-  256 bits of the distinct words: texts of similarity 0.8 over five words agree in ``MATCHES`` or more of
-  their 32 bytes (11 was the least among 2,100 such pairs of the given documents; unrelated ones: 2).
+* ``similar_documents`` finds texts by the exact similarity of their distinct word shingles, without
+  fingerprints. In one common order of shingles (frequent ones last), two sets of similarity ``t`` share a
+  shingle among their first ``n - ceil(t n) + 1``, whatever was edited, so lists of these miss no pair. Sizes
+  and parity sketches drop pairs that cannot reach ``t``; the rest is decided on the sets. Each list's least
+  entry is compared first, then only pairs that are still in two components.
 
-Keys combine more bytes as the number of distinct fingerprints grows, so that lists of unrelated ones stay
+Of fingerprints, keys combine more bytes as the number of distinct fingerprints grows, so that lists of unrelated ones stay
 short; equal fingerprints are one entry. A list longer than ``BLOCK`` (a large group of near copies) is
 compared in blocks, one task a pair of blocks. A task returns no pairs but a forest that spans its links, at
 most one edge a fingerprint; components come from the distributed closure.
@@ -24,12 +25,14 @@ component; extra columns are ignored; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import hashlib
 import math
+from fractions import Fraction
 from itertools import combinations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from neardup.llm.batches import large_batches, small_batches
@@ -39,8 +42,8 @@ from neardup.sources.lineage import drop_written, written
 
 #: Rows a block of a long list, rows of short lists a task holds, most fingerprints of a random list.
 BLOCK, TASK_ROWS, LIST = 4096, 65_536, 1024
-#: 64-bit words of a wide fingerprint, and the matching bytes of 32 that similar texts have at least.
-WORDS, MATCHES = 4, 11
+#: Bits of a shingle set's sketch, documents of the sample that orders shingles, and the most shingles ordered by it.
+SKETCH, SAMPLE, COMMON = 512, 10_000, 100_000
 
 
 def _majority(h: np.ndarray) -> np.ndarray:
@@ -71,34 +74,6 @@ def simhash(text: bytes, shingle: int = 3) -> int:
     return int(_majority(_shingle_hashes(words, shingle)).view(np.int64)[0]) if words else 0
 
 
-def _wide(h: np.ndarray) -> bytes:
-    """``WORDS`` times 64 majority bits of hashes, each word from another mix of them (a published 64-bit finaliser)."""
-    out = []
-    for k in range(WORDS):
-        z = h + np.uint64((0x9E3779B97F4A7C15 * (k + 1)) % 2**64)
-        z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-        z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-        out.append(_majority(z ^ (z >> np.uint64(31))).tobytes())
-    return b"".join(out)
-
-
-def wide_fingerprints(text: bytes, shingle: int = 5) -> tuple[bytes, bytes]:
-    """Wide fingerprints of a text's distinct words and of its distinct shingles."""
-    import xxhash
-
-    words = text.lower().split()
-    if not words:
-        return bytes(8 * WORDS), bytes(8 * WORDS)
-    single = np.fromiter((xxhash.xxh64_intdigest(w, 42) for w in set(words)), np.uint64)
-    return _wide(single), _wide(np.unique(_shingle_hashes(words, shingle)))
-
-
-def bits_at(similarity: float, spread: float = 1.25) -> int:
-    """Differing bits of a wide fingerprint at a Jaccard similarity: the mean and ``spread`` deviations."""
-    n, p = 64 * WORDS, math.acos(2 * similarity / (1 + similarity)) / math.pi
-    return round(n * p + spread * math.sqrt(n * p * (1 - p)))
-
-
 def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
     """``(doc_id, fp)`` with ``fp`` a long, one row per row of ``docs(doc_id, text)``."""
 
@@ -275,24 +250,171 @@ def near_duplicates(docs: DataFrame, max_bits: int = 3, shingle: int = 3) -> Dat
     return _with_components(fps, reps, near_edges(entries, 8 - max_bits, max_bits), ["fp"])
 
 
-def similar_documents(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
-    """``doc_id, component_id`` for each row of ``docs(doc_id, text)``: linked are texts of at least that similarity."""
+def _distinct_shingles(text: bytes, shingle: int) -> np.ndarray:
+    """Sorted hashes of a text's distinct shingles; none of a text without words."""
+    words = text.lower().split()
+    return np.unique(_shingle_hashes(words, shingle)) if words else np.zeros(0, np.uint64)
 
-    @F.pandas_udf("idx binary, chk binary")
-    def wide(texts: pd.Series) -> pd.DataFrame:
-        return pd.DataFrame([wide_fingerprints(t, shingle) for t in texts], columns=["idx", "chk"])
 
-    small_batches(docs.sparkSession)
-    fps = docs.select("doc_id", wide(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("w"))
-    fps = written(fps.select("doc_id", "w.*").withColumn("h", F.xxhash64("idx", "chk")).withColumn("h2", F.hash("chk", "idx")))
-    reps = written(
-        fps.where("doc_id is not null")
-        .groupBy("h", "h2")
-        .agg(F.min("doc_id").alias("rep"), F.first("idx").alias("idx"), F.first("chk").alias("chk"))
+def _digest(h: np.ndarray) -> bytes:
+    return hashlib.blake2b(h.tobytes(), digest_size=16).digest()
+
+
+def _profile(h: np.ndarray, common: np.ndarray, rank: np.ndarray, limit: Fraction) -> tuple:
+    """``digest, n, sketch, prefix`` of a shingle set.
+
+    The order is: shingles not in ``common`` by hash, then common ones by ``rank``. Sets of similarity
+    ``limit`` or more share a shingle among the first ``n - ceil(limit * n) + 1`` of each in any one order.
+    The sketch holds the parities of ``SKETCH`` buckets: sets differ in at least as many shingles as bits.
+    """
+    n = len(h)
+    often = np.zeros(n, bool)
+    if len(common) and n:
+        at = np.minimum(np.searchsorted(common, h), len(common) - 1)
+        often = common[at] == h
+    late = h[often]
+    if len(late):
+        late = late[np.argsort(rank[at[often]], kind="stable")]
+    prefix = np.concatenate([h[~often], late])[: n - math.ceil(limit * n) + 1]
+    sketch = np.packbits(np.bincount((h & np.uint64(SKETCH - 1)).astype(np.int64), minlength=SKETCH) & 1)
+    return _digest(h), n, sketch.tobytes(), prefix.view(np.int64)
+
+
+def _possible(na, nb, sa, sb, limit: Fraction) -> np.ndarray:
+    """Whether sets of these sizes and sketches (last axis: 64-bit words) may reach the similarity; never false if they do."""
+    num, den = limit.numerator, limit.denominator
+    fits = np.minimum(na, nb) * den >= np.maximum(na, nb) * num
+    return fits & (np.bitwise_count(sa ^ sb).sum(-1, dtype=np.int64) * (den + num) <= (na + nb) * (den - num))
+
+
+def _sketches(s: pd.Series) -> np.ndarray:
+    return np.frombuffer(b"".join(s), np.uint64).reshape(len(s), SKETCH // 64)
+
+
+def _common_shingles(docs: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles frequent in a sample, sorted, and their rank by frequency. They only set the order, never the result."""
+
+    @F.pandas_udf("array<long>")
+    def shingles(texts: pd.Series) -> pd.Series:
+        return pd.Series([_distinct_shingles(t, shingle).view(np.int64) for t in texts], dtype=object)
+
+    parts = max(1, docs.count() // SAMPLE)
+    some = docs.where(F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(parts)) == 0)
+    seen = some.select(F.explode(shingles(F.coalesce(F.col("text"), F.lit("")).cast("binary"))).alias("h")).groupBy("h").count()
+    top = seen.where("count > 2").orderBy(F.desc("count"), "h").limit(COMMON).collect()
+    h = np.array([r["h"] for r in top], np.int64).view(np.uint64)
+    order = np.argsort(h)
+    return h[order], np.arange(len(h), 0, -1)[order]
+
+
+def _confirmed(pairs: DataFrame, docs: DataFrame, reps: DataFrame, shingle: int, limit: Fraction) -> DataFrame:
+    """The ``pairs(a, b)`` whose shingle sets have the similarity, as edges, written once."""
+    num, den = limit.numerator, limit.denominator
+
+    @F.pandas_udf("digest binary, shingles binary")
+    def sets(texts: pd.Series) -> pd.DataFrame:
+        found = [_distinct_shingles(t, shingle) for t in texts]
+        return pd.DataFrame({"digest": [_digest(h) for h in found], "shingles": [h.tobytes() for h in found]})
+
+    @F.pandas_udf("boolean")
+    def similar(a: pd.Series, b: pd.Series) -> pd.Series:
+        def one(x: bytes, y: bytes) -> bool:
+            x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+            both = len(x) + len(y) - len(np.union1d(x, y))
+            return both * den >= (len(x) + len(y) - both) * num
+
+        return pd.Series([one(x, y) for x, y in zip(a, b, strict=True)], dtype=bool)
+
+    needed = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    held = docs.join(needed, "doc_id", "left_semi").select("doc_id", sets(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("s")).select("doc_id", "s.*")
+    held = held.join(reps.select(F.col("rep").alias("doc_id"), "digest"), ["doc_id", "digest"], "left_semi")
+    held = written(held.groupBy("doc_id", "digest").agg(F.first("shingles").alias("shingles")))
+    left, right = (held.select(F.col("doc_id").alias(c), F.col("shingles").alias(f"s{c}")) for c in "ab")
+    edges = written(pairs.join(left, "a").join(right, "b").where(similar("sa", "sb")).select(F.col("a").alias("src"), F.col("b").alias("dst")).distinct())
+    drop_written(held)
+    return edges
+
+
+def _open_pairs(lists: DataFrame, limit: Fraction) -> DataFrame:
+    """Pairs ``(a, b)`` of ``lists(key, rep, component, n, sketch)`` in one list, of two components, that may be similar; written once.
+
+    A list longer than ``BLOCK`` is compared in blocks, one task a pair of blocks.
+    """
+    block = BLOCK
+    sizes = written(lists.groupBy("key").agg(F.count("*").alias("count"), F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi"))
+    rows, listed = sizes.agg(F.sum("count")).first()[0] or 0, lists.join(sizes.select("key", "count"), "key")
+    tasks = max(1, -(-rows // TASK_ROWS))
+    blocks = F.ceil(F.col("count") / block).cast("int")
+    own = F.when(blocks > 1, F.pmod(F.xxhash64("rep", F.lit(7)), blocks)).otherwise(0).cast("int")
+    listed = listed.withColumn("own", own)
+    units = F.transform(
+        F.sequence(F.lit(0), blocks - 1), lambda o: F.struct(F.col("key").alias("unit"), F.least("own", o).alias("i"), F.greatest("own", o).alias("j"))
+    )
+    light = F.array(F.struct(F.pmod(F.xxhash64("key"), F.lit(tasks)).cast("long").alias("unit"), F.lit(-1).alias("i"), F.lit(-1).alias("j")))
+    dealt = listed.select("key", "rep", "component", "n", "sketch", "own", F.explode(F.when(blocks > 1, units).otherwise(light)).alias("u")).select(
+        "key", "rep", "component", "n", "sketch", "own", "u.*"
     )
-    # Texts of one language share their frequent words, so their bytes agree more often than by chance.
-    edges = near_edges(reps.select("rep", "idx", "chk"), MATCHES, bits_at(similarity), odds=1 / 96)
-    return _with_components(fps.select("doc_id", "h", "h2"), reps, edges, ["h", "h2"]).select("doc_id", "component_id")
+
+    def compare(at: tuple, rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("key", kind="stable")
+        key, own = rows["key"].to_numpy(), rows["own"].to_numpy()
+        ids, component, n, sketch = rows["rep"].to_numpy(), rows["component"].to_numpy(), rows["n"].to_numpy(np.int64), _sketches(rows["sketch"])
+        a, b = [ids[:0]], [ids[:0]]
+        i = np.arange(len(ids))
+        for shift in range(1, len(ids)):
+            i = i[i + shift < len(ids)]
+            i = i[key[i] == key[i + shift]]
+            if not len(i):
+                break
+            x = i[component[i] != component[i + shift]]
+            if at[1] != at[2]:  # rows of one block meet in its own task
+                x = x[own[x] != own[x + shift]]
+            x = x[_possible(n[x], n[x + shift], sketch[x], sketch[x + shift], limit)]
+            a.append(np.minimum(ids[x], ids[x + shift]))
+            b.append(np.maximum(ids[x], ids[x + shift]))
+        return pd.DataFrame({"a": np.concatenate(a), "b": np.concatenate(b)}).drop_duplicates()
+
+    with large_batches(lists.sparkSession):
+        pairs = written(dealt.groupBy("unit", "i", "j").applyInPandas(compare, "a long, b long").where("a < b").distinct())
+    drop_written(sizes)
+    return pairs
+
+
+def similar_documents(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
+    """``doc_id, component_id`` for each row of ``docs(doc_id, text)``: linked are texts of at least that similarity, exactly."""
+    limit = Fraction(similarity).limit_denominator(10**6)
+    small_batches(docs.sparkSession)
+    common, rank = _common_shingles(docs, shingle)
+
+    @F.pandas_udf("digest binary, n int, sketch binary, prefix array<long>")
+    def profile(texts: pd.Series) -> pd.DataFrame:
+        return pd.DataFrame([_profile(_distinct_shingles(t, shingle), common, rank, limit) for t in texts], columns=["digest", "n", "sketch", "prefix"])
+
+    fps = docs.select("doc_id", profile(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("p"))
+    fps = written(fps.select("doc_id", "p.*"))
+    firsts = (F.first(c).alias(c) for c in ("n", "sketch", "prefix"))
+    reps = written(fps.where("doc_id is not null").groupBy("digest").agg(F.min("doc_id").alias("rep"), *firsts))
+    same = Window.partitionBy("key")
+    lists = reps.select("rep", F.explode("prefix").alias("key"))
+    lists = written(lists.withColumn("least", F.min("rep").over(same)).withColumn("most", F.max("rep").over(same)).where("least < most").drop("most"))
+    facts = reps.select("rep", "n", "sketch")
+
+    @F.pandas_udf("boolean")
+    def possible(na: pd.Series, nb: pd.Series, sa: pd.Series, sb: pd.Series) -> pd.Series:
+        return pd.Series(_possible(na.to_numpy(np.int64), nb.to_numpy(np.int64), _sketches(sa), _sketches(sb), limit))
+
+    # Each list's least entry against the others first: that joins most copies, so few pairs of two components remain.
+    stars = lists.where("least < rep").select(F.col("least").alias("a"), F.col("rep").alias("b")).distinct()
+    left, right = (facts.select(F.col("rep").alias(c), F.col("n").alias(f"n{c}"), F.col("sketch").alias(f"s{c}")) for c in "ab")
+    stars = written(stars.join(left, "a").join(right, "b").where(possible("na", "nb", "sa", "sb")).select("a", "b"))
+    edges = _confirmed(stars, docs, reps, shingle, limit)
+    found = components(edges).withColumnRenamed("item", "rep")
+    open_lists = lists.select("key", "rep").join(found, "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    rest = _open_pairs(open_lists.join(facts, "rep"), limit)
+    edges = edges.union(_confirmed(rest, docs, reps, shingle, limit))
+    for done in (lists, stars, rest):
+        drop_written(done)
+    return _with_components(fps.select("doc_id", "digest"), reps, edges, ["digest"]).select("doc_id", "component_id")
 
 
 def deduplicate(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:

@@ -141,6 +141,35 @@ def test_similar_documents(spark, docs_of):
     assert sorted(r["doc_id"] for r in kept.collect()) == list(range(12)) and kept.columns == docs_of(pairs).columns
 
 
+def shingle_similarity(x, y, k=5):
+    x, y = ({tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))} for w in (x, y))
+    return len(x & y) / len(x | y)
+
+
+@pytest.mark.parametrize("block", [4096, 4])
+def test_similar_documents_block_edits(spark, docs_of, monkeypatch, block):
+    draw = np.random.default_rng(5)
+    words = [f"w{i}" for i in range(5000)]
+    fresh = lambda n: list(draw.choice(words, n))
+    texts = {}
+    for i in range(8):
+        w = fresh(200 + 40 * i)
+        n = len(w)
+        for part in (0.06, 0.1, 0.15, 0.19):
+            m, at = int(part * n), n // 3
+            for near in (w + fresh(m), w[m:], w[: n - m], w[:at] + w[at + m :], w[: at - m // 2] + fresh(m // 2) + w[at:]):
+                texts[len(texts) * 10 + 1000] = near
+        texts[i] = w
+    monkeypatch.setattr(simhash, "BLOCK", block)
+    links = [(a, b) for a, b in combinations(texts, 2) if shingle_similarity(texts[a], texts[b]) >= 0.8]
+    root = {i: i for i in texts}
+    while any(root[a] != root[b] for a, b in links):
+        for a, b in links:
+            root[a] = root[b] = min(root[a], root[b])
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(docs_of([(i, " ".join(w)) for i, w in texts.items()])).collect()}
+    assert got == root
+
+
 @pytest.mark.parametrize("n, matches, width", [(8, 5, 2), (8, 5, 3), (8, 5, 5)])
 def test_keys_hold_every_pair(n, matches, width):
     family = [set(k) for k in simhash.key_family(n, matches, width)]
