@@ -4,8 +4,9 @@ A turn's text may be a JSON object that holds ``tool_calls`` (each with ``id``,
 if it needs other calls first, ``after``: their ids) or a ``tool_call_id`` with ``content`` (a result).
 Calls and results are hash-joined by conversation and identifier. Turns are ordered topologically: a result
 stands at the level of its call, a call above all that it needs, every other turn at its own turn number;
-equal levels keep the order of turns. Levels are relaxed in rounds on the calls alone; calls on a cycle, or
-behind one, keep their own turn and are marked. Arguments are checked against a schema for each tool.
+equal levels keep the order of turns. Calls whose needs are all placed are placed round by round, on the
+calls alone and for as many rounds as the longest chain has; calls never placed are on a cycle, or behind
+one: they keep their own turn and are marked. Arguments are checked against a schema for each tool.
 
 Each turn becomes one row of canonical JSON (keys sorted, no white space); a conversation of any length is
 never gathered into one task or row.
@@ -32,8 +33,6 @@ SCHEMAS = {
     "calculate": [("expression", "string", True)],
     "fetch": [("url", "string", True), ("timeout", "number", False), ("follow", "boolean", False)],
 }
-#: Rounds of relaxation: the longest chain of calls that is ordered.
-ROUNDS = 64
 _SHAPE = (
     "struct<tool_calls:array<struct<id:string,name:string,arguments:variant,after:array<string>>>,"
     "tool_call_id:string,content:variant>"
@@ -83,27 +82,28 @@ def format_turns(turns: DataFrame, schemas: dict | None = None) -> DataFrame:
         .agg(F.min(F.struct("turn", "place", F.col("c.after").alias("after"))).alias("c"), F.count("*").alias("uses"))
         .select("conv_id", "id", "c.turn", F.coalesce(F.col("c.turn"), F.lit(0)).cast("long").alias("level"), "c.after", "uses")
     )
-    links = written(special.select("conv_id", "id", "turn", F.explode("after").alias("needs")).where("needs is not null"))
-    levels = special.select("conv_id", "id", "turn", "level")
-    done = True
+    ids = special.select("conv_id", F.col("id").alias("needs"))
+    links = written(special.select("conv_id", "id", F.explode("after").alias("needs")).distinct().join(ids, ["conv_id", "needs"]))
+    unmet = links.groupBy("conv_id", "id").agg(F.count("*").alias("unmet"))
+    levels = special.select("conv_id", "id", "level").join(unmet, ["conv_id", "id"], "left").withColumn("unmet", F.coalesce("unmet", F.lit(0)))
+    levels = levels.withColumn("fresh", F.col("unmet") == 0)
     if not links.isEmpty():
-        done = False
-        for _ in range(ROUNDS):
-            needed = levels.select("conv_id", F.col("id").alias("needs"), F.col("level").alias("at"))
-            over = links.join(needed, ["conv_id", "needs"]).groupBy("conv_id", "id").agg((F.max("at") + 1).alias("least"))
+        levels = written(levels)
+        while not levels.where("fresh").isEmpty():
+            needed = levels.where("fresh").select("conv_id", F.col("id").alias("needs"), F.col("level").alias("at"))
+            met = links.join(needed, ["conv_id", "needs"]).groupBy("conv_id", "id").agg((F.max("at") + 1).alias("least"), F.count("*").alias("met"))
+            left = F.col("unmet") - F.coalesce("met", F.lit(0))
             after = written(
-                levels.drop("moved")
-                .join(over, ["conv_id", "id"], "left")
-                .select("conv_id", "id", "turn", F.greatest("level", F.coalesce("least", "level")).alias("level"), (F.col("least") > F.col("level")).alias("moved"))
+                levels.drop("fresh")
+                .join(met, ["conv_id", "id"], "left")
+                .select("conv_id", "id", F.greatest("level", F.coalesce("least", "level")).alias("level"), left.alias("unmet"), ((F.col("unmet") > 0) & (left == 0)).alias("fresh"))
             )
-            moved = after.where("moved").limit(1).count()
             drop_written(levels)
             levels = after
-            if not moved:
-                done = True
-                break
-    moving = F.lit(False) if done else F.coalesce(F.col("moved"), F.lit(False))
-    placed = levels.select("conv_id", "id", F.when(moving, F.coalesce("turn", F.lit(0)).cast("long")).otherwise(F.col("level")).alias("at"), moving.alias("cycle"))
+    # What was never placed is on a cycle or behind one.
+    cycle = F.col("unmet") > 0
+    own_turn = special.select("conv_id", "id", F.col("level").alias("own"))
+    placed = levels.join(own_turn, ["conv_id", "id"]).select("conv_id", "id", F.when(cycle, F.col("own")).otherwise(F.col("level")).alias("at"), cycle.alias("cycle"))
     known = special.select("conv_id", "id", F.col("turn").alias("call_turn"), "uses").join(placed, ["conv_id", "id"])
     results = rows.where("kind = 'result'").select("conv_id", F.col("body.tool_call_id").alias("id"))
     answered = results.distinct().withColumn("answered", F.lit(True))

@@ -339,6 +339,18 @@ def test_chat(spark):
         assert list(back) == sorted(back)
 
 
+def test_chat_long_chain_and_cycle(spark):
+    call = lambda i, *after: {"id": i, "name": "calculate", "arguments": {"expression": "1"}, "after": list(after)}
+    row = lambda c, t, *calls: (c, t, "assistant", json.dumps({"tool_calls": list(calls)}))
+    n = 67
+    turns = [row(1, n - i, call(f"c{i}", *([f"c{i - 1}"] if i else []))) for i in range(n)]  # each needs the turn after it
+    turns += [row(2, 1, call("a", "b")), row(2, 5, call("b", "a")), row(2, 7, call("behind", "b")), row(2, 9, call("free", "gone"))]
+    df = spark.createDataFrame(turns, "conv_id long, turn long, role string, text string")
+    got = {(r["conv_id"], r["turn"]): (r["level"], "cycle" in r["status"]) for r in chat.format_turns(df).collect()}
+    assert all(got[(1, n - i)] == (n + i, False) for i in range(n))
+    assert [got[(2, t)] for t in (1, 5, 7, 9)] == [(1, True), (5, True), (7, True), (9, False)]
+
+
 def test_chat_empty(spark):
     assert chat.format_turns(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
