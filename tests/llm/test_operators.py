@@ -170,6 +170,21 @@ def test_similar_documents_block_edits(spark, docs_of, monkeypatch, block):
     assert got == root
 
 
+def test_similar_documents_below_the_limit_stay(spark, docs_of):
+    draw = np.random.default_rng(6)
+    words = [f"w{i}" for i in range(5000)]
+    pairs = []
+    for i in range(40):
+        w = list(draw.choice(words, 300))
+        near = list(w)
+        for p in draw.choice(60, 8, replace=False):  # apart by five, so each edit changes five shingles
+            near[5 * p + 2] = "changed"
+        assert 0.7 < shingle_similarity(w, near) < 0.8
+        pairs += [(i, " ".join(w)), (100 + i, " ".join(near))]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(docs_of(pairs)).collect()}
+    assert got == {i: i for i, _ in pairs}
+
+
 @pytest.mark.parametrize("n, matches, width", [(8, 5, 2), (8, 5, 3), (8, 5, 5)])
 def test_keys_hold_every_pair(n, matches, width):
     family = [set(k) for k in simhash.key_family(n, matches, width)]
