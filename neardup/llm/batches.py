@@ -1,27 +1,47 @@
-"""Rows in a batch between the JVM and Python workers."""
+"""Functions over whole texts as Arrow functions that hold few of them at once.
+
+Spark hands a worker up to a batch of texts (bounded by rows and by bytes). Only ``SLICE`` of them at a time are
+turned into Python objects, with what is made of them, so a worker's memory follows the batch's bytes alone.
+"""
 
 from __future__ import annotations
 
-from contextlib import contextmanager
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
+from pyspark.sql import functions as F
+from pyspark.sql.types import DataType, _parse_datatype_string
+
+SLICE = 256
+
+
+def by_row(make: Callable[[], Callable], returns: str, binary: bool = False):
+    """A column function that applies ``make()(value)`` to each value; ``make`` is called once a batch in the worker.
 
-from pyspark.sql import SparkSession
+    A null counts as the empty text (``binary``: empty bytes). Structs are given as tuples in order of fields.
+    """
+    kind = _arrow(_parse_datatype_string(returns))
+    names = [f.name for f in kind] if pa.types.is_struct(kind) else None
+    blank = b"" if binary else ""
 
-_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
-#: Rows of whole texts a batch, and of numbers: a worker holds a batch and what it makes of it at once.
-TEXTS, NUMBERS = 1000, 10_000
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        one = make()
+        for batch in batches:
+            for at in range(0, len(batch), SLICE):
+                values = [one(blank if v is None else v) for v in batch.slice(at, SLICE).to_pylist()]
+                if names is None:
+                    yield pa.array(values, kind)
+                else:
+                    columns = list(zip(*values, strict=True))
+                    yield pa.StructArray.from_arrays([pa.array(c, kind.field(n).type) for c, n in zip(columns, names, strict=True)], names)
+            if not len(batch):
+                yield pa.array([], kind)
 
+    run.__annotations__ = {"batches": Iterator[pa.Array], "return": Iterator[pa.Array]}
+    return F.arrow_udf(run, returns)
 
-def small_batches(spark: SparkSession) -> None:
-    """From now on the session hands ``TEXTS`` rows at once to Python; plans are bound to it when they run."""
-    spark.conf.set(_ROWS, TEXTS)
 
+def _arrow(kind: DataType) -> pa.DataType:
+    from pyspark.sql.pandas.types import to_arrow_type
 
-@contextmanager
-def large_batches(spark: SparkSession):
-    """``NUMBERS`` rows at once for what runs inside."""
-    before = spark.conf.get(_ROWS)
-    spark.conf.set(_ROWS, NUMBERS)
-    try:
-        yield
-    finally:
-        spark.conf.set(_ROWS, before)
+    return to_arrow_type(kind)

@@ -22,14 +22,13 @@ import re
 import struct
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neardup.llm.batches import small_batches
+from neardup.llm.batches import by_row
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
-MARK, UNKNOWN, CACHE, SLICE = "▁", 10.0, 500_000, 256
+MARK, UNKNOWN, CACHE = "▁", 10.0, 500_000
 #: Stands for a marker character of the text itself; no text and no piece can hold a lone surrogate.
 _LITERAL = "\udfff"
 
@@ -252,38 +251,23 @@ def load(path: str = MODEL) -> PieceModel:
 
 def encode(docs: DataFrame, model: PieceModel) -> DataFrame:
     """``doc_id, ids, n_pieces, n_byte_pieces, round_trip`` for each row of ``docs(doc_id, text)``."""
-    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    def encoded(batches):
+    def make():
         m = shared.value
-        for pdf in batches:
-            for s in range(0, len(pdf), SLICE):  # ids take several times the room of their text
-                part = pdf.iloc[s : s + SLICE]
-                rows = [m.encode(t) for t in part["text"]]
-                yield pd.DataFrame(
-                    {
-                        "doc_id": part["doc_id"].to_numpy(),
-                        "ids": rows,
-                        "n_pieces": [len(r) for r in rows],
-                        "n_byte_pieces": [int(m.is_byte[r].sum()) for r in rows],
-                        "round_trip": [m.decode(r) == (t or "") for r, t in zip(rows, part["text"], strict=True)],
-                    }
-                )
-
-    kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInPandas(
-        encoded, f"doc_id {kind}, ids array<int>, n_pieces int, n_byte_pieces int, round_trip boolean"
-    )
 
+        def one(text):
+            ids = m.encode(text)
+            return ids, len(ids), int(m.is_byte[ids].sum()), m.decode(ids) == text
 
-def decode(encoded: DataFrame, model: PieceModel) -> DataFrame:
-    """``doc_id, text`` for each row of ``encoded(doc_id, ids)``."""
-    small_batches(encoded.sparkSession)
-    shared = encoded.sparkSession.sparkContext.broadcast(model)
+        return one
+
+    encoded = by_row(make, "ids array<int>, n_pieces int, n_byte_pieces int, round_trip boolean")
+    return docs.select("doc_id", encoded("text").alias("e")).select("doc_id", "e.*")
 
-    @F.pandas_udf("string")
-    def text(ids: pd.Series) -> pd.Series:
-        return pd.Series([shared.value.decode(np.asarray(x, np.int64)) if x is not None else None for x in ids], dtype=object)
 
+def decode(encoded: DataFrame, model: PieceModel) -> DataFrame:
+    """``doc_id, text`` for each row of ``encoded(doc_id, ids)``; null ids are the empty text."""
+    shared = encoded.sparkSession.sparkContext.broadcast(model)
+    text = by_row(lambda: lambda x: shared.value.decode(np.asarray(x or [], np.int64)), "string")
     return encoded.select("doc_id", text("ids").alias("text"))

@@ -35,7 +35,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from neardup.llm.batches import large_batches, small_batches
+from neardup.llm.batches import by_row
 from neardup.llm.blocks import dense_roots, forest
 from neardup.operators.closure import components
 from neardup.sources.lineage import drop_written, written
@@ -76,13 +76,8 @@ def simhash(text: bytes, shingle: int = 3) -> int:
 
 def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
     """``(doc_id, fp)`` with ``fp`` a long, one row per row of ``docs(doc_id, text)``."""
-
-    @F.pandas_udf("long")
-    def fp(texts: pd.Series) -> pd.Series:
-        return pd.Series([simhash(t, shingle) for t in texts], dtype="int64")
-
-    small_batches(docs.sparkSession)
-    return docs.select("doc_id", fp(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("fp"))
+    fp = by_row(lambda: lambda t: simhash(t, shingle), "long", binary=True)
+    return docs.select("doc_id", fp(F.col("text").cast("binary")).alias("fp"))
 
 
 def key_family(n_bytes: int, matches: int, width: int) -> list[tuple[int, ...]]:
@@ -224,8 +219,7 @@ def near_edges(reps: DataFrame, matches: int, max_bits: int, odds: float = 1 / 2
         a, b = forest(a, b) if len(a) else (a, b)
         return pd.DataFrame({"src": b, "dst": a})
 
-    with large_batches(reps.sparkSession):
-        edges = written(dealt.groupBy("unit", "i", "j").applyInPandas(compare, "src long, dst long"))
+    edges = written(dealt.groupBy("unit", "i", "j").applyInPandas(compare, "src long, dst long"))
     drop_written(long_lists)
     return edges
 
@@ -293,14 +287,10 @@ def _sketches(s: pd.Series) -> np.ndarray:
 
 def _common_shingles(docs: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
     """Shingles frequent in a sample, sorted, and their rank by frequency. They only set the order, never the result."""
-
-    @F.pandas_udf("array<long>")
-    def shingles(texts: pd.Series) -> pd.Series:
-        return pd.Series([_distinct_shingles(t, shingle).view(np.int64) for t in texts], dtype=object)
-
+    shingles = by_row(lambda: lambda t: (_distinct_shingles(t, shingle).view(np.int64),), "h array<long>", binary=True)
     parts = max(1, docs.count() // SAMPLE)
     some = docs.where(F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(parts)) == 0)
-    seen = some.select(F.explode(shingles(F.coalesce(F.col("text"), F.lit("")).cast("binary"))).alias("h")).groupBy("h").count()
+    seen = some.select(F.explode(shingles(F.col("text").cast("binary"))["h"]).alias("h")).groupBy("h").count()
     top = seen.where("count > 2").orderBy(F.desc("count"), "h").limit(COMMON).collect()
     h = np.array([r["h"] for r in top], np.int64).view(np.uint64)
     order = np.argsort(h)
@@ -311,10 +301,11 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, reps: DataFrame, shingle: int,
     """The ``pairs(a, b)`` whose shingle sets have the similarity, as edges, written once."""
     num, den = limit.numerator, limit.denominator
 
-    @F.pandas_udf("digest binary, shingles binary")
-    def sets(texts: pd.Series) -> pd.DataFrame:
-        found = [_distinct_shingles(t, shingle) for t in texts]
-        return pd.DataFrame({"digest": [_digest(h) for h in found], "shingles": [h.tobytes() for h in found]})
+    def set_of(text: bytes) -> tuple[bytes, bytes]:
+        h = _distinct_shingles(text, shingle)
+        return _digest(h), h.tobytes()
+
+    sets = by_row(lambda: set_of, "digest binary, shingles binary", binary=True)
 
     @F.pandas_udf("boolean")
     def similar(a: pd.Series, b: pd.Series) -> pd.Series:
@@ -326,7 +317,7 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, reps: DataFrame, shingle: int,
         return pd.Series([one(x, y) for x, y in zip(a, b, strict=True)], dtype=bool)
 
     needed = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    held = docs.join(needed, "doc_id", "left_semi").select("doc_id", sets(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("s")).select("doc_id", "s.*")
+    held = docs.join(needed, "doc_id", "left_semi").select("doc_id", sets(F.col("text").cast("binary")).alias("s")).select("doc_id", "s.*")
     held = held.join(reps.select(F.col("rep").alias("doc_id"), "digest"), ["doc_id", "digest"], "left_semi")
     held = written(held.groupBy("doc_id", "digest").agg(F.first("shingles").alias("shingles")))
     left, right = (held.select(F.col("doc_id").alias(c), F.col("shingles").alias(f"s{c}")) for c in "ab")
@@ -374,8 +365,7 @@ def _open_pairs(lists: DataFrame, limit: Fraction) -> DataFrame:
             b.append(np.maximum(ids[x], ids[x + shift]))
         return pd.DataFrame({"a": np.concatenate(a), "b": np.concatenate(b)}).drop_duplicates()
 
-    with large_batches(lists.sparkSession):
-        pairs = written(dealt.groupBy("unit", "i", "j").applyInPandas(compare, "a long, b long").where("a < b").distinct())
+    pairs = written(dealt.groupBy("unit", "i", "j").applyInPandas(compare, "a long, b long").where("a < b").distinct())
     drop_written(sizes)
     return pairs
 
@@ -383,14 +373,11 @@ def _open_pairs(lists: DataFrame, limit: Fraction) -> DataFrame:
 def similar_documents(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
     """``doc_id, component_id`` for each row of ``docs(doc_id, text)``: linked are texts of at least that similarity, exactly."""
     limit = Fraction(similarity).limit_denominator(10**6)
-    small_batches(docs.sparkSession)
-    common, rank = _common_shingles(docs, shingle)
-
-    @F.pandas_udf("digest binary, n int, sketch binary, prefix array<long>")
-    def profile(texts: pd.Series) -> pd.DataFrame:
-        return pd.DataFrame([_profile(_distinct_shingles(t, shingle), common, rank, limit) for t in texts], columns=["digest", "n", "sketch", "prefix"])
-
-    fps = docs.select("doc_id", profile(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("p"))
+    order = docs.sparkSession.sparkContext.broadcast(_common_shingles(docs, shingle))
+    profile = by_row(
+        lambda: lambda t: _profile(_distinct_shingles(t, shingle), *order.value, limit), "digest binary, n int, sketch binary, prefix array<long>", binary=True
+    )
+    fps = docs.select("doc_id", profile(F.col("text").cast("binary")).alias("p"))
     fps = written(fps.select("doc_id", "p.*"))
     firsts = (F.first(c).alias(c) for c in ("n", "sketch", "prefix"))
     reps = written(fps.where("doc_id is not null").groupBy("digest").agg(F.min("doc_id").alias("rep"), *firsts))
@@ -420,11 +407,11 @@ def similar_documents(docs: DataFrame, similarity: float = 0.8, shingle: int = 5
 def deduplicate(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
     """``docs`` with the smallest-id document of each group of similar texts; columns unchanged.
 
-    Rows that repeat a kept id stay; rows without an id go.
+    Rows that repeat a kept id stay, and so do rows without an id: nothing names them, so nothing stands for them.
     """
     found = similar_documents(docs.select("doc_id", "text"), similarity, shingle)
-    keep = found.where("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(keep, "doc_id", "left_semi")
+    keep = found.where("doc_id is null or doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
+    return docs.join(keep, F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi")
 
 
 def hex_fingerprint(fp: str = "fp"):
