@@ -23,11 +23,12 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neardup.llm.batches import small_batches
-from neardup.sources.lineage import written
+from neardup.llm.batches import by_row
 
 #: Bound on the training sample, hashed features, passes of the fit and of the estimation.
-SAMPLE, FEATURES, PASSES, ROUNDS, CACHE = 8_000, 1 << 16, 12, 60, 200_000
+SAMPLE, FEATURES, PASSES, ROUNDS = 8_000, 1 << 16, 12, 60
+#: Tokens a worker remembers what it made of, and the longest of them.
+CACHE, LONG = 200_000, 64
 KEEP = 0.5
 LABELLERS = ("capitals", "symbols", "marks", "bars", "repeats", "variety", "length", "ends", "lines")
 #: Letters beyond ASCII count as letters; marks that join repeats of noise.
@@ -49,6 +50,8 @@ def _shape_of(token: str) -> tuple[int, int, int, int]:
     got = _shapes.get(token)
     if got is None:
         got = _shape(token)
+        if len(token) > LONG:
+            return got
         if len(_shapes) >= CACHE:
             _shapes.clear()
         _shapes[token] = got
@@ -117,12 +120,14 @@ def _hashed(token: str) -> tuple[int, int]:
     got = _hashes.get(token)
     if got is None:
         shape, last = [], ""
-        for c in token[:64]:
+        for c in token:
             k = "A" if c.isupper() else "a" if c.isalpha() else "0" if c.isdigit() else c
             if k != last:
                 shape.append(k)
             last = k
-        got = crc32(token.lower().encode()) % FEATURES, crc32(("^" + "".join(shape)).encode()) % FEATURES
+        got = crc32(token.lower().encode("utf-8", "surrogatepass")) % FEATURES, crc32(("^" + "".join(shape)).encode("utf-8", "surrogatepass")) % FEATURES
+        if len(token) > LONG:
+            return got
         if len(_hashes) >= CACHE:
             _hashes.clear()
         _hashes[token] = got
@@ -177,39 +182,25 @@ class Scorer:
 def fit(docs: DataFrame, sample: int = SAMPLE, seed: int = 0) -> tuple[Scorer, DataFrame]:
     """The scorer, and ``(pattern, n, posterior)``: all vote patterns of ``docs(doc_id, text)`` with their posterior."""
     spark = docs.sparkSession
-    small_batches(spark)
-
-    @F.pandas_udf("string")
-    def voted(texts: pd.Series) -> pd.Series:
-        return pd.Series(["".join("-01"[v + 1] for v in votes(t)) for t in texts], dtype=object)
-
-    pattern = written(docs.select("doc_id", voted("text").alias("pattern")))
-    counted = pattern.groupBy("pattern").agg(F.count("*").alias("n")).orderBy("pattern").toPandas()
+    share = min(1.0, sample / max(1, docs.count()))
+    # The draw is by id and text, so neither a repeated id nor rows without one are drawn as one.
+    drawn = F.pmod(F.xxhash64("doc_id", "text", F.lit(seed)), F.lit(1 << 40)) <= int(share * (1 << 40))
+    voted = by_row(lambda: lambda t: "".join("-01"[v + 1] for v in votes(t)), "string")
+    hashed = by_row(lambda: lambda t: tuple(x.astype(k) for x, k in zip(features(t), (np.int32, np.float32), strict=True)), "at array<int>, x array<float>")
+    counted = docs.select(voted("text").alias("pattern")).groupBy("pattern").agg(F.count("*").alias("n")).orderBy("pattern").toPandas()
     seen = [tuple("-01".index(c) - 1 for c in p) for p in counted["pattern"]]
     p, _, _ = estimate(seen, counted["n"].to_numpy(np.float64)) if len(seen) else (np.zeros(0), 0.5, None)
     table = spark.createDataFrame(pd.DataFrame({"pattern": counted["pattern"].astype(object), "n": counted["n"].astype("int64"), "posterior": p}), "pattern string, n long, posterior double")
-    share = min(1.0, sample / max(1, int(counted["n"].sum())))
-    drawn = pattern.where(F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1 << 40)) <= int(share * (1 << 40)))
-    labelled = drawn.join(F.broadcast(table.select("pattern", "posterior")), "pattern").select("doc_id", "posterior")
-    rows = docs.select("doc_id", "text").join(F.broadcast(labelled), "doc_id")
-
-    def hashed(batches):
-        for pdf in batches:
-            f = [features(t) for t in pdf["text"]]
-            yield pd.DataFrame({"doc_id": pdf["doc_id"], "posterior": pdf["posterior"], "at": [a.astype(np.int32) for a, _ in f], "x": [x.astype(np.float32) for _, x in f]})
-
-    data = rows.mapInPandas(hashed, "doc_id long, posterior double, at array<int>, x array<float>").toArrow().to_pandas()
-    data = data.sort_values("doc_id", kind="stable")  # one order of steps, whatever the partitions
+    some = docs.where(drawn).select("doc_id", voted("text").alias("pattern"), hashed("text").alias("f"))
+    data = some.join(F.broadcast(table.select("pattern", "posterior")), "pattern").select("doc_id", "posterior", "f.*").toArrow().to_pandas()
+    # One order of steps, whatever the partitions.
+    data["first"] = [tuple(a[:8].tolist()) + (len(a),) for a in data["at"]]
+    data = data.sort_values(["doc_id", "first"], kind="stable")
     return Scorer(fit_linear(list(zip(data["at"], data["x"], strict=True)), data["posterior"].to_numpy(), seed)), table
 
 
 def score(docs: DataFrame, scorer: Scorer) -> DataFrame:
     """``doc_id, score, keep`` for each row of ``docs(doc_id, text)``."""
-    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(scorer)
-
-    @F.pandas_udf("double")
-    def scored(texts: pd.Series) -> pd.Series:
-        return pd.Series([shared.value.score(t) for t in texts], dtype="float64")
-
+    scored = by_row(lambda: lambda t: shared.value.score(t), "double")
     return docs.select("doc_id", scored("text").alias("score")).withColumn("keep", F.col("score") >= KEEP)
