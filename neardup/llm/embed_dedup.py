@@ -11,7 +11,7 @@ fewer and may lose links.
 
 Defined cases: vectors that are null, empty, zero or hold null or non-finite components, and rows without a
 label, link with nothing; vectors of another length than most are compared with their like only; repeated
-rows of one id stay one row each and count as other vectors; extra columns are ignored; an empty table gives
+rows of one id stay one row each, count as other vectors and are linked each by its own vector and label; extra columns are ignored; an empty table gives
 an empty result.
 """
 
@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from neardup.llm.blocks import dense_roots, forest
-from neardup.llm.cells import fit, stacked, unit, usable
+from neardup.llm.cells import MOST, fit_cells, stacked, unit, usable
 from neardup.operators.closure import components
 from neardup.sources.lineage import written
 
@@ -63,7 +63,7 @@ def _pairs(rows: pd.DataFrame, i: int, j: int, threshold: float) -> pd.DataFrame
 
 
 def near_duplicates(
-    vectors: DataFrame, threshold: float = 0.93, slack: float = 1.0, cell: int = CELL, block: int = BLOCK
+    vectors: DataFrame, threshold: float = 0.93, slack: float = 1.0, cell: int = CELL, block: int = BLOCK, most: int = MOST
 ) -> DataFrame:
     """One row per row of ``vectors(vec_id, embedding, label)``: ``vec_id, n_links, component_id, kept``."""
     spark = vectors.sparkSession
@@ -76,7 +76,9 @@ def near_duplicates(
     reps = written(
         rows.where("ok")
         .groupBy("h1", "h2")
-        .agg(F.min("vec_id").alias("rep"), F.count("*").alias("copies"), F.first("label").alias("label"), F.first("vec").alias("vec"))
+        .agg(F.min("vec_id").alias("least"), F.count("*").alias("copies"), F.first("label").alias("label"), F.first("vec").alias("vec"))
+        # An id may be repeated with another vector or label, so entries have numbers of their own.
+        .withColumn("rep", F.monotonically_increasing_id())
     )
     sizes = reps.groupBy(F.size("vec").alias("dim"), "label").count()
     at_most = sizes.groupBy("dim").agg(F.max("count").alias("n")).collect()  # a row for each vector length
@@ -84,23 +86,13 @@ def near_duplicates(
     chord = math.sqrt(max(0.0, 2 - 2 * threshold)) * (1 + 1e-9) * slack
     for dim, n in ((r["dim"], r["n"]) for r in at_most):
         own = reps.where(F.size("vec") == dim)
-        centres = spark.sparkContext.broadcast(fit(own.select(F.col("rep").alias("id"), "vec"), -(-n // cell)))
+        cells = spark.sparkContext.broadcast(fit_cells(own.select(F.col("least").alias("id"), "vec"), -(-n // cell), most=most))
 
-        def place(batches, centres=centres):
-            c = centres.value
-            apart = np.sqrt(np.maximum(2 - 2 * c @ c.T, 1e-30))
+        def place(batches, cells=cells):
             for pdf in batches:
-                if not len(pdf):
-                    continue
-                sim = unit(stacked(pdf["vec"])) @ c.T
-                home = sim.argmax(1)
-                best = sim[np.arange(len(sim)), home]
-                visit = (best[:, None] - sim) / apart[home] <= chord + 1e-9
-                visit &= np.arange(len(c))[None, :] > home[:, None]
-                r, k = np.nonzero(visit)
-                row, at = np.concatenate([np.arange(len(sim)), r]), np.concatenate([home, k])
-                guest = np.concatenate([np.zeros(len(sim), bool), np.ones(len(r), bool)])
-                yield pdf.iloc[row].assign(cell=at.astype("int32"), guest=guest)
+                if len(pdf):
+                    row, at, guest = cells.value.place(unit(stacked(pdf["vec"])), chord)
+                    yield pdf.iloc[row].assign(cell=at.astype("int32"), guest=guest)
 
         kind = dict(reps.dtypes)["label"]
         parts.append(
@@ -145,12 +137,14 @@ def near_duplicates(
     found = written(dealt.groupBy("dim", "label", "cell", "i", "j").applyInPandas(compare, "rep long, links long, root long"))
     links = found.groupBy("rep").agg(F.sum("links").alias("links"))
     joined = components(found.where("rep <> root").select(F.col("rep").alias("src"), F.col("root").alias("dst")))
+    joined = joined.select(F.col("item").alias("rep"), "component")
+    named = joined.join(reps.select("rep", "least"), "rep").groupBy("component").agg(F.min("least").alias("component_id"))
     per_rep = (
-        reps.select("h1", "h2", "rep", "copies")
+        reps.select("h1", "h2", "rep", "least", "copies")
         .join(links, "rep", "left")
-        .join(joined.withColumnRenamed("item", "rep"), "rep", "left")
+        .join(joined.join(named, "component").select("rep", "component_id"), "rep", "left")
         .select(
-            "h1", "h2", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n"), F.coalesce("component", "rep").alias("component")
+            "h1", "h2", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n"), F.coalesce("component_id", "least").alias("component")
         )
     )
     out = rows.where("ok").select("vec_id", "h1", "h2").join(per_rep, ["h1", "h2"]).select("vec_id", F.col("n").alias("n_links"), "component")
