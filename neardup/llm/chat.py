@@ -55,9 +55,15 @@ def _fault(name: Column, arguments: Column, schemas: dict) -> Column:
     for tool, wanted in schemas.items():
         first = F.lit(None).cast("string")
         for a, kind, required in reversed(wanted):
-            wrong = F.when(field(a).isNotNull() & ~F.schema_of_variant(field(a)).rlike(_TYPES[kind]), F.lit(f"{a} is no {kind}"))
+            fits = F.schema_of_variant(field(a)).rlike(_TYPES[kind])
+            if kind == "integer":  # 2.0 is one: it is written as 2
+                fits = fits | (F.schema_of_variant(field(a)).rlike("^(DOUBLE|DECIMAL.*)$") & (F.try_variant_get(arguments, f"$.{a}", "double") % 1 == 0))
+            wrong = F.when(field(a).isNotNull() & ~F.coalesce(fits, F.lit(False)), F.lit(f"{a} is no {kind}"))
             missing = F.when(field(a).isNull(), F.lit(f"{a} is missing")) if required else F.lit(None).cast("string")
             first = F.coalesce(missing, wrong, first)
+        given = F.map_keys(F.try_variant_get(arguments, "$", "map<string,variant>"))
+        others = F.array_sort(F.array_except(given, F.array(*(F.lit(a) for a, _, _ in wanted)).cast("array<string>")))
+        first = F.coalesce(first, F.when(F.size(others) > 0, F.concat(F.array_join(others, ", "), F.lit(" undeclared"))))
         shape = F.when(~F.coalesce(F.schema_of_variant(arguments), F.lit("")).startswith("OBJECT"), F.lit("arguments are no object"))
         out = F.when(name == tool, F.coalesce(shape, first)).otherwise(out)
     return out

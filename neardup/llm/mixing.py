@@ -5,13 +5,13 @@ weight" is reached directly: with sources in order of cap per weight, the clampe
 running sums give the level of the rest.
 
 A source's repetitions are ``target / size``: the whole part for every document, and one more for some of
-them, drawn in the order of a seeded hash of the id until the words still wanted are reached. The end of that
-order is one number for each source, found from sums over hash buckets and then within the one bucket that
-holds it. At last one document of about the size still missing (or over) is taken once more (or less). So a
+them, drawn in the order of a seeded hash of id and text until the words still wanted are reached. The end of
+that order is one number for each source, found from sums over hash buckets, then over ever finer buckets
+within the one that holds it while that has over ``SPLIT`` rows, and at last row by row. At last one document of about the size still missing (or over) is taken once more (or less). So a
 row's repetitions follow from its source's few numbers and its own id: texts are neither sorted nor shuffled.
 
 Defined cases: a null text has size 0 and is taken 0 words; a null source is a source of its own, last in
-order; rows with equal ids are drawn together; a source of size 0 has target 0; extra columns are ignored;
+order; rows with equal id and text are drawn together, rows without an id by their text; a source of size 0 has target 0; extra columns are ignored;
 an empty table gives an empty result.
 """
 
@@ -24,7 +24,7 @@ from neardup.sources.lineage import written
 
 #: Weights in order of the sources, repeating: fixed values of the query's contract.
 WEIGHTS = (5.0, 2.0, 1.0)
-EPOCHS, BITS, FEW = 3, 12, 10_000
+EPOCHS, BITS, FEW, SPLIT = 3, 12, 10_000, 100_000
 
 
 def word_count(text: str = "text") -> Column:
@@ -56,8 +56,8 @@ def targets(sizes: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS) -> DataFram
 
 
 def _drawn(seed: int) -> Column:
-    """A row's place in the seeded order, from 0 to 2^63."""
-    return F.shiftrightunsigned(F.xxhash64("doc_id", F.lit(seed)), 1)
+    """A row's place in the seeded order, from 0 to 2^63, of ``docs(doc_id, text)``."""
+    return F.shiftrightunsigned(F.xxhash64("doc_id", "text", F.lit(seed)), 1)
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -70,8 +70,8 @@ def _at(source: str = "s") -> Column:
     return F.col("source").eqNullSafe(F.col(source))
 
 
-def decisions(sized: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, seed: int = 0) -> DataFrame:
-    """One row a source of ``sized(doc_id, source, size)``: ``s, source_size, target, whole, until, turned, by``.
+def decisions(sized: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, split: int = SPLIT) -> DataFrame:
+    """One row a source of ``sized(source, size, h)``, ``h`` the place in the order: ``s, source_size, target, whole, until, turned, by``.
 
     A document is taken ``whole`` times, once more if drawn up to ``until``, and ``by`` more if drawn at ``turned``.
     """
@@ -84,25 +84,32 @@ def decisions(sized: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, seed: int
         .select(F.col("source").alias("s"), "source_size", "target", "whole", "wanted")
     )
     goal = _small(goal)
-    placed = sized.withColumn("h", _drawn(seed)).withColumn("bucket", F.shiftright("h", 63 - BITS))
-    upto = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0)
-    sums = placed.groupBy("source", "bucket").agg(F.sum("size").alias("words")).withColumn("sum", F.sum("words").over(upto))
-    edge = (
-        sums.join(goal, _at())
-        .where((F.col("sum") - F.col("words") < F.col("wanted")) & (F.col("wanted") <= F.col("sum")))
-        .groupBy("s")
-        .agg(F.min(F.struct("bucket", (F.col("sum") - F.col("words")).alias("before"), "wanted")).alias("e"))
-        .select("s", F.col("e.bucket").alias("edge"), "e.before", "e.wanted")
-    )
-    edge = _small(edge)
-    inside = placed.join(edge, _at() & (F.col("bucket") == F.col("edge")))
+    placed = sized
+    inside, bits = placed.withColumn("before", F.lit(0).cast("long")), BITS
+    while True:
+        bucket = F.shiftright("h", 63 - bits).alias("bucket")
+        upto = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0)
+        sums = inside.groupBy("source", "before", bucket).agg(F.sum("size").alias("words"), F.count("*").alias("n"))
+        sums = sums.withColumn("sum", F.col("before") + F.sum("words").over(upto))
+        edge = (
+            sums.join(goal, _at())
+            .where((F.col("sum") - F.col("words") < F.col("wanted")) & (F.col("wanted") <= F.col("sum")))
+            .groupBy("s")
+            .agg(F.min(F.struct("bucket", (F.col("sum") - F.col("words")).alias("before"), "wanted", "n")).alias("e"))
+            .select("s", F.col("e.bucket").alias("edge"), "e.before", "e.wanted", "e.n")
+        )
+        edge = _small(edge)
+        inside = placed.join(edge, _at() & (F.shiftright("h", 63 - bits) == F.col("edge")))
+        if bits + BITS > 62 or (edge.agg(F.max("n")).first()[0] or 0) <= split:
+            break
+        inside, bits = inside.select("source", "size", "h", "before"), bits + BITS
     running = F.col("before") + F.sum("size").over(Window.partitionBy("source").orderBy("h").rangeBetween(Window.unboundedPreceding, 0))
     stop = inside.withColumn("got", running).groupBy("s").agg(
         F.min(F.struct(F.abs(F.col("got") - F.col("wanted")).alias("off"), "h", "got")).alias("at"), F.first("before").alias("before"), F.first("edge").alias("edge"), F.first("wanted").alias("wanted")
     )
     # Stopping before the first row of the bucket may be nearer than after any of its rows.
     none = F.col("wanted") - F.col("before") <= F.col("at.off")
-    first = F.shiftleft(F.col("edge"), 63 - BITS) - 1
+    first = F.shiftleft(F.col("edge"), 63 - bits) - 1
     stop = stop.select(F.col("s").alias("s2"), F.when(none, first).otherwise(F.col("at.h")).alias("until"), F.when(none, F.col("before")).otherwise(F.col("at.got")).alias("got"))
     cut = goal.join(stop, F.col("s").eqNullSafe(F.col("s2")), "left").drop("s2")
     cut = cut.withColumn("until", F.coalesce("until", F.lit(-1).cast("long"))).withColumn("short", F.col("wanted") - F.coalesce("got", F.lit(0)))
@@ -127,15 +134,15 @@ def _times(epochs: int, drawn: Column, at: str = "") -> Column:
 
 def plan(docs: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, seed: int = 0) -> DataFrame:
     """One row per row of ``docs(doc_id, source, text)``: ``doc_id, size, source, source_size, target, times``."""
-    sized = written(docs.select("doc_id", "source", word_count().alias("size")))
-    chosen = decisions(sized, weights, epochs, seed)
-    return sized.join(chosen, _at()).select("doc_id", "size", "source", "source_size", "target", _times(epochs, _drawn(seed)).alias("times"))
+    sized = written(docs.select("doc_id", "source", word_count().alias("size"), _drawn(seed).alias("h")))
+    chosen = decisions(sized, weights, epochs)
+    return sized.join(chosen, _at()).select("doc_id", "size", "source", "source_size", "target", _times(epochs, F.col("h")).alias("times"))
 
 
 def mix(docs: DataFrame, weights=WEIGHTS, epochs: int = EPOCHS, seed: int = 0) -> DataFrame:
     """``docs`` with every document as often as the mix takes it; columns unchanged."""
-    sized = written(docs.select("doc_id", "source", word_count().alias("size")))
-    chosen = decisions(sized, weights, epochs, seed).select(F.col("s").alias("__s"), F.struct("whole", "until", "turned", "by").alias("__d"))
+    sized = written(docs.select("source", word_count().alias("size"), _drawn(seed).alias("h")))
+    chosen = decisions(sized, weights, epochs).select(F.col("s").alias("__s"), F.struct("whole", "until", "turned", "by").alias("__d"))
     times = _times(epochs, _drawn(seed), "__d.").cast("int")
     few = F.broadcast(chosen) if chosen.count() <= FEW else chosen
     rows = docs.join(few, _at("__s")).withColumn("__times", times).where("__times > 0")

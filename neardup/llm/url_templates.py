@@ -7,7 +7,8 @@ together. A template is rejected when its share of bad labels, smoothed towards
 the overall share), is over ``reject``.
 
 All tree steps work on templates with their counts, aggregated before any other shuffle, so a host with a
-third of all rows is a few rows. Paths deeper than ``DEPTH`` segments end in ``**``.
+third of all rows is a few rows. Paths count to their last segment: a level is worked on, however deep, where
+some host has more than one segment.
 
 Defined cases: a null url, or one without ``://``, has an empty host and path and the template of that
 host's root; without labels nothing but a rule rejects; repeated rows are judged alike; extra columns are
@@ -29,9 +30,9 @@ RULES = [
     ("net", "/es/", "block"),
     ("net", "/fr/", "block"),
 ]
-#: Levels of the tree; different children at which a node's rare ones become wildcards; strength of
+#: Different children at which a node's rare ones become wildcards; strength of
 #: smoothing; two-sided 5 % point of the similarity test; templates that may be broadcast.
-DEPTH, CHILDREN, STRENGTH, SIMILAR, SMALL = 6, 32, 8.0, 1.96, 50_000
+CHILDREN, STRENGTH, SIMILAR, SMALL = 32, 8.0, 1.96, 50_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -51,13 +52,9 @@ def rule_of(rules=RULES, host: str = "host", path: str = "path") -> Column:
 
 
 def path_shape(path: str = "path") -> Column:
-    """Segments of a path with ids as wildcards, at most ``DEPTH`` and a tail mark."""
+    """All segments of a path, with ids as wildcards."""
     parts = F.filter(F.split(path, "/"), lambda s: s != "")
-    wild = F.transform(
-        F.slice(parts, 1, DEPTH),
-        lambda s: F.regexp_replace(F.regexp_replace(s, r"[0-9a-fA-F-]*[0-9][0-9a-fA-F-]{7,}", "*"), r"[0-9]+", "*"),
-    )
-    return F.when(F.size(parts) > DEPTH, F.concat(wild, F.array(F.lit("**")))).otherwise(wild)
+    return F.transform(parts, lambda s: F.regexp_replace(F.regexp_replace(s, r"[0-9a-fA-F-]*[0-9][0-9a-fA-F-]{7,}", "*"), r"[0-9]+", "*"))
 
 
 def _tally(t: DataFrame) -> DataFrame:
@@ -78,7 +75,10 @@ def templates(shapes: DataFrame) -> DataFrame:
     ``shapes(host, shape, n, labelled, bad)`` has one row for each.
     """
     now = shapes.select("host", "shape", F.col("shape").alias("segs"), "n", "labelled", "bad")
-    for p in range(1, DEPTH + 1):  # rare children of crowded nodes, from the root down
+    # How many segments a host has at each level bounds the children of any of its nodes there: one row a level.
+    each = shapes.select("host", F.posexplode("shape").alias("p", "seg")).distinct().groupBy("host", "p").agg(F.count("*").alias("kinds"))
+    kinds = {r["p"] + 1: r["kinds"] for r in each.groupBy("p").agg(F.max("kinds").alias("kinds")).collect()}
+    for k, p in enumerate(sorted(p for p in kinds if kinds[p] > CHILDREN), 1):  # rare children of crowded nodes, from the root down
         node = now.where(F.size("segs") >= p).select("host", F.slice("segs", 1, p - 1).alias("above"), _at(p).alias("seg"), "n")
         child = node.groupBy("host", "above", "seg").agg(F.sum("n").alias("n"))
         crowd = child.groupBy("host", "above").agg(F.count("*").alias("kinds"), F.sum("n").alias("all")).where(F.col("kinds") > CHILDREN)
@@ -90,9 +90,9 @@ def templates(shapes: DataFrame) -> DataFrame:
             .withColumn("segs", F.when(F.col("rare"), _with_star(p)).otherwise(F.col("segs")))
             .drop("above", "seg", "rare")
         )
-        if p % 2 == 0:
+        if k % 2 == 0:
             now = written(now)
-    for p in range(DEPTH, 0, -1):  # similar branches, from the leaves up
+    for k, p in enumerate(sorted((p for p in kinds if kinds[p] > 1), reverse=True), 1):  # similar branches, from the leaves up
         leaf = _tally(now).where(F.size("segs") >= p).withColumn("merged", _with_star(p))
         pool = leaf.groupBy("host", "merged").agg(F.sum("labelled").alias("of"), F.sum("bad").alias("hits"), F.count("*").alias("kinds")).where("kinds > 1")
         share = F.when(F.col("of") > 0, F.col("hits") / F.col("of")).otherwise(F.lit(0.0))
@@ -100,7 +100,7 @@ def templates(shapes: DataFrame) -> DataFrame:
         differs = (F.col("labelled") > 0) & (F.abs(F.col("bad") / F.greatest("labelled", F.lit(1)) - share) > SIMILAR * spread)
         similar = leaf.join(pool, ["host", "merged"]).where(~differs).select("host", "segs", "merged")
         now = now.join(similar, ["host", "segs"], "left").withColumn("segs", F.coalesce("merged", "segs")).drop("merged")
-        if p % 2 == 0:
+        if k % 2 == 0:
             now = written(now)
     return now
 
