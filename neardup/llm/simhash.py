@@ -10,8 +10,8 @@ are kept and verified by their differing bits.
 * ``similar_documents`` finds texts by the exact similarity of their distinct word shingles, without
   fingerprints. In one common order of shingles (frequent ones last), two sets of similarity ``t`` share a
   shingle among their first ``n - ceil(t n) + 1``, whatever was edited, so lists of these miss no pair. Sizes
-  and parity sketches drop pairs that cannot reach ``t``; the rest is decided on the sets. Each list's least
-  entry is compared first, then only pairs that are still in two components.
+  and parity sketches as wide as the sets drop pairs that cannot reach ``t``; the rest is decided on the sets.
+  Each list's least entry is compared first, then only pairs that are still in two components.
 
 Of fingerprints, keys combine more bytes as the number of distinct fingerprints grows, so that lists of unrelated ones stay
 short; equal fingerprints are one entry. A list longer than ``BLOCK`` (a large group of near copies) is
@@ -42,6 +42,8 @@ from neardup.sources.lineage import drop_written, written
 
 #: Rows a block of a long list, rows of short lists a task holds, most fingerprints of a random list.
 BLOCK, TASK_ROWS, LIST = 4096, 65_536, 1024
+#: Pairs (of two ids and digests) that may be broadcast.
+FEW = 500_000
 #: Bits of a shingle set's sketch, documents of the sample that orders shingles, and the most shingles ordered by it.
 SKETCH, SAMPLE, COMMON = 512, 10_000, 100_000
 
@@ -255,11 +257,12 @@ def _digest(h: np.ndarray) -> bytes:
 
 
 def _profile(h: np.ndarray, common: np.ndarray, rank: np.ndarray, limit: Fraction) -> tuple:
-    """``digest, n, sketch, prefix`` of a shingle set.
+    """``digest, n, sketch, parity, prefix`` of a shingle set.
 
     The order is: shingles not in ``common`` by hash, then common ones by ``rank``. Sets of similarity
     ``limit`` or more share a shingle among the first ``n - ceil(limit * n) + 1`` of each in any one order.
-    The sketch holds the parities of ``SKETCH`` buckets: sets differ in at least as many shingles as bits.
+    ``parity`` holds the parities of about as many buckets as there are shingles, ``sketch`` of ``SKETCH`` buckets:
+    sets differ in at least as many shingles as these differ in bits.
     """
     n = len(h)
     often = np.zeros(n, bool)
@@ -270,8 +273,21 @@ def _profile(h: np.ndarray, common: np.ndarray, rank: np.ndarray, limit: Fractio
     if len(late):
         late = late[np.argsort(rank[at[often]], kind="stable")]
     prefix = np.concatenate([h[~often], late])[: n - math.ceil(limit * n) + 1]
-    sketch = np.packbits(np.bincount((h & np.uint64(SKETCH - 1)).astype(np.int64), minlength=SKETCH) & 1)
-    return _digest(h), n, sketch.tobytes(), prefix.view(np.int64)
+    wide = max(SKETCH, 1 << max(0, n - 1).bit_length())
+    parity = np.packbits(np.bincount((h & np.uint64(wide - 1)).astype(np.int64), minlength=wide) & 1)
+    return _digest(h), n, _folded(parity.view(np.uint64), SKETCH // 64).tobytes(), parity.tobytes(), prefix.view(np.int64)
+
+
+def _folded(parity: np.ndarray, words: int) -> np.ndarray:
+    """Parities of fewer buckets, from those of a multiple of them."""
+    return np.bitwise_xor.reduce(parity.reshape(-1, words), axis=0)
+
+
+def _least_apart(x: bytes, y: bytes) -> int:
+    """Differing bits of two parity sketches, the wider one folded: the sets differ in at least as many shingles."""
+    a, b = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+    words = min(len(a), len(b))
+    return int(np.bitwise_count(_folded(a, words) ^ _folded(b, words)).sum())
 
 
 def _possible(na, nb, sa, sb, limit: Fraction) -> np.ndarray:
@@ -298,14 +314,18 @@ def _common_shingles(docs: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndar
 
 
 def _confirmed(pairs: DataFrame, docs: DataFrame, reps: DataFrame, shingle: int, limit: Fraction) -> DataFrame:
-    """The ``pairs(a, b)`` whose shingle sets have the similarity, as edges, written once."""
+    """The ``pairs(a, b)`` whose shingle sets have the similarity, as edges, written once.
+
+    Pairs go to the texts of ``b``, so the set of ``b`` travels once a pair and that of ``a`` once.
+    """
     num, den = limit.numerator, limit.denominator
 
     def set_of(text: bytes) -> tuple[bytes, bytes]:
         h = _distinct_shingles(text, shingle)
         return _digest(h), h.tobytes()
 
-    sets = by_row(lambda: set_of, "digest binary, shingles binary", binary=True)
+    # Marked so that the check of the digest is not moved below the join, where it would need the set of every text.
+    sets = by_row(lambda: set_of, "digest binary, shingles binary", binary=True).asNondeterministic()
 
     @F.pandas_udf("boolean")
     def similar(a: pd.Series, b: pd.Series) -> pd.Series:
@@ -316,13 +336,19 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, reps: DataFrame, shingle: int,
 
         return pd.Series([one(x, y) for x, y in zip(a, b, strict=True)], dtype=bool)
 
-    needed = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    held = docs.join(needed, "doc_id", "left_semi").select("doc_id", sets(F.col("text").cast("binary")).alias("s")).select("doc_id", "s.*")
-    held = held.join(reps.select(F.col("rep").alias("doc_id"), "digest"), ["doc_id", "digest"], "left_semi")
-    held = written(held.groupBy("doc_id", "digest").agg(F.first("shingles").alias("shingles")))
-    left, right = (held.select(F.col("doc_id").alias(c), F.col("shingles").alias(f"s{c}")) for c in "ab")
-    edges = written(pairs.join(left, "a").join(right, "b").where(similar("sa", "sb")).select(F.col("a").alias("src"), F.col("b").alias("dst")).distinct())
-    drop_written(held)
+    digest = lambda c: reps.select(F.col("rep").alias(c), F.col("digest").alias(f"d{c}"))
+    pairs = written(pairs.join(digest("a"), "a").join(digest("b"), "b"))
+    few = F.broadcast if pairs.count() <= FEW else lambda x: x
+
+    def held(rows: DataFrame, c: str) -> DataFrame:
+        """``rows`` with the set of ``c``; an id may be repeated with another text, whose digest differs."""
+        own = docs.join(few(rows), F.col("doc_id") == F.col(c)).select(*rows.columns, sets(F.col("text").cast("binary")).alias("s"))
+        return own.where(F.col("s.digest") == F.col(f"d{c}")).withColumn(f"s{c}", F.col("s.shingles")).drop("s")
+
+    right = held(pairs, "b").select("a", "b", "sb")
+    left = held(pairs.select("a", "da").distinct(), "a").groupBy("a").agg(F.first("sa").alias("sa"))
+    edges = written(right.join(left, "a").where(similar("sa", "sb")).select(F.col("a").alias("src"), F.col("b").alias("dst")).distinct())
+    drop_written(pairs)
     return edges
 
 
@@ -375,31 +401,47 @@ def similar_documents(docs: DataFrame, similarity: float = 0.8, shingle: int = 5
     limit = Fraction(similarity).limit_denominator(10**6)
     order = docs.sparkSession.sparkContext.broadcast(_common_shingles(docs, shingle))
     profile = by_row(
-        lambda: lambda t: _profile(_distinct_shingles(t, shingle), *order.value, limit), "digest binary, n int, sketch binary, prefix array<long>", binary=True
+        lambda: lambda t: _profile(_distinct_shingles(t, shingle), *order.value, limit), "digest binary, n int, sketch binary, parity binary, prefix array<long>", binary=True
     )
     fps = docs.select("doc_id", profile(F.col("text").cast("binary")).alias("p"))
     fps = written(fps.select("doc_id", "p.*"))
-    firsts = (F.first(c).alias(c) for c in ("n", "sketch", "prefix"))
+    firsts = (F.first(c).alias(c) for c in ("n", "sketch", "parity", "prefix"))
     reps = written(fps.where("doc_id is not null").groupBy("digest").agg(F.min("doc_id").alias("rep"), *firsts))
     same = Window.partitionBy("key")
     lists = reps.select("rep", F.explode("prefix").alias("key"))
     lists = written(lists.withColumn("least", F.min("rep").over(same)).withColumn("most", F.max("rep").over(same)).where("least < most").drop("most"))
-    facts = reps.select("rep", "n", "sketch")
 
     @F.pandas_udf("boolean")
     def possible(na: pd.Series, nb: pd.Series, sa: pd.Series, sb: pd.Series) -> pd.Series:
         return pd.Series(_possible(na.to_numpy(np.int64), nb.to_numpy(np.int64), _sketches(sa), _sketches(sb), limit))
 
-    # Each list's least entry against the others first: that joins most copies, so few pairs of two components remain.
+    @F.pandas_udf("int")
+    def apart(na: pd.Series, nb: pd.Series, pa: pd.Series, pb: pd.Series) -> pd.Series:
+        least = np.array([_least_apart(x, y) for x, y in zip(pa, pb, strict=True)], np.int64)
+        far = least * (limit.denominator + limit.numerator) > (na + nb).to_numpy(np.int64) * (limit.denominator - limit.numerator)
+        return pd.Series(least, dtype="Int32").mask(far)
+
+    def sides(pairs: DataFrame, *kept: str) -> DataFrame:
+        for c in "ab":
+            pairs = pairs.join(reps.select(F.col("rep").alias(c), *(F.col(k).alias(f"{k}_{c}") for k in kept)), c)
+        return pairs
+
+    def likely(pairs: DataFrame) -> DataFrame:
+        """``pairs`` with ``apart``, the least number of shingles they differ in, where that allows the similarity."""
+        return sides(pairs, "n", "parity").select("a", "b", apart("n_a", "n_b", "parity_a", "parity_b").alias("apart")).where("apart is not null")
+
+    # Each entry against the nearest by parities of its lists' least ones first: that joins most copies with one
+    # exact check an entry, so that few pairs of two components remain.
     stars = lists.where("least < rep").select(F.col("least").alias("a"), F.col("rep").alias("b")).distinct()
-    left, right = (facts.select(F.col("rep").alias(c), F.col("n").alias(f"n{c}"), F.col("sketch").alias(f"s{c}")) for c in "ab")
-    stars = written(stars.join(left, "a").join(right, "b").where(possible("na", "nb", "sa", "sb")).select("a", "b"))
+    stars = sides(stars, "n", "sketch").where(possible("n_a", "n_b", "sketch_a", "sketch_b")).select("a", "b")
+    stars = written(likely(stars).groupBy("b").agg(F.min(F.struct("apart", "a"))["a"].alias("a")).select("a", "b"))
     edges = _confirmed(stars, docs, reps, shingle, limit)
     found = components(edges).withColumnRenamed("item", "rep")
     open_lists = lists.select("key", "rep").join(found, "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    rest = _open_pairs(open_lists.join(facts, "rep"), limit)
+    open_pairs = _open_pairs(open_lists.join(reps.select("rep", "n", "sketch"), "rep"), limit)
+    rest = written(likely(open_pairs).select("a", "b"))
     edges = edges.union(_confirmed(rest, docs, reps, shingle, limit))
-    for done in (lists, stars, rest):
+    for done in (lists, stars, open_pairs, rest):
         drop_written(done)
     return _with_components(fps.select("doc_id", "digest"), reps, edges, ["digest"]).select("doc_id", "component_id")
 
