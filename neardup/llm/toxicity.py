@@ -37,7 +37,7 @@ from neardup.llm.batches import by_row
 from neardup.sources.lineage import written
 
 #: Bound on the examples, rows a block, neighbours, weight of the prior, decision.
-EXAMPLES, BLOCK, NEIGHBOURS, PRIOR, TOXIC = 20_000, 64, 15, 0.5, 0.7
+EXAMPLES, BLOCK, NEIGHBOURS, PRIOR, TOXIC = 10_000, 64, 15, 0.5, 0.7
 #: Letters of a word's beginning that is a term of its own, and the fewest examples that hold a term.
 BEGINNING, FEWEST = 5, 3
 _WORD = re.compile(r"[^\W_]+")
@@ -104,25 +104,31 @@ class BlockMaxIndex:
             b, _, most = self.most[t]
             bound[b] += q * most
         score = np.zeros(len(self.ids))
-        order = np.argsort(-bound, kind="stable")
+        order = np.argsort(-bound, kind="stable")[: 2 + 2 * -(-k // BLOCK)]
         first = np.zeros(self.blocks, bool)
-        first[order[: 2 + 2 * -(-k // BLOCK)]] = True
-        self._open(score, query, first & (bound > 0))
+        first[order[bound[order] > 0]] = True
+        rows = self._rows(first)
+        self._open(score, query, first)
         if 0 <= without < len(score):
             score[without] = 0
-        kth = np.partition(score, -k)[-k] if len(score) > k else 0.0
+        kth = np.partition(score[rows], -k)[-k] if len(rows) > k else 0.0
         rest = (bound >= kth * (1 - 1e-12)) & (bound > 0) & ~first
         if rest.any():
             self._open(score, query, rest)
             if 0 <= without < len(score):
                 score[without] = 0
-        hit = np.flatnonzero(score > 0)
+            rows = np.concatenate([rows, self._rows(rest)])
+        hit = rows[score[rows] > max(0.0, kth * (1 - 1e-12))] if kth else rows[score[rows] > 0]
         if len(hit) > k:
             cut = np.partition(score[hit], -k)[-k]
             hit = hit[score[hit] >= cut]
         hit = hit[np.lexsort((hit, -score[hit]))][:k]
         return hit, score[hit]
 
+    def _rows(self, blocks: np.ndarray) -> np.ndarray:
+        rows = (np.flatnonzero(blocks)[:, None] * BLOCK + np.arange(BLOCK)).ravel()
+        return rows[rows < len(self.ids)]
+
 
 def isotonic(raw: np.ndarray, label: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Steps of the best non-decreasing map from raw scores to label shares, each smoothed by one average row."""
