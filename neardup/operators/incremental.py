@@ -11,37 +11,56 @@ from pyspark.sql import functions as F
 
 from neardup.config import DEFAULT, Config
 from neardup.operators import augment, closure, kcut, search
-from neardup.operators.terms import group_bits
+from neardup.operators.terms import search_terms
 from neardup.sources.lineage import written
 
 MAPPING = "item_id long, head_id long, score_to_head double"
 
 
-def _hamming_score(pairs: DataFrame, items: DataFrame, bits: int, a: str, b: str) -> DataFrame:
-    return search.with_distance(pairs, items, a, b).withColumn("score", 1 - F.col("distance") / bits).drop("distance")
+def _scored(pairs: DataFrame, items: DataFrame, cfg: Config, scorer, a: str, b: str) -> DataFrame:
+    """``pairs`` with ``score``: the share of equal bits, or what ``scorer`` says."""
+    if scorer is not None:
+        return scorer.score(pairs, items, a, b)
+    return search.with_distance(pairs, items, a, b).withColumn("score", 1 - F.col("distance") / cfg.bits).drop("distance")
 
 
-def match_existing(new: DataFrame, old: DataFrame, mapping: DataFrame, cfg: Config = DEFAULT) -> DataFrame:
+def match_existing(new: DataFrame, old: DataFrame, mapping: DataFrame, cfg: Config = DEFAULT, scorer=None, threshold: float | None = None) -> DataFrame:
     """``(item_id, head_id, score)``: new items that match an existing cluster by its head or a member near it.
 
-    No closure here: an existing cluster only gains members. ``new`` and ``old`` are ``(item_id, words)``.
+    No closure here: an existing cluster only gains members. ``new`` and ``old`` are ``(item_id, words)``. Pairs match
+    above ``threshold`` (by default that of ``cfg``) of ``scorer`` (by default the share of equal bits).
     """
     heads = search.head_index(old, mapping)
-    cands = search.batch_search(group_bits(new, cfg.bits, cfg.width), group_bits(heads, cfg.bits, cfg.width), None, cfg.min_overlap)
+    layout = cfg.for_items(old.count() + new.count())
+    cands = search.batch_search(search_terms(new, layout), search_terms(heads, layout), None, cfg.min_overlap)
     pairs = augment.expand(cands, mapping, cfg.augment_k)
-    both = new.unionByName(old)
-    scored = _hamming_score(pairs, both, cfg.bits, "query_id", "member_id")
-    limit = 1 - (cfg.max_distance + 0.5) / cfg.bits
+    scored = _scored(pairs, new.unionByName(old), cfg, scorer, "query_id", "member_id")
+    limit = cfg.threshold if threshold is None else threshold
     return augment.accept(scored, limit).select(F.col("query_id").alias("item_id"), "head_id", "score", "via")
 
 
-def match_new(new: DataFrame, cfg: Config = DEFAULT) -> DataFrame:
-    """``(item_id, head_id, score)``: clusters among the new items by closure and cut; singletons map to themselves."""
-    near = search.near_pairs(new, cfg.bits, cfg.width, cfg.min_overlap, cfg.max_distance)
-    comps = closure.components(near.select(F.col("a").alias("src"), F.col("b").alias("dst")))
-    cut = kcut.cut(comps, new, cfg.max_distance, cfg.seed)
-    alone = new.join(cut, "item_id", "left_anti").select("item_id", F.col("item_id").alias("head_id"), F.lit(0.0).alias("value"))
-    return cut.unionByName(alone).select("item_id", "head_id", (1 - F.col("value") / cfg.bits).alias("score"))
+def match_new(new: DataFrame, cfg: Config = DEFAULT, scorer=None, threshold: float | None = None, elect=None) -> DataFrame:
+    """``(item_id, head_id, score)``: clusters among the new items by closure and cut; singletons map to themselves.
+
+    With a ``scorer`` both the edges and the cut are its decisions. ``elect`` takes ``(item_id, cluster)`` and gives
+    ``(cluster, head_id)``: the head a new cluster is born with; without it the head is the one that cut it.
+    """
+    if scorer is None:
+        near = search.near_pairs(new, cfg)
+        cut = kcut.cut(closure.components(near.select(F.col("a").alias("src"), F.col("b").alias("dst"))), new, cfg.max_distance, cfg.seed)
+        cut = cut.select("item_id", "head_id", (1 - F.col("value") / cfg.bits).alias("score"))
+    else:
+        limit = cfg.threshold if threshold is None else threshold
+        cands = search.self_search(search_terms(new, cfg.for_items(new.count())), cfg.min_overlap).select("a", "b")
+        comps = closure.components(closure.star_edges(scorer.score(cands, new), limit))
+        cut = kcut.greedy_cut(comps, new, scorer=scorer, threshold=limit, seed=cfg.seed).select("item_id", "head_id", F.col("value").alias("score"))
+    if elect is not None:
+        named = elect(cut.select("item_id", F.col("head_id").alias("cluster"))).withColumnRenamed("head_id", "born")
+        members = written(cut.join(named, cut["head_id"] == named["cluster"]).select("item_id", F.col("born").alias("head_id")))
+        others = _scored(members.where("item_id <> head_id"), new, cfg, scorer, "head_id", "item_id").select("item_id", "head_id", "score")
+        cut = others.unionByName(members.where("item_id = head_id").withColumn("score", F.lit(1.0)))
+    alone = new.join(cut, "item_id", "left_anti").select("item_id", F.col("item_id").alias("head_id"), F.lit(1.0).alias("score"))
+    return cut.unionByName(alone)
 
 
 def merge(old_side: DataFrame, new_side: DataFrame, rule: str = "follow") -> DataFrame:
@@ -77,29 +96,34 @@ def merge(old_side: DataFrame, new_side: DataFrame, rule: str = "follow") -> Dat
     return out
 
 
-def apply_batch(mapping: DataFrame | None, old: DataFrame | None, new: DataFrame, cfg: Config = DEFAULT) -> DataFrame:
-    """The mapping after a batch, with ``source`` for the new rows. Items that are mapped already change nothing."""
+def apply_batch(
+    mapping: DataFrame | None, old: DataFrame | None, new: DataFrame, cfg: Config = DEFAULT, scorer=None, threshold: float | None = None, elect=None
+) -> DataFrame:
+    """The mapping after a batch, with ``source`` for the new rows. Items that are mapped already change nothing.
+
+    ``scorer``, ``threshold`` and ``elect`` as in ``match_new``; heads of existing clusters stay.
+    """
     if mapping is None:
-        return match_new(new, cfg).select("item_id", "head_id", F.col("score").alias("score_to_head"), F.lit("new").alias("source"))
+        return match_new(new, cfg, scorer, threshold, elect).select("item_id", "head_id", F.col("score").alias("score_to_head"), F.lit("new").alias("source"))
     mapped = mapping.select("item_id", "head_id", "score_to_head")
     fresh = written(new.join(mapped, "item_id", "left_anti"))
-    added = merge(match_existing(fresh, old, mapped, cfg), match_new(fresh, cfg), cfg.merge)
+    added = merge(match_existing(fresh, old, mapped, cfg, scorer, threshold), match_new(fresh, cfg, scorer, threshold, elect), cfg.merge)
     return mapped.withColumn("source", F.lit("kept")).unionByName(added)
 
 
-def rebuild(items: DataFrame, cfg: Config = DEFAULT) -> DataFrame:
+def rebuild(items: DataFrame, cfg: Config = DEFAULT, scorer=None, threshold: float | None = None, elect=None) -> DataFrame:
     """The baseline without increments: closure and cut over all items."""
-    return match_new(items, cfg).select("item_id", "head_id", F.col("score").alias("score_to_head"))
+    return match_new(items, cfg, scorer, threshold, elect).select("item_id", "head_id", F.col("score").alias("score_to_head"))
 
 
-def run_days(items: DataFrame, days: DataFrame, cfg: Config = DEFAULT) -> tuple[DataFrame, list[dict]]:
+def run_days(items: DataFrame, days: DataFrame, cfg: Config = DEFAULT, scorer=None, threshold: float | None = None, elect=None) -> tuple[DataFrame, list[dict]]:
     """Applies the batches of ``days(item_id, day)`` in order: the last mapping and a report for each day."""
     items = written(items.join(days, "item_id"))
     mapping, report = None, []
     for day in [r["day"] for r in items.select("day").distinct().orderBy("day").collect()]:  # a row a day
         new = items.where(F.col("day") == day).select("item_id", "words")
         old = items.where(F.col("day") < day).select("item_id", "words")
-        after = written(apply_batch(mapping, old, new, cfg))
+        after = written(apply_batch(mapping, old, new, cfg, scorer, threshold, elect))
         report.append({"day": day} | {r["source"]: r["count"] for r in after.groupBy("source").count().collect()})
         mapping = after.select("item_id", "head_id", "score_to_head")
     return mapping, report

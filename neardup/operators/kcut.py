@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+from itertools import count
 
 import numpy as np
 import pandas as pd
@@ -29,7 +30,7 @@ def _order(head_rule: str, seed: int, weight: str | None):
 
 def greedy_cut(
     components: DataFrame, items: DataFrame, max_distance: int | None = None, scorer=None, threshold: float | None = None,
-    seed: int = 0, head_rule: str = "seeded", rounds: int = 1000, log: list | None = None,
+    seed: int = 0, head_rule: str = "seeded", log: list | None = None,
 ) -> DataFrame:
     """``(item_id, head_id, distance or score)`` from ``components(item, component)``.
 
@@ -41,7 +42,7 @@ def greedy_cut(
     keep = ["item_id", "component", "words", *([weight] if weight else [])]
     pending = written(components.select(F.col("item").alias("item_id"), "component").join(items, "item_id").select(*keep))
     done = []
-    for n in range(rounds):
+    for n in count():
         heads = pending.groupBy("component").agg(F.min(_order(head_rule, seed, weight))["item_id"].alias("head_id"))
         if scorer is None:
             words = pending.select(F.col("item_id").alias("head_id"), F.col("words").alias("head_words"))
@@ -65,8 +66,6 @@ def greedy_cut(
         pending = left
         if left.isEmpty():
             break
-    else:
-        raise RuntimeError(f"items are left after {rounds} rounds")
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
@@ -105,6 +104,6 @@ def route(components: DataFrame, small: int = SMALL) -> tuple[DataFrame, DataFra
 
 def cut(components: DataFrame, items: DataFrame, max_distance: int, seed: int = 0) -> DataFrame:
     """Small components in one task each, larger ones in distributed rounds; the same result either way."""
-    few, many = route(components)
+    few, many = route(written(components))
     out = cut_small(few, items, max_distance, seed)
     return out if many.isEmpty() else out.unionByName(greedy_cut(many, items, max_distance, seed=seed))

@@ -4,15 +4,16 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from neardup.functions import text as T
 from neardup.operators import search, signatures
 from neardup.operators.terms import group_bits
+from neardup.sources.lineage import written
 
-#: Values of a global descriptor.
-GLOBAL = 16
+#: Values of a global descriptor, and matched places a task aligns.
+GLOBAL, MATCHES = 16, 200_000
 #: What the tree sees of an aligned pair: differences, size and place of the overlap.
 FEATURES = ["matches", "offset", "inliers", "inlier_ratio", "overlap_a", "overlap_b", "start_a", "start_b", *(f"d{i}" for i in range(GLOBAL))]
 
@@ -42,16 +43,18 @@ def global_candidates(items: DataFrame, bits: int = 64, width: int = 8, min_over
     return search.self_search(group_bits(signatures.binarize(flat, bits, "hyperplane", seed), bits, width), min_overlap)
 
 
-def keypoints(items: DataFrame, most_common: int = 50) -> DataFrame:
-    """Local descriptors ``(item_id, h, pos)``: hashes and places of three-word runs held by at most ``most_common`` items."""
+def keypoints(items: DataFrame) -> DataFrame:
+    """Local descriptors ``(item_id, h, pos)``: hashes of all three-word runs and the first place of each.
+
+    They are joined for given pairs only, so a run that many items hold costs no more than another.
+    """
     t = T.words()
     runs = items.select("item_id", t.alias("w")).select(
         "item_id",
         F.posexplode(F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - 2, F.lit(1))), lambda i: F.array_join(F.slice("w", i, 3), " "))).alias("pos", "run"),
     )
     h = runs.select("item_id", F.conv(F.substring(F.md5("run"), 1, 15), 16, 10).cast("long").alias("h"), "pos")
-    rare = h.groupBy("h").agg(F.countDistinct("item_id").alias("df")).where(F.col("df") <= most_common).select("h")
-    return h.join(rare, "h").groupBy("item_id", "h").agg(F.min("pos").alias("pos"))
+    return h.groupBy("item_id", "h").agg(F.min("pos").alias("pos"))
 
 
 def align(pairs: DataFrame, points: DataFrame, iters: int = 32, tol: float = 4.0, seed: int = 0) -> DataFrame:
@@ -62,7 +65,7 @@ def align(pairs: DataFrame, points: DataFrame, iters: int = 32, tol: float = 4.0
     """
     pa = points.select(F.col("item_id").alias("a"), "h", F.col("pos").alias("x"))
     pb = points.select(F.col("item_id").alias("b"), "h", F.col("pos").alias("y"))
-    matched = pairs.select("a", "b").join(pa, "a").join(pb, ["b", "h"])
+    matched = written(pairs.select("a", "b").join(pa, "a").join(pb, ["b", "h"]))
 
     def fit(at: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values(["x", "y"])
@@ -86,8 +89,13 @@ def align(pairs: DataFrame, points: DataFrame, iters: int = 32, tol: float = 4.0
             columns=["a", "b", "matches", "scale", "offset", "inliers", "inlier_ratio", "overlap_a", "overlap_b", "start_a", "start_b"],
         )
 
-    return matched.groupBy("a", "b").applyInPandas(
-        fit, "a long, b long, matches int, scale double, offset double, inliers int, inlier_ratio double, overlap_a double, overlap_b double, start_a double, start_b double"
+    def fit_many(rows: pd.DataFrame) -> pd.DataFrame:
+        return pd.concat([fit(at, r) for at, r in rows.groupby(["a", "b"])], ignore_index=True)
+
+    # Many pairs a task; a pair's matches are at most the runs of its shorter text.
+    parts = max(1, matched.count() // MATCHES)
+    return matched.groupBy(F.pmod(F.xxhash64("a", "b"), F.lit(parts)).alias("part")).applyInPandas(
+        fit_many, "a long, b long, matches int, scale double, offset double, inliers int, inlier_ratio double, overlap_a double, overlap_b double, start_a double, start_b double"
     )
 
 
@@ -100,6 +108,19 @@ def offset_votes(pairs: DataFrame, points: DataFrame) -> DataFrame:
     return votes.groupBy("a", "b").agg(F.sum("votes").alias("matches"), best).select("a", "b", "matches", F.col("m.offset").alias("offset"), (-F.col("m.low")).alias("votes"))
 
 
+class VoteScorer:
+    """The geometric check as a scorer of ``items(item_id, text)``: matched runs at the most voted offset over the words of the longer text."""
+
+    def score(self, pairs: DataFrame, items: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+        asked = pairs.select(F.col(a).alias("a"), F.col(b).alias("b")).distinct()
+        points = written(keypoints(items.join(asked.select(F.explode(F.array("a", "b")).alias("item_id")).distinct(), "item_id", "left_semi")))
+        votes = offset_votes(asked, points).select(F.col("a").alias(a), F.col("b").alias(b), "votes")
+        size = lambda c, n: items.select(F.col("item_id").alias(c), F.size(T.words()).alias(n))
+        out = pairs.join(votes, [a, b], "left").join(size(a, "__na"), a).join(size(b, "__nb"), b)
+        longer = F.greatest("__na", "__nb", F.lit(1))
+        return out.withColumn("score", F.coalesce("votes", F.lit(0)) / longer).drop("votes", "__na", "__nb")
+
+
 def bow_search(bags: DataFrame, min_shared: int = 2, idf: bool = False) -> DataFrame:
     """Second generation: pairs ``(a, b, overlap)`` of ``bags(item_id, term)`` by shared words; with ``idf`` their summed weight as ``weight``."""
     rows = bags.distinct()
@@ -112,6 +133,24 @@ def bow_search(bags: DataFrame, min_shared: int = 2, idf: bool = False) -> DataF
     return joined.join(weight, "term").groupBy("a", "b").agg(F.count("*").alias("overlap"), F.sum("idf").alias("weight")).where(F.col("overlap") >= min_shared)
 
 
+def overlapping(bags: DataFrame, share: float) -> DataFrame:
+    """Pairs ``(a, b, overlap)`` of ``bags(item_id, term)`` that share at least ``share`` of the larger bag's terms.
+
+    In one order of terms, rare ones first, two such bags share a term among the first ``n - ceil(share * n) + 1``
+    of either, so frequent terms open no lists; overlaps are then counted on the whole bags of those pairs.
+    """
+    rows = bags.distinct()
+    df = rows.groupBy("term").agg(F.count("*").alias("df"))
+    first = Window.partitionBy("item_id").orderBy("df", "term")
+    sized = rows.join(df, "term").withColumn("place", F.row_number().over(first)).withColumn("n", F.count("*").over(Window.partitionBy("item_id")))
+    prefix = sized.where(F.col("place") <= F.col("n") - F.ceil(F.lit(share) * F.col("n") - 1e-9) + 1)
+    left, right = (prefix.select(F.col("item_id").alias(c), "term", F.col("n").alias(f"n{c}")) for c in "ab")
+    pairs = left.join(right, "term").where("a < b").where((F.col("na") >= F.lit(share) * F.col("nb") - 1e-9) & (F.col("nb") >= F.lit(share) * F.col("na") - 1e-9)).select("a", "b", "na", "nb").distinct()
+    ta, tb = (rows.select(F.col("item_id").alias(c), "term") for c in "ab")
+    shared = pairs.join(ta, "a").join(tb, ["b", "term"]).groupBy("a", "b", "na", "nb").agg(F.count("*").alias("overlap"))
+    return shared.where(F.col("overlap") >= F.lit(share) * F.greatest("na", "nb") - 1e-9).select("a", "b", "overlap")
+
+
 def pair_features(aligned: DataFrame, descriptors: DataFrame) -> DataFrame:
     """Aligned pairs with the absolute differences ``d0..d15`` of their global descriptors and overlaps by length."""
     a = descriptors.select(F.col("item_id").alias("a"), F.col("vec").alias("va"))

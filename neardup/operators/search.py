@@ -7,8 +7,10 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from neardup.config import DEFAULT, Config
 from neardup.functions import bits as B
-from neardup.operators.terms import exploded, group_bits
+from neardup.operators.signatures import collapse_exact
+from neardup.operators.terms import exploded, group_bits, search_terms
 
 
 def _shared(query: DataFrame, index: DataFrame, form: str, salts: int) -> DataFrame:
@@ -81,10 +83,21 @@ def with_distance(pairs: DataFrame, items: DataFrame, a: str = "a", b: str = "b"
     return pairs.join(left, a).join(right, b).withColumn("distance", B.hamming("__wa", "__wb")).drop("__wa", "__wb")
 
 
-def near_pairs(items: DataFrame, bits: int = 256, width: int = 8, min_overlap: int = 2, max_distance: int = 64) -> DataFrame:
-    """Pairs ``(a, b, overlap, distance)`` of ``items(item_id, words)`` found by terms and kept by distance."""
-    found = self_search(group_bits(items, bits, width), min_overlap)
-    return with_distance(found, items).where(F.col("distance") <= max_distance)
+def near_pairs(items: DataFrame, cfg: Config = DEFAULT, salts: int = 1) -> DataFrame:
+    """Pairs ``(a, b, overlap, distance)`` of ``items(item_id, words)`` found by terms and kept by distance.
+
+    The layout of terms follows the number of items (``Config.for_items``).
+
+    Equal bits are one item, the smallest; each copy is paired with it alone, at distance 0 and with all terms
+    shared. So a group of copies adds a pair a copy, and posting lists hold different bits only.
+    """
+    reps, copies = collapse_exact(items)
+    cfg = cfg.for_items(items.count())
+    found = self_search(search_terms(reps, cfg), cfg.min_overlap, salts)
+    near = with_distance(found, reps).where(F.col("distance") <= cfg.max_distance)
+    groups = (cfg.bits // cfg.width) * (1 + cfg.repeats)
+    same = copies.where("item_id <> rep_id").select(F.col("rep_id").alias("a"), F.col("item_id").alias("b"), F.lit(groups).cast("long").alias("overlap"), F.lit(0).alias("distance"))
+    return near.unionByName(same)
 
 
 def all_pairs(df: DataFrame, measure: str = "hamming") -> DataFrame:

@@ -51,6 +51,11 @@ def binarize(df: DataFrame, dims: int, rule: str = "sign", seed: int = 0) -> Dat
     raise ValueError(rule)
 
 
+def seeded_positions(bits: int, n: int, seed: int = 0) -> list[int]:
+    """A seeded draw of ``n`` of ``bits`` positions, in order."""
+    return sorted(np.random.default_rng(seed).permutation(bits)[:n].tolist())
+
+
 def bit_positions(df: DataFrame, bits: int, n: int, by: str = "prefix", seed: int = 0) -> list[int]:
     """Which ``n`` of ``bits`` to keep: the first, a seeded draw, the most balanced, or balanced and uncorrelated ones.
 
@@ -59,7 +64,7 @@ def bit_positions(df: DataFrame, bits: int, n: int, by: str = "prefix", seed: in
     if by == "prefix":
         return list(range(n))
     if by == "seeded":
-        return sorted(np.random.default_rng(seed).permutation(bits)[:n].tolist())
+        return seeded_positions(bits, n, seed)
     ones = df.agg(*(F.avg(B.bit("words", p)).alias(f"b{p}") for p in range(bits))).first()
     even = [(abs(float(x if x is not None else 0) - 0.5), p) for p, x in enumerate(ones)]
     if by == "entropy":

@@ -2,35 +2,53 @@
 
 from __future__ import annotations
 
-import math
-
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from neardup.config import DEFAULT, Config
 from neardup.functions import bits as B
 
 
+def positions(bits: int, width: int, repeats: int = 0, seed: int = 0) -> list[list[int]]:
+    """The bit positions of every group, lowest first: consecutive ones, then those of ``repeats`` seeded orders of the bits."""
+    draw = np.random.default_rng(seed)
+    orders = [list(range(bits))] + [draw.permutation(bits).tolist() for _ in range(repeats)]
+    return [order[g * width : (g + 1) * width] for order in orders for g in range(bits // width)]
+
+
 def group_bits(df: DataFrame, bits: int, width: int, layout: str = "disjoint", repeats: int = 1, seed: int = 0) -> DataFrame:
     """``df(item_id, words)`` to ``(item_id, terms)``; a term is ``group * 2^width + value``.
 
     ``disjoint``: consecutive groups, a short rest is dropped; ``permuted``: ``repeats`` further groupings of
-    seeded orders of the bits, whose group numbers go on counting.
+    seeded orders of the bits, whose group numbers go on counting (at scale these are thousands of groups, so they are
+    one matrix product a batch and no column expressions).
     """
-    n = bits // width
-    terms = [B.group_value("words", g * width, width) + (g << width) for g in range(n)]
-    if layout == "permuted":
-        draw = np.random.default_rng(seed)
-        for r in range(1, repeats + 1):
-            order = draw.permutation(bits).tolist()
-            for g in range(n):
-                value = F.lit(0).cast("long")
-                for j, p in enumerate(order[g * width : (g + 1) * width]):
-                    value = value + F.shiftleft(B.bit("words", p), j)
-                terms.append(value + ((r * n + g) << width))
-    elif layout != "disjoint":
+    if layout == "disjoint" or (layout == "permuted" and repeats == 0):
+        terms = [B.group_value("words", g * width, width) + (g << width) for g in range(bits // width)]
+        return df.select("item_id", F.array(*terms).alias("terms"))
+    if layout != "permuted":
         raise ValueError(layout)
-    return df.select("item_id", F.array(*terms).alias("terms"))
+    at = np.array(positions(bits, width, repeats, seed))
+    first, value = np.arange(len(at), dtype=np.int64) << width, np.int64(1) << np.arange(width, dtype=np.int64)
+
+    @F.pandas_udf("array<long>")
+    def grouped(words: pd.Series) -> pd.Series:
+        out = []
+        for s in range(0, len(words), 1024):
+            w = np.stack([np.asarray(x, np.int64) for x in words[s : s + 1024]]).astype("<u4")
+            flags = np.unpackbits(w.view(np.uint8).reshape(len(w), -1), axis=1, bitorder="little")
+            out += list(flags[:, at].astype(np.int64) @ value + first)
+        return pd.Series(out, dtype=object)
+
+    return df.select("item_id", grouped("words").alias("terms"))
+
+
+def search_terms(df: DataFrame, cfg: Config | None = None) -> DataFrame:
+    """``df(item_id, words)`` to ``(item_id, terms)`` in the layout of ``cfg``, by default the one for as many items."""
+    cfg = cfg if cfg is not None else DEFAULT.for_items(df.count())
+    return group_bits(df, cfg.bits, cfg.width, "permuted", cfg.repeats, cfg.seed)
 
 
 def exploded(df: DataFrame) -> DataFrame:
@@ -50,8 +68,3 @@ def dictionary(df: DataFrame) -> DataFrame:
     sizes = numbered.groupBy("part").agg(F.count("*").alias("n"))
     before = F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     return numbered.join(F.broadcast(sizes.select("part", before.alias("before"))), "part").select("term", (F.col("no") + F.col("before")).alias("code"))
-
-
-def suggest_width(n_items: int, target_list: int = 12) -> int:
-    """Bits a term at which a random list holds about ``target_list`` of ``n_items``."""
-    return max(4, math.ceil(math.log2(max(2, n_items) / target_list)))

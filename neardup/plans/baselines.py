@@ -23,7 +23,7 @@ WORD_SETS = f"ws as (select doc_id as item_id, list_distinct(regexp_extract_all(
 
 
 def candidates(words):
-    return search.self_search(terms_.group_bits(words, 256, 8), 2).select("a", "b")
+    return search.self_search(terms_.search_terms(words)).select("a", "b")
 
 
 @query("b01_all_pairs_hamming", S.with_(S.vector_bits()) + f"select x.item_id as a, y.item_id as b, {S.ham('x.words', 'y.words', 2)} as hamming from vec x join vec y on x.item_id < y.item_id")
@@ -33,25 +33,25 @@ def _(spark, sf):
 
 @query(
     "b01_all_pairs_cosine",
-    "select x.vec_id as a, y.vec_id as b, round(list_cosine_similarity(cast(x.embedding as double[]), cast(y.embedding as double[])), 6) as cosine from embeddings x join embeddings y on x.vec_id < y.vec_id where x.vec_id % 10 = 0 and y.vec_id % 10 = 0",
+    "select x.vec_id as a, y.vec_id as b, round(list_cosine_similarity(cast(x.embedding as double[]), cast(y.embedding as double[])), 6) as cosine from embeddings x join embeddings y on x.vec_id < y.vec_id",
 )
 def _(spark, sf):
-    return search.all_pairs(vector_items(spark, sf).where("item_id % 10 = 0"), "cosine").withColumn("cosine", F.round("cosine", 6))
+    return search.all_pairs(vector_items(spark, sf), "cosine").withColumn("cosine", F.round("cosine", 6))
 
 
 @query(
     "b01_all_pairs_jaccard",
-    "with p as (select p_partkey as item_id, list_distinct(string_split(p_name, ' ') || [p_brand, p_type, cast(p_size as varchar)]) as t from part where p_partkey % 10 = 0) select x.item_id as a, y.item_id as b, round(len(list_intersect(x.t, y.t)) / len(list_distinct(x.t || y.t)), 6) as jaccard from p x join p y on x.item_id < y.item_id",
+    "with p as (select p_partkey as item_id, list_distinct(string_split(p_name, ' ') || [p_brand, p_type, cast(p_size as varchar)]) as t from part) select x.item_id as a, y.item_id as b, round(len(list_intersect(x.t, y.t)) / len(list_distinct(x.t || y.t)), 6) as jaccard from p x join p y on x.item_id < y.item_id",
 )
 def _(spark, sf):
-    p = table(spark, sf, "part").where("p_partkey % 10 = 0")
+    p = table(spark, sf, "part")
     sets = p.select(F.col("p_partkey").alias("item_id"), F.array_distinct(F.concat(F.split("p_name", " "), F.array("p_brand", "p_type", F.col("p_size").cast("string")))).alias("terms"))
     return search.all_pairs(sets, "jaccard").withColumn("jaccard", F.round("jaccard", 6))
 
 
 @query(
     "b02_word_jaccard",
-    S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands(), WORD_SETS) + "select a, b, round(len(list_intersect(x.t, y.t)) / len(list_distinct(x.t || y.t)), 6) as score from cand join ws x on x.item_id = a join ws y on y.item_id = b",
+    S.with_(S.SEARCH, WORD_SETS) + "select a, b, round(len(list_intersect(x.t, y.t)) / len(list_distinct(x.t || y.t)), 6) as score from cand join ws x on x.item_id = a join ws y on y.item_id = b",
 )
 def _(spark, sf):
     return scorers.WordJaccard().score(candidates(doc_words(spark, sf)), word_sets(spark, sf)).withColumn("score", F.round("score", 6))
@@ -74,15 +74,7 @@ def _(spark, sf):
     return geometric(spark, sf)[0]
 
 
-VOTES = f"""toks as (select doc_id as item_id, regexp_extract_all(lower(text), '{T.WORD_CLASS}') as t from documents),
-runs as (select item_id, unnest(range(0, greatest(len(t) - 2, 1))) as pos, t from toks),
-pts0 as (select item_id, pos, cast('0x' || substr(md5(array_to_string(t[pos + 1:pos + 3], ' ')), 1, 15) as bigint) as h from runs),
-rare as (select h from pts0 group by h having count(distinct item_id) <= 50),
-pts as (select item_id, h, min(pos) as pos from pts0 join rare using (h) group by item_id, h),
-votes as (select c.a, c.b, y.pos - x.pos as off, count(*) as v from cand c join pts x on x.item_id = c.a join pts y on y.item_id = c.b and y.h = x.h group by all)"""
-
-
-@query("b04_offset_votes", S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands(), VOTES) + "select a, b, cast(sum(v) as bigint) as matches, cast(arg_min(off, (-v, off)) as bigint) as \"offset\", max(v) as votes from votes group by a, b")
+@query("b04_offset_votes", S.with_(S.SEARCH, S.VOTES) + "select a, b, cast(sum(v) as bigint) as matches, cast(arg_min(off, (-v, off)) as bigint) as \"offset\", max(v) as votes from votes group by a, b")
 def _(spark, sf):
     pairs = written(candidates(doc_words(spark, sf)))
     out = legacy.offset_votes(pairs, written(legacy.keypoints(text_items(spark, sf))))
@@ -101,17 +93,18 @@ def _(spark, sf):
     return legacy.bow_search(bags(spark, sf), 2)
 
 
-@query("b05_bow_search_idf")
+@query("b05_bow_search_idf", f"with {BAGS}, n as (select count(distinct item_id) as n from bags), w as (select term, ln(n / count(*)) as idf from bags, n group by term, n) select x.item_id as a, y.item_id as b, count(*) as overlap, round(sum(idf), 5) as weight from bags x join bags y on x.term = y.term and x.item_id < y.item_id join w on w.term = x.term group by all having count(*) >= 2")
 def _(spark, sf):
-    return legacy.bow_search(bags(spark, sf), 2, idf=True)
+    return legacy.bow_search(bags(spark, sf), 2, idf=True).withColumn("weight", F.round("weight", 5))
 
 
-def tree_scores(spark, sf, gold):
-    """Second-generation scores of labelled pairs, fitted on the training half."""
-    aligned, _ = geometric(spark, sf, gold.select("a", "b"))
+def tree_scores(spark, sf, gold, pairs=None):
+    """Second-generation scores of ``pairs`` (by default the labelled ones), fitted on the training half."""
+    fitted = gold.select("a", "b") if pairs is None else gold.select("a", "b").union(pairs.select("a", "b")).distinct()
+    aligned, _ = geometric(spark, sf, fitted)
     features = written(legacy.pair_features(aligned, legacy.global_descriptor(text_items(spark, sf))))
     tree = legacy.TreeScorer().fit(features, gold.where("split = 'train'").select("a", "b", "label"))
-    return tree.score_features(gold.select("a", "b", "label", "split"), features)
+    return tree.score_features(gold.select("a", "b", "label", "split") if pairs is None else pairs.select("a", "b"), features)
 
 
 @query("b06_tree_scores")
@@ -119,7 +112,7 @@ def _(spark, sf):
     return tree_scores(spark, sf, written(X.gold(spark, sf)))
 
 
-@query("b09_hamming_score", S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands()) + f"select a, b, round(1 - {S.ham('x.words', 'y.words')} / 256.0, 6) as score from cand join sig x on x.item_id = a join sig y on y.item_id = b")
+@query("b09_hamming_score", S.with_(S.SEARCH) + f"select a, b, round(1 - {S.ham('x.words', 'y.words')} / 256.0, 6) as score from cand join sig x on x.item_id = a join sig y on y.item_id = b")
 def _(spark, sf):
     words = doc_words(spark, sf)
     return scorers.HammingScorer().score(candidates(words), words).withColumn("score", F.round("score", 6))
@@ -152,25 +145,27 @@ def _(spark, sf):
 
 
 def generation_mappings(spark, sf):
-    """Closure mappings of the three generations over the documents."""
+    """Mappings of the three generations over the documents, each from its own candidates.
+
+    First: terms of global descriptors, then alignment (most matches are inliers, and these 60 % of the longer
+    text's words). Second: runs of words in an inverted index (60 % of the longer text's shared), then alignment and
+    the decision tree fitted on the training half of the gold pairs. Both are closed over. Third: closure and cut.
+    """
     items = text_items(spark, sf)
     points = written(legacy.keypoints(items))
     size = items.select("item_id", F.size(T.words()).alias("n"))
     na, nb = size.select(F.col("item_id").alias("a"), F.col("n").alias("na")), size.select(F.col("item_id").alias("b"), F.col("n").alias("nb"))
-    # Inliers are among the shared runs: pairs that share too few of them need no alignment.
-    shared = legacy.bow_search(points.select("item_id", F.col("h").alias("term")), 3).join(na, "a").join(nb, "b")
-    strong = written(shared.where(F.col("overlap") >= 0.6 * F.greatest("na", "nb")))
-
-    def verified(pairs):
-        """Aligned pairs whose inliers are most matches and 60 % of the words of either side."""
-        near = legacy.align(pairs, points).where("inlier_ratio >= 0.5")
-        return near.join(strong, ["a", "b"]).where(F.col("inliers") >= 0.6 * F.greatest("na", "nb"))
-
-    one = verified(legacy.global_candidates(items, min_overlap=5).join(strong, ["a", "b"], "left_semi"))
-    two = verified(strong)
+    aligned = legacy.align(legacy.global_candidates(items, min_overlap=GLOBAL_SHARED), points).where("inlier_ratio >= 0.5")
+    one = aligned.join(na, "a").join(nb, "b").where(F.col("inliers") >= 0.6 * F.greatest("na", "nb"))
+    shared = written(legacy.overlapping(points.select("item_id", F.col("h").alias("term")), 0.6))
+    two = tree_scores(spark, sf, written(X.gold(spark, sf)), shared).where("score > 0.5")
     words = doc_words(spark, sf)
     first, second = (alone_too(words, closure.components(as_edges(p.select("a", "b")))) for p in (one, two))
-    return {"first": first, "second": second, "third": alone_too(words, doc_components(words))}
+    return {"first": first, "second": second, "third": doc_mapping(spark, sf)}
+
+
+#: Terms of global descriptors that two items of the first generation share.
+GLOBAL_SHARED = 5
 
 
 @query("b12_generation_ratios")
@@ -182,6 +177,15 @@ def generation_ratios(spark, sf):
     return out
 
 
+_OVERLAPS = S.with_(S.VOTES, "ps as (select item_id, count(*) as n from pts group by item_id)") + "select x.item_id as a, y.item_id as b, count(*) as overlap from pts x join pts y on x.h = y.h and x.item_id < y.item_id join ps p on p.item_id = x.item_id join ps q on q.item_id = y.item_id group by x.item_id, y.item_id, p.n, q.n having count(*) >= 0.6 * greatest(p.n, q.n) - 1e-9"
+
+
+@query("b05_run_overlaps", _OVERLAPS.replace(S.VOTES, S.RUNS))
+def _(spark, sf):
+    points = written(legacy.keypoints(text_items(spark, sf)))
+    return legacy.overlapping(points.select("item_id", F.col("h").alias("term")), 0.6)
+
+
 @query("b13_rebuild", S.with_(S.CUT) + "select item_id, head_id, round(score_to_head, 6) as score_to_head from full_map")
 def _(spark, sf):
     return incremental.rebuild(doc_words(spark, sf)).withColumn("score_to_head", F.round("score_to_head", 6))
@@ -189,7 +193,7 @@ def _(spark, sf):
 
 @query("b08_map_reduce_closure", S.with_(S.DOCS) + "select count(*) as items, count(distinct component) as clusters from comp")
 def _(spark, sf):
-    return doc_components(doc_words(spark, sf), "edge_min").agg(F.count("*").alias("items"), F.count_distinct("component").alias("clusters"))
+    return doc_components(spark, sf, "edge_min").agg(F.count("*").alias("items"), F.count_distinct("component").alias("clusters"))
 
 
 __all__ = ["candidates", "doc_mapping"]

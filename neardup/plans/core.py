@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import functions as F
 
 from neardup.config import DEFAULT, Config
-from neardup.operators import augment, closure, heads, incremental, kcut, metrics, postings, scorers, search, signatures, training
+from neardup.operators import augment, closure, heads, incremental, kcut, legacy, metrics, postings, scorers, search, signatures, training
 from neardup.operators import terms as terms_
 from neardup.plans import sql as S
 from neardup.plans.registry import query
 from neardup.sources import fixtures as X
-from neardup.sources.lineage import written
+from neardup.sources.lineage import kept, written
 from neardup.sources.tables import table, text_items, vector_items
 
 
@@ -23,19 +25,33 @@ def vec_terms(spark, sf, width=8):
 
 
 def doc_words(spark, sf):
-    return written(X.document_words(spark, sf))
+    return X.document_words(spark, sf)
+
+
+def of_documents(spark, sf, name: str, make):
+    """A snapshot of the application that depends on the documents alone."""
+    return kept(spark, (name,), [f"{sf}/documents.parquet"], make)
+
 
+def near_of(words, max_distance=64):
+    return search.near_pairs(words, replace(DEFAULT, max_distance=max_distance))
 
-def doc_near(words, max_distance=64):
-    return search.near_pairs(words, 256, 8, 2, max_distance)
+
+def doc_near(spark, sf):
+    return of_documents(spark, sf, "document_pairs", lambda: near_of(doc_words(spark, sf)))
 
 
 def as_edges(pairs):
     return pairs.select(F.col("a").alias("src"), F.col("b").alias("dst"))
 
 
-def doc_components(words, method="star", max_distance=64):
-    return closure.components(as_edges(doc_near(words, max_distance)), method)
+def components_of(words):
+    return closure.components(as_edges(near_of(words)))
+
+
+def doc_components(spark, sf, method="star"):
+    """Closure of the documents' near pairs; the pairs are a snapshot, the closure is worked out anew."""
+    return closure.components(as_edges(doc_near(spark, sf)), method)
 
 
 def alone_too(ids, comps):
@@ -44,17 +60,21 @@ def alone_too(ids, comps):
     return ids.select("item_id").join(c, "item_id", "left").select("item_id", F.coalesce("head_id", "item_id").alias("head_id"))
 
 
-def doc_mapping(spark, sf, words=None):
-    words = words if words is not None else doc_words(spark, sf)
-    return alone_too(words, doc_components(words))
+def doc_cut(spark, sf):
+    """The documents' clusters, closure and cut, as ``(item_id, head_id, score_to_head)``; a snapshot."""
 
+    def make():
+        words = doc_words(spark, sf)
+        cut = kcut.cut(doc_components(spark, sf), words, 64).select("item_id", "head_id", (1 - F.col("value") / 256).alias("score_to_head"))
+        alone = words.join(cut, "item_id", "left_anti").select("item_id", F.col("item_id").alias("head_id"), F.lit(1.0).alias("score_to_head"))
+        return cut.unionByName(alone)
 
-def doc_cut(spark, sf, words=None):
-    """Mapping with similarity to heads after closure and cut."""
-    words = words if words is not None else doc_words(spark, sf)
-    cut = kcut.cut(doc_components(words), words, 64).select("item_id", "head_id", (1 - F.col("value") / 256).alias("score_to_head"))
-    alone = words.join(cut, "item_id", "left_anti").select("item_id", F.col("item_id").alias("head_id"), F.lit(1.0).alias("score_to_head"))
-    return cut.unionByName(alone)
+    return of_documents(spark, sf, "document_clusters", make)
+
+
+def doc_mapping(spark, sf):
+    """``(item_id, head_id)`` of the documents' clusters after closure and cut."""
+    return doc_cut(spark, sf).select("item_id", "head_id")
 
 
 VT = S.with_(S.vector_bits(), S.terms("vec", 64, 8))
@@ -90,7 +110,11 @@ def _(spark, sf):
     return X.document_words(spark, sf).select("item_id", joined("words").alias("words"))
 
 
-@query("m03_binarize_median")
+@query(
+    "m03_binarize_median",
+    "with e as (select vec_id as item_id, unnest(embedding) as v, generate_subscripts(embedding, 1) - 1 as p from embeddings), m as (select p, quantile_disc(v, 0.5) as m from e group by p) "
+    "select item_id, array_to_string([cast(sum(case when v > m and p < 32 then cast(1 as bigint) << p else 0 end) as bigint), cast(sum(case when v > m and p >= 32 then cast(1 as bigint) << (p - 32) else 0 end) as bigint)], ',') as words from e join m using (p) group by item_id",
+)
 def _(spark, sf):
     return signatures.binarize(vector_items(spark, sf), 64, "median").select("item_id", joined("words").alias("words"))
 
@@ -124,7 +148,14 @@ def _(spark, sf):
     return spark.createDataFrame([(p,) for p in kept], "position long")
 
 
-@query("m04_select_seeded")
+_SEEDED = signatures.seeded_positions(256, 64, 5)
+
+
+@query(
+    "m04_select_seeded",
+    S.with_(S.signatures())
+    + "select item_id, concat_ws(',', " + ", ".join("cast(" + " + ".join(f"(((words[{p // 32 + 1}] >> {p % 32}) & 1) << {j})" for j, p in enumerate(_SEEDED[k : k + 32])) + " as bigint)" for k in (0, 32)) + ") as words from sig",
+)
 def _(spark, sf):
     return signatures.select_bits(X.document_words(spark, sf), 256, 64, "seeded", seed=5).select("item_id", joined("words").alias("words"))
 
@@ -135,10 +166,10 @@ def _(spark, sf):
     return t.groupBy("item_id").agg(F.count("*").alias("n"), F.sum("term").alias("total"))
 
 
-@query("m05_terms_permuted")
+@query("m05_terms_permuted", S.with_(S.signatures(), S.permuted_terms("sig", 256, 16, 2, 3)) + "select item_id, count(*) as n, min(term) as first, cast(sum(term) as bigint) as total from terms group by item_id")
 def _(spark, sf):
-    t = terms_.group_bits(X.document_words(spark, sf), 256, 16, "permuted", repeats=2, seed=3)
-    return t.select("item_id", F.size("terms").alias("n"), F.array_min("terms").alias("first"))
+    t = terms_.exploded(terms_.group_bits(X.document_words(spark, sf), 256, 16, "permuted", repeats=2, seed=3))
+    return t.groupBy("item_id").agg(F.count("*").alias("n"), F.min("term").alias("first"), F.sum("term").alias("total"))
 
 
 @query("m06_dictionary", VT + "select term, row_number() over (order by term) - 1 as code from (select distinct term from terms)")
@@ -180,7 +211,7 @@ def _(spark, sf):
 @query("m11_head_index", S.with_(S.DOCS) + "select distinct head_id as item_id from map")
 def _(spark, sf):
     words = doc_words(spark, sf)
-    return search.head_index(words, doc_mapping(spark, sf, words)).select("item_id")
+    return search.head_index(words, doc_mapping(spark, sf)).select("item_id")
 
 
 HEADS = """weights as (select item_id, cast(sum(cast(round(weight * 100) as bigint)) as bigint) as weight from bookmarks group by item_id),
@@ -190,9 +221,14 @@ heads as (select m.head_id as cluster, arg_min(m.item_id, (-coalesce(w.weight, 0
 
 
 def doc_heads(spark, sf, mapping):
+    return elector(spark, sf)(mapping.select("item_id", F.col("head_id").alias("cluster")))
+
+
+def elector(spark, sf):
+    """Heads by engagement, quality and length, as ``incremental`` takes them."""
     weight = X.bookmarks(spark, sf).groupBy("item_id").agg(F.sum(F.round(F.col("weight") * 100).cast("long")).alias("weight"))
     content = table(spark, sf, "documents").join(table(spark, sf, "labels"), "doc_id", "left").select(F.col("doc_id").alias("item_id"), "quality", "n_chars")
-    return heads.elect(mapping.select("item_id", F.col("head_id").alias("cluster")), weight, content)
+    return lambda members: heads.elect(members, weight, content)
 
 
 @query("m12_heads", S.with_(S.DOCS, S.BOOKMARKS, HEADS) + "select cluster, head_id from heads")
@@ -244,22 +280,29 @@ def _(spark, sf):
     return augment.accept(scored, LIMIT).withColumn("score", F.round("score", 6))
 
 
-@query("m15_mlp_score")
-def _(spark, sf):
+def bootstrap(spark, sf, words, cands=None):
+    """Candidate pairs labelled by the earlier generation's geometric check, which never sees the bits."""
+    cands = cands if cands is not None else search.self_search(terms_.search_terms(words)).select("a", "b")
+    return training.bootstrap_labels(cands, text_items(spark, sf).select("item_id", "text"), legacy.VoteScorer(), 0.6)
+
+
+def trained(spark, sf, hidden=(64, 32, 16), epochs=12):
+    """The network fitted to the bootstrap labels of the candidates: ``(scorer, labelled pairs, loss of each epoch)``."""
     words = doc_words(spark, sf)
-    pairs = search.self_search(terms_.group_bits(words, 256, 8), 2).select("a", "b")
-    return scorers.MlpScorer(scorers.random_weights()).score(pairs, words)
+    pairs = of_documents(spark, sf, "bootstrap_labels", lambda: bootstrap(spark, sf, words))
+    weights, losses = training.fit_mlp(pairs, words, hidden=hidden, epochs=epochs, local_steps=2)
+    return scorers.MlpScorer(weights), pairs, losses
 
 
-def bootstrap(spark, sf, words, cands=None):
-    cands = cands if cands is not None else search.self_search(terms_.group_bits(words, 256, 8), 2).select("a", "b")
-    return training.bootstrap_labels(cands, words, scorers.HammingScorer(), 1 - 48.5 / 256)
+@query("m15_mlp_score")
+def _(spark, sf):
+    scorer, pairs, _ = trained(spark, sf, epochs=6)
+    return scorer.score(pairs.select("a", "b"), doc_words(spark, sf))
 
 
 @query("m16_fit_mlp")
 def _(spark, sf):
-    words = doc_words(spark, sf)
-    _, losses = training.fit_mlp(bootstrap(spark, sf, words), words, hidden=(32, 16, 8), epochs=3, local_steps=2)
+    _, _, losses = trained(spark, sf)
     return spark.createDataFrame([(i, float(x)) for i, x in enumerate(losses)], "epoch int, loss double")
 
 
@@ -283,8 +326,8 @@ def _(spark, sf):
 
 @query(
     "m18_bootstrap_labels",
-    S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands())
-    + f"select a, b, case when {S.ham('x.words', 'y.words')} <= 48 then 1 else 0 end as label from cand join sig x on x.item_id = a join sig y on y.item_id = b",
+    S.with_(S.SEARCH, S.VOTES, "best as (select a, b, max(v) as v from votes group by a, b)")
+    + "select c.a, c.b, case when coalesce(k.v, 0) / greatest(len(x.t), len(y.t), 1) > 0.6 then 1 else 0 end as label from cand c left join best k on k.a = c.a and k.b = c.b join toks x on x.item_id = c.a join toks y on y.item_id = c.b",
 )
 def _(spark, sf):
     return bootstrap(spark, sf, doc_words(spark, sf))
@@ -300,29 +343,29 @@ def _(spark, sf):
     return training.adversarial_pairs(scored, augment.accept(scored, LIMIT), LIMIT)
 
 
-@query("m20_star_edges", S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands(), S.near()) + "select a as src, b as dst from near")
+@query("m20_star_edges", S.with_(S.SEARCH, S.near()) + "select a as src, b as dst from near")
 def _(spark, sf):
     words = doc_words(spark, sf)
-    cands = search.self_search(terms_.group_bits(words, 256, 8), 2).select("a", "b")
+    cands = search.self_search(terms_.search_terms(words)).select("a", "b")
     return closure.star_edges(scorers.HammingScorer().score(cands, words), 1 - 64.5 / 256)
 
 
-_COMP = S.with_(S.DOCS) + "select item, component from comp"
+_COMP = S.with_(S.CLOSED) + "select item, component from comp"
 
 
 @query("m21_closure_edge_min", _COMP)
 def _(spark, sf):
-    return doc_components(doc_words(spark, sf), "edge_min")
+    return doc_components(spark, sf, "edge_min")
 
 
 @query("v08_closure_star", _COMP)
 def _(spark, sf):
-    return doc_components(doc_words(spark, sf), "star")
+    return doc_components(spark, sf, "star")
 
 
 @query("v08_closure_jump", _COMP)
 def _(spark, sf):
-    return doc_components(doc_words(spark, sf), "jump")
+    return doc_components(spark, sf, "jump")
 
 
 _CUT = S.with_(S.CUT) + "select item_id, head_id, value from cut"
@@ -331,13 +374,13 @@ _CUT = S.with_(S.CUT) + "select item_id, head_id, value from cut"
 @query("m22_greedy_cut", _CUT)
 def _(spark, sf):
     words = doc_words(spark, sf)
-    return kcut.greedy_cut(doc_components(words), words, 64).select("item_id", "head_id", F.col("value").cast("long").alias("value"))
+    return kcut.greedy_cut(doc_components(spark, sf), words, 64).select("item_id", "head_id", F.col("value").cast("long").alias("value"))
 
 
 @query("m22_cut_small", _CUT)
 def _(spark, sf):
     words = doc_words(spark, sf)
-    return kcut.cut_small(doc_components(words), words, 64).select("item_id", "head_id", F.col("value").cast("long").alias("value"))
+    return kcut.cut_small(doc_components(spark, sf), words, 64).select("item_id", "head_id", F.col("value").cast("long").alias("value"))
 
 
 def _day_sql(tag: str, members: str) -> str:
@@ -349,9 +392,7 @@ def _day_sql(tag: str, members: str) -> str:
 {tag}map as (select item_id, head_id, 1 - value / 256.0 as score from {tag}cut union all select item_id, item_id, 1.0 from {tag}sig where item_id not in (select item_id from {tag}cut))"""
 
 
-BATCH = f"""{S.signatures()},
-{S.terms('sig', 256, 8)},
-{S.cands()},
+BATCH = f"""{S.SEARCH},
 {S.near()},
 {S.DAYS},
 olds as (select item_id from days where day < 20),
@@ -385,6 +426,30 @@ def _(spark, sf):
     return out.where("source <> 'kept'").select("item_id", "head_id", "source")
 
 
+@query("m12_born_heads", S.with_(BATCH, S.BOOKMARKS, HEADS.replace("from map m", "from nmap m")) + "select n.item_id, h.head_id, round(1 - " + S.ham("x.words", "y.words") + " / 256.0, 6) as score from nmap n join heads h on h.cluster = n.head_id join sig x on x.item_id = n.item_id join sig y on y.item_id = h.head_id")
+def _(spark, sf):
+    """Clusters of a batch's new items, born with the head that engagement and content choose."""
+    _, new, _ = one_batch(spark, sf)
+    return incremental.match_new(new, elect=elector(spark, sf)).withColumn("score", F.round("score", 6))
+
+
+@query("m23_network_batch")
+def network_batch(spark, sf):
+    """A day's batch with the trained network in both jobs (matching, closure and cut), and heads by engagement."""
+    scorer, _, _ = trained(spark, sf)
+    old, new, _ = one_batch(spark, sf)
+    mapping = written(incremental.rebuild(old, scorer=scorer, threshold=0.5, elect=elector(spark, sf)))
+    out = incremental.apply_batch(mapping, old, new, scorer=scorer, threshold=0.5, elect=elector(spark, sf))
+    return out.where("source <> 'kept'").select("item_id", "head_id", "source")
+
+
+@query("m22_cut_by_network")
+def network_cut(spark, sf):
+    """The whole corpus by the third generation: terms, network, accepted edges, closure, and the cut by the network."""
+    scorer, _, _ = trained(spark, sf)
+    return incremental.rebuild(doc_words(spark, sf), scorer=scorer, threshold=0.5)
+
+
 @query("v09_match_existing", S.with_(BATCH) + "select item_id, old_head as head_id, round(old_score, 6) as score from nmatch")
 def _(spark, sf):
     old, new, mapping = one_batch(spark, sf)
@@ -421,43 +486,65 @@ query(
     + "select item_id, coalesce(old_head, heir, mm.nh) as head_id, case when old_head is not null then 'old' else 'new' end as source from mm left join heir on heir.nh = mm.nh",
 )(_merged("member"))
 
-_TRUE_64 = f"true_ as (select x.item_id as a, y.item_id as b from sig x join sig y on x.item_id < y.item_id and {S.ham('x.words', 'y.words')} <= 64)"
-
-
 def _sweep_sql(widths):
-    parts = [S.signatures(), _TRUE_64]
+    parts = [S.signatures(), S.TRUTH]
     rows = []
     for w in widths:
         parts += [S.terms("sig", 256, w, f"t{w}"), S.cands(1, f"c{w}", f"t{w}"), f"p{w} as (select cast(sum(n * (n - 1) / 2) as bigint) as joined from (select count(*) as n from t{w} group by term))"]
         rows.append(
-            f"select cast({w} as bigint) as width, cast({256 // w} as bigint) as n_terms, p.joined, (select count(*) from c{w}) as candidates, (select count(*) from true_) as true_pairs, "
-            f"round((select count(*) from c{w} join true_ using (a, b)) / (select count(*) from true_), 6) as recall from p{w} p"
+            f"select cast({w} as bigint) as width, cast({256 // w} as bigint) as n_terms, p.joined, (select count(*) from c{w}) as candidates, (select count(*) from truth) as true_pairs, "
+            f"round((select count(*) from c{w} join truth using (a, b)) / (select count(*) from truth), 6) as recall from p{w} p"
         )
     return S.with_(*parts) + " union all ".join(rows)
 
 
-@query("v01_width_sweep", _sweep_sql([8, 12, 16]))
+WIDTHS = [4, 8, 12, 16]
+
+
+@query("v01_width_sweep", _sweep_sql(WIDTHS))
 def width_sweep(spark, sf):
-    words = doc_words(spark, sf)
-    truth = written(search.all_pairs(words).where("hamming <= 64").select("a", "b"))
-    out = search.width_sweep(words, 256, [8, 12, 16], truth)
+    """Against the pairs whose shingle sets have a Jaccard similarity of 0.5 or more, which no bits decide."""
+    truth = written(X.shingle_pairs(text_items(spark, sf)).select("a", "b"))
+    out = search.width_sweep(doc_words(spark, sf), 256, WIDTHS, truth)
     return out.select(F.col("width").cast("long").alias("width"), F.col("n_terms").cast("long").alias("n_terms"), "joined", "candidates", "true_pairs", "recall")
 
 
-_SCOPE = "select x.item_id as query_id, y.item_id as index_id, count(*) as overlap from terms x join terms y on x.term = y.term and x.item_id <> y.item_id {} group by all having count(*) >= 2"
+def _layout_sql():
+    one = "select (select cast(sum(n * (n - 1) / 2) as bigint) from (select count(*) as n from rterms group by term)) as joined, (select count(*) from truth) as true_pairs, (select count(*) from truth t join rep p on p.item_id = t.a join rep q on q.item_id = t.b left join rcand c on c.a = least(p.rep, q.rep) and c.b = greatest(p.rep, q.rep) where p.rep = q.rep or c.a is not null) as found"
+    return S.with_(S.CLOSED, S.TRUTH, "rep as (select s.item_id, r.item_id as rep from sig s join rp r on r.words = s.words)") + one
+
+
+@query("v01_default_layout", _layout_sql())
+def default_layout(spark, sf):
+    """Joined postings of the default search, and how many of the pairs of similarity 0.5 or more it finds (copies by their class)."""
+    words = doc_words(spark, sf)
+    reps, copies = signatures.collapse_exact(words)
+    cfg = DEFAULT.for_items(words.count())
+    terms = written(terms_.search_terms(reps, cfg))
+    per = terms_.exploded(terms).groupBy("term").agg(F.count("*").alias("n"))
+    joined = per.agg(F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0)).cast("long").alias("joined"))
+    truth = X.shingle_pairs(text_items(spark, sf)).select("a", "b")
+    rep = lambda c: copies.select(F.col("item_id").alias(c), F.col("rep_id").alias(f"r{c}"))
+    of_reps = truth.join(rep("a"), "a").join(rep("b"), "b").select(F.least("ra", "rb").alias("ra"), F.greatest("ra", "rb").alias("rb"))
+    found = search.self_search(terms, cfg.min_overlap).select(F.col("a").alias("ra"), F.col("b").alias("rb"), F.lit(True).alias("hit"))
+    hit = of_reps.join(found, ["ra", "rb"], "left").agg(F.count("*").alias("true_pairs"), F.count_if(F.col("hit") | (F.col("ra") == F.col("rb"))).alias("found"))
+    return joined.crossJoin(hit)
+
+
+_SCOPE = "select x.item_id as query_id, y.item_id as index_id, count(*) as overlap from terms x join terms y on x.term = y.term and x.item_id <> y.item_id {} group by all"
 
 
 @query("v02_scope_all", S.with_(S.DOCS) + _SCOPE.format(""))
 def _(spark, sf):
-    t = terms_.group_bits(doc_words(spark, sf), 256, 8)
-    return search.batch_search(t, t, None, 2)
+    t = terms_.search_terms(doc_words(spark, sf))
+    return search.batch_search(t, t, None)
 
 
 @query("v02_scope_heads", S.with_(S.DOCS) + _SCOPE.format("where y.item_id in (select head_id from map)"))
 def _(spark, sf):
     words = doc_words(spark, sf)
-    t = terms_.group_bits(words, 256, 8)
-    return search.batch_search(t, search.head_index(t, doc_mapping(spark, sf, words)), None, 2)
+    t = terms_.search_terms(words)
+    return search.batch_search(t, search.head_index(t, doc_mapping(spark, sf)), None)
 
 
 _FORM = VT + "select x.item_id as query_id, y.item_id as index_id, count(*) as overlap from terms x join terms y on x.term = y.term and x.item_id <> y.item_id group by all"
@@ -503,7 +590,7 @@ def _(spark, sf):
     return out
 
 
-@query("v06_training_sets", S.with_(DRIFT, S.signatures(), S.terms("sig", 256, 8), S.cands()) + f"""select 'base' as kind, count(*) as pairs from cand where {S.h32("'0'", 'a', 'b')} / 4294967296.0 < 0.5
+@query("v06_training_sets", S.with_(DRIFT, S.SEARCH) + f"""select 'base' as kind, count(*) as pairs from cand where {S.h32("'0'", 'a', 'b')} / 4294967296.0 < 0.5
 union all select 'hard', (select count(*) from cand) + (select count(*) from daccept t join dscored s on s.query_id = t.query_id and s.head_id = t.head_id and s.place = 0 where s.score <= 1 - 8.5 / 64)""")
 def _(spark, sf):
     words = doc_words(spark, sf)
@@ -520,20 +607,20 @@ _SIZES = "select count(*) as items, count(distinct head_id) as clusters from {}"
 
 @query("v07_closure_only", S.with_(S.DOCS) + "select count(*) as items, count(distinct component) as clusters from comp")
 def _(spark, sf):
-    return doc_components(doc_words(spark, sf)).agg(F.count("*").alias("items"), F.count_distinct("component").alias("clusters"))
+    return doc_components(spark, sf).agg(F.count("*").alias("items"), F.count_distinct("component").alias("clusters"))
 
 
 @query("v07_closure_then_cut", S.with_(S.CUT) + _SIZES.format("cut"))
 def _(spark, sf):
     words = doc_words(spark, sf)
-    return kcut.cut(doc_components(words), words, 64).agg(F.count("*").alias("items"), F.count_distinct("head_id").alias("clusters"))
+    return kcut.cut(doc_components(spark, sf), words, 64).agg(F.count("*").alias("items"), F.count_distinct("head_id").alias("clusters"))
 
 
 @query("v07_cut_only")
 def _(spark, sf):
     words = doc_words(spark, sf)
     one = words.select(F.col("item_id").alias("item"), F.lit(0).cast("long").alias("component"))
-    return kcut.cut_small(one, words, 64).agg(F.count("*").alias("items"), F.count_distinct("head_id").alias("clusters"))
+    return kcut.cut(one, words, 64).agg(F.count("*").alias("items"), F.count_distinct("head_id").alias("clusters"))
 
 
 def _chain_sql(t):
@@ -564,15 +651,14 @@ def _(spark, sf):
     return metrics.duplicate_ratio(doc_mapping(spark, sf), exclude=spam)
 
 
-KINDS_SQL = S.with_(S.VARIANTS, S.signatures("select doc_id as item_id, text from documents where doc_id % 7 = 0", "o"), S.signatures("select item_id, text from variants", "v")) + f"""select kind, count(*) as items, count(*) filter (where d <= 64) as found, cast(max(d) as bigint) as largest from
+KINDS_SQL = S.with_(S.VARIANTS, S.signatures("select doc_id as item_id, text from documents", "o"), S.signatures("select item_id, text from variants", "v")) + f"""select kind, count(*) as items, count(*) filter (where d <= 64) as found, cast(max(d) as bigint) as largest from
 (select v.kind, {S.ham('x.words', 'y.words')} as d from variants v join sigv x on x.item_id = v.item_id join sigo y on y.item_id = v.origin_id) group by kind"""
 
 
 @query("v13_modification_kinds", KINDS_SQL)
 def modification_kinds(spark, sf):
     v = written(X.text_variants(spark, sf))
-    base = signatures.text_bits(text_items(spark, sf).where("item_id % 7 = 0"))
-    both = base.unionByName(signatures.text_bits(v.select("item_id", "text")))
+    both = doc_words(spark, sf).unionByName(signatures.text_bits(v.select("item_id", "text")))
     d = search.with_distance(v.select("kind", "item_id", "origin_id"), both, "item_id", "origin_id")
     return d.groupBy("kind").agg(F.count("*").alias("items"), F.count_if(F.col("distance") <= 64).alias("found"), F.max("distance").cast("long").alias("largest"))
 
@@ -580,9 +666,9 @@ def modification_kinds(spark, sf):
 _APP = DEFAULT.application
 
 
-@query("v14_operating_points", S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands(), S.near(max_distance=max(_APP.values()))) + " union all ".join(f"select '{a}' as app, count(*) as edges from near where distance <= {d}" for a, d in _APP.items()))
+@query("v14_operating_points", S.with_(S.SEARCH, S.near_items(max_distance=max(_APP.values()))) + " union all ".join(f"select '{a}' as app, count(*) as edges from near where distance <= {d}" for a, d in _APP.items()))
 def _(spark, sf):
-    near = written(doc_near(doc_words(spark, sf), max(_APP.values())))
+    near = written(near_of(doc_words(spark, sf), max(_APP.values())))
     out = None
     for a, d in _APP.items():
         one = near.where(F.col("distance") <= d).agg(F.lit(a).alias("app"), F.count("*").alias("edges"))
@@ -597,11 +683,14 @@ def _(spark, sf):
     return taken.select("query_id", "head_id")
 
 
-@query("v17_cut_by_engagement")
+_ENGAGED = S.with_(S.CLOSED, S.BOOKMARKS, "weights as (select item_id, cast(sum(cast(round(weight * 100) as bigint)) as bigint) as weight from bookmarks group by item_id)", "heavy as (select s.item_id, s.words, coalesce(w.weight, 0) as weight from sig s left join weights w using (item_id))", S.cut("comp", "heavy", 64, 6, 8, order="engagement"))
+
+
+@query("v17_cut_by_engagement", _ENGAGED + "select item_id, head_id from cut")
 def _(spark, sf):
     words = doc_words(spark, sf)
-    weight = X.bookmarks(spark, sf).groupBy("item_id").agg(F.sum("weight").alias("weight"))
-    return kcut.greedy_cut(doc_components(words), words.join(weight, "item_id", "left"), 64, head_rule="engagement").select("item_id", "head_id")
+    weight = X.bookmarks(spark, sf).groupBy("item_id").agg(F.sum(F.round(F.col("weight") * 100).cast("long")).alias("weight"))
+    return kcut.greedy_cut(doc_components(spark, sf), words.join(weight, "item_id", "left"), 64, head_rule="engagement").select("item_id", "head_id")
 
 
 _CODED = VT[:-1] + ",\n" + GAPS + " "
@@ -631,6 +720,6 @@ def _(spark, sf):
     return search.self_search(vec_terms(spark, sf), 2)
 
 
-@query("v19_search_distance", S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands(), S.near()) + "select a, b, overlap, distance from near")
+@query("v19_search_distance", S.with_(S.SEARCH, S.near_items()) + "select a, b, overlap, distance from near")
 def near_documents(spark, sf):
-    return doc_near(doc_words(spark, sf)).withColumn("distance", F.col("distance").cast("long"))
+    return doc_near(spark, sf).withColumn("distance", F.col("distance").cast("long"))

@@ -10,7 +10,7 @@ from neardup.operators import apps, augment, closure, metrics, postings, scorers
 from neardup.operators import terms as terms_
 from neardup.plans import sql as S
 from neardup.plans.baselines import WORD_SETS, word_sets
-from neardup.plans.core import BATCH, DRIFT, GAPS, GOLD_BITS, LIMIT, VT, as_edges, doc_cut, doc_mapping, doc_near, doc_words, drift_parts, drift_score, gold_scored, one_batch, vec_terms
+from neardup.plans.core import BATCH, DRIFT, GAPS, GOLD_BITS, LIMIT, VT, as_edges, doc_cut, doc_mapping, doc_near, doc_words, drift_parts, drift_score, gold_scored, one_batch, trained, vec_terms
 from neardup.plans.registry import query
 from neardup.sources import fixtures as X
 from neardup.sources.lineage import written
@@ -47,13 +47,14 @@ _TRUE = f"pos as (select x.item_id as a, y.item_id as b, {S.ham('x.words', 'y.wo
 
 
 def exact_pairs(words, limit):
+    """All pairs within a distance: what a classifier by distance would accept of everything."""
     return search.all_pairs(words).where(F.col("hamming") <= limit).withColumnRenamed("hamming", "distance")
 
 
-@query("s04_candidate_recall", S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands(), _TRUE) + "select count(*) as positives, count(*) filter (where c.a is null) as missed, round(1 - count(*) filter (where c.a is null) / count(*), 6) as recall from pos p left join cand c on c.a = p.a and c.b = p.b")
+@query("s04_candidate_recall", S.with_(S.SEARCH, _TRUE) + "select count(*) as positives, count(*) filter (where c.a is null) as missed, round(1 - count(*) filter (where c.a is null) / count(*), 6) as recall from pos p left join cand c on c.a = p.a and c.b = p.b")
 def candidate_recall(spark, sf):
     words = doc_words(spark, sf)
-    return metrics.candidate_recall(search.self_search(terms_.group_bits(words, 256, 8), 2), exact_pairs(words, 64))
+    return metrics.candidate_recall(search.self_search(terms_.search_terms(words)), exact_pairs(words, 64))
 
 
 @query("s05_recall_at_k", S.with_(S.PLANT, S.terms("plant", 64, 8, "pt"), f"""ex as (select x.item_id as q, y.item_id as i, row_number() over (partition by x.item_id order by {S.ham('x.words', 'y.words', 2)}, y.item_id) as r from plant x join plant y on x.item_id <> y.item_id where x.flips = 0),
@@ -76,6 +77,17 @@ def _(spark, sf):
     return out.withColumn("within", F.col("within").cast("long"))
 
 
+@query("s04_network_recall")
+def network_recall(spark, sf):
+    """Of all pairs that the trained network accepts, those among the candidates of the search."""
+    words = doc_words(spark, sf)
+    scorer, _, _ = trained(spark, sf)
+    ids = words.select("item_id")
+    everything = ids.select(F.col("item_id").alias("a")).join(ids.select(F.col("item_id").alias("b")), F.col("a") < F.col("b"))  # ground truth on a small set
+    accepted = written(scorer.score(everything, words).where("score > 0.5").select("a", "b"))
+    return metrics.candidate_recall(search.self_search(terms_.search_terms(words)), accepted)
+
+
 def lift_by_augmentation(spark, sf):
     d, mapping, cands = drift_parts(spark, sf)
     truth = d.where("role = 'query'").select(F.col("item_id").alias("query_id"), "head_id")
@@ -124,7 +136,7 @@ def _(spark, sf):
 def prediction_cost(spark, sf):
     """Milliseconds a prediction of the small network and of one with nine million weights, on this session's cores."""
     words = doc_words(spark, sf)
-    pairs = written(search.self_search(terms_.group_bits(words, 256, 8), 2).select("a", "b"))
+    pairs = written(search.self_search(terms_.search_terms(words)).select("a", "b"))
     n, rows = pairs.count(), []
     for hidden in ((128, 64, 32), (2048, 2048, 2048)):
         scorer = scorers.MlpScorer(scorers.random_weights(hidden=hidden))
@@ -148,8 +160,9 @@ def copies(spark, sf):
 def _(spark, sf):
     b = table(spark, sf, "benchmark").select(F.col("item_id").alias("original_id"), F.lower("text").alias("t"))
     d = table(spark, sf, "documents").select(F.col("doc_id").alias("item_id"), F.lower("text").alias("body"))
-    truth = d.join(F.broadcast(b), F.col("body").contains(F.col("t"))).select("original_id", "item_id")  # reviewed against plain containment
-    return metrics.false_positives(copies(spark, sf), truth)
+    found = written(copies(spark, sf))  # every copy found is reviewed against plain containment
+    truth = found.join(b, "original_id").join(d, "item_id").where(F.col("body").contains(F.col("t"))).select("original_id", "item_id")
+    return metrics.false_positives(found, truth)
 
 
 GRAPH = "edges as (select user_id as l, item_id as item, cast(sum(cast(round(weight * 100) as bigint)) as bigint) as weight from bookmarks group by all), cond as (select l, head_id as item, cast(sum(weight) as bigint) as weight from edges join map on map.item_id = edges.item group by all)"
@@ -198,13 +211,25 @@ def _(spark, sf):
     true = X.shingle_pairs(X.text_items(spark, sf)).select(F.col("a").alias("src"), F.col("b").alias("dst"))
     from neardup.plans.core import alone_too
 
-    return metrics.pairwise(doc_cut(spark, sf, words), alone_too(words, closure.components(true)))
+    return metrics.pairwise(doc_cut(spark, sf), alone_too(words, closure.components(true)))
+
+
+def _rounds_sql(n: int) -> str:
+    """The edge labels of ``n`` rounds, enough for the components at hand, and how many changed in each that ran."""
+    parts = ["e0 as (select distinct least(a, b) as src, greatest(a, b) as dst, [least(a, b), greatest(a, b)] as l from near)"]
+    for r in range(1, n + 1):
+        parts += [
+            f"low{r} as (select node, min(l) as low from (select src as node, l from e{r - 1} union all select dst, l from e{r - 1}) group by node)",
+            f"e{r} as (select e.src, e.dst, least(x.low, y.low) as l, e.l as was from e{r - 1} e join low{r} x on x.node = e.src join low{r} y on y.node = e.dst)",
+        ]
+    each = " union all ".join(f"select {r} as round, count(*) filter (where l <> was) as labels_changed from e{r}" for r in range(1, n + 1))
+    return S.with_(S.CLOSED, *parts, f"each_ as ({each})") + 'select cast("round" as int) as "round", labels_changed from each_ x where not exists (select 1 from each_ y where y."round" < x."round" and y.labels_changed = 0)'
 
 
-@query("s21_iteration_log")
+@query("s21_iteration_log", _rounds_sql(8))
 def _(spark, sf):
     log: list[dict] = []
-    closure.components(as_edges(doc_near(doc_words(spark, sf))), "edge_min", log)
+    closure.components(as_edges(doc_near(spark, sf)), "edge_min", log)
     return spark.createDataFrame([(r["round"], r["labels_changed"]) for r in log], "round int, labels_changed long")
 
 

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+from neardup.config import DEFAULT
 from neardup.functions.text import WORD_CLASS
+from neardup.operators.terms import positions
 from neardup.sources.fixtures import BANNER, FLIPS
 
 
@@ -55,7 +57,19 @@ def terms(source: str, bits: int, width: int, name: str = "terms") -> str:
     return f"{name} as (select item_id, unnest([{each}]) as term from {source})"
 
 
-def cands(min_overlap: int = 2, name: str = "cand", of: str = "terms") -> str:
+def permuted_terms(source: str, bits: int, width: int, repeats: int, seed: int = 0, name: str = "terms") -> str:
+    """``terms(item_id, term)`` of the permuted layout."""
+    value = lambda at: " + ".join(f"(((words[{p // 32 + 1}] >> {p % 32}) & 1) << {j})" for j, p in enumerate(at))
+    each = ", ".join(f"{g << width} + {value(at)}" for g, at in enumerate(positions(bits, width, repeats, seed)))
+    return f"{name} as (select item_id, unnest([{each}]) as term from {source})"
+
+
+def search_terms(source: str = "sig", name: str = "terms") -> str:
+    """``terms(item_id, term)`` in the default layout, that of up to 4,096 items."""
+    return permuted_terms(source, DEFAULT.bits, DEFAULT.width, DEFAULT.repeats, DEFAULT.seed, name)
+
+
+def cands(min_overlap: int = 1, name: str = "cand", of: str = "terms") -> str:
     """``cand(a, b, overlap)``: pairs by shared terms."""
     return f"""{name} as (select x.item_id as a, y.item_id as b, count(*) as overlap from {of} x join {of} y on x.term = y.term and x.item_id < y.item_id
   group by x.item_id, y.item_id having count(*) >= {min_overlap})"""
@@ -74,32 +88,41 @@ reach_{name} as (select src as item, src as c from both_{name} union select e.ds
 {name} as (select item, min(c) as component from reach_{name} group by item)"""
 
 
-def mapping(ids: str = "select doc_id from documents", comp: str = "comp", name: str = "map") -> str:
-    """``map(item_id, head_id)``: closure clusters, everything else alone."""
-    return f"{name} as (select i.item_id, coalesce(c.component, i.item_id) as head_id from ({ids}) i(item_id) left join {comp} c on c.item = i.item_id)"
-
-
 def cut(comp: str, sig: str, max_distance: int, rounds: int, words: int, seed: int = 0, order: str = "seeded", name: str = "cut") -> str:
     """``cut(item_id, head_id, value)``: the greedy cut, a fixed number of rounds (enough for the components at hand)."""
-    by = f"md5('{seed}|' || cast(component as varchar) || '|' || cast(item_id as varchar))" if order == "seeded" else "item_id"
-    out = [f"{name}_p1 as (select c.item as item_id, c.component, s.words from {comp} c join {sig} s on s.item_id = c.item)"]
+    by = {"seeded": f"md5('{seed}|' || cast(component as varchar) || '|' || cast(item_id as varchar))", "lowest": "item_id", "engagement": "(-weight, item_id)"}[order]
+    more = ", weight" if order == "engagement" else ""
+    out = [f"{name}_p1 as (select c.item as item_id, c.component, s.words{more} from {comp} c join {sig} s on s.item_id = c.item)"]
     for r in range(1, rounds + 1):
         out.append(
             f"""{name}_h{r} as (select component, arg_min(item_id, {by}) as head_id, arg_min(words, {by}) as hw from {name}_p{r} group by component),
-{name}_j{r} as (select p.item_id, p.component, p.words, h.head_id, {ham('p.words', 'h.hw', words)} as value from {name}_p{r} p join {name}_h{r} h using (component)),
-{name}_p{r + 1} as (select item_id, component, words from {name}_j{r} where value > {max_distance})"""
+{name}_j{r} as (select p.*, h.head_id, {ham('p.words', 'h.hw', words)} as value from {name}_p{r} p join {name}_h{r} h using (component)),
+{name}_p{r + 1} as (select item_id, component, words{more} from {name}_j{r} where value > {max_distance})"""
         )
     done = " union all ".join(f"select item_id, head_id, value from {name}_j{r} where value <= {max_distance}" for r in range(1, rounds + 1))
     return ",\n".join([*out, f"{name} as ({done})"])
 
 
-#: The documents' near pairs, components and closure mapping at the default settings.
-DOCS = f"{signatures()},\n{terms('sig', 256, 8)},\n{cands()},\n{near()},\n{components()},\n{mapping()}"
-#: The documents' cut: heads, members and similarity.
-CUT = f"""{DOCS},
+def near_items(sig: str = "sig", max_distance: int = 64, name: str = "near") -> str:
+    """``near(a, b, overlap, distance)`` of a signature table with its ``terms``: equal bits are one item, its copies pairs of their own."""
+    return f"""rp as (select words, min(item_id) as item_id from {sig} group by words),
+rterms as (select * from terms where item_id in (select item_id from rp)),
+{cands(1, 'rcand', 'rterms')},
+{near('rp', max_distance, name='rnear', of='rcand')},
+{name} as (select a, b, overlap, distance from rnear union all
+  select r.item_id, s.item_id, {(DEFAULT.bits // DEFAULT.width) * (1 + DEFAULT.repeats)}, 0 from {sig} s join rp r on r.words = s.words where r.item_id <> s.item_id)"""
+
+
+#: The documents' signatures, terms and candidate pairs at the default settings.
+SEARCH = f"{signatures()},\n{search_terms()},\n{cands()}"
+#: Their near pairs and components.
+CLOSED = f"{SEARCH},\n{near_items()},\n{components()}"
+#: The documents' clusters, closure and cut: heads, members and similarity; ``map`` has the items that stand alone as well.
+CUT = f"""{CLOSED},
 {cut('comp', 'sig', 64, 6, 8)},
 full_map as (select item_id, head_id, 1 - value / 256.0 as score_to_head from cut union all
   select item_id, item_id, 1.0 from sig where item_id not in (select item_id from cut))"""
+DOCS = f"{CUT},\nmap as (select item_id, head_id from full_map)"
 
 EACH = "(select greatest(1, (select count(*) from events) // greatest(1, (select count(*) from documents))) as each_)"
 DAYS = f"""days as (select d.doc_id as item_id, e.ts as arrival, cast(date_diff('day', date '2024-01-01', cast(e.ts as date)) as bigint) as day
@@ -120,11 +143,11 @@ def drawn(*key: str) -> str:
 
 PLANT = f"""{vector_bits()},
 plant0 as (select v.item_id as origin_id, v.words, f.no, f.flips, ({drawn('v.item_id', 'f.flips')})[1:f.flips] as o
-  from vec v, (values {', '.join(f'({i}, {f})' for i, f in enumerate(FLIPS))}) f(no, flips) where v.item_id % 5 = 0),
+  from vec v, (values {', '.join(f'({i}, {f})' for i, f in enumerate(FLIPS))}) f(no, flips)),
 plant as (select 1000000 + origin_id * 10 + no as item_id, origin_id, flips, {_MASKED} as words from plant0)"""
 
 DRIFT = f"""{vector_bits()},
-drift0 as (select v.item_id as v, v.words, {drawn('v.item_id', "'drift'")} as d from vec v where v.item_id % 10 = 0),
+drift0 as (select v.item_id as v, v.words, {drawn('v.item_id', "'drift'")} as d from vec v),
 drift1 as (
   select v, words, 0 as no, 'head' as role, d[1:0] as o from drift0 union all select v, words, 1, 'member', d[1:6] from drift0
   union all select v, words, 2, 'member', d[7:12] from drift0 union all select v, words, 3, 'query', d[1:6] || d[13:18] from drift0
@@ -137,7 +160,7 @@ chain0 as (select x.words as words, list_filter(range(0, 64), lambda p: ((xor(x.
 chain1 as (select words, hop, d[1:hop * 4] as o from chain0, range(0, cast(ceil(len(d) / 4.0) as bigint) + 1) r(hop)),
 chain as (select hop as item_id, {_MASKED} as words from chain1)"""
 
-VARIANTS = f"""var0 as (select doc_id as origin_id, text, string_split(text, ' ') as w, len(string_split(text, ' ')) as n from documents where doc_id % 7 = 0),
+VARIANTS = f"""var0 as (select doc_id as origin_id, text, string_split(text, ' ') as w, len(string_split(text, ' ')) as n from documents),
 var1 as (select * from var0 where n >= 60),
 var2 as (
   select origin_id, 0 as no, 'crop' as kind, array_to_string(w[1:cast(floor(n * 0.8) as bigint)], ' ') as text from var1
@@ -152,9 +175,7 @@ TRUTH = """shn as (select item_id, count(*) as n from sh group by item_id),
 shc as (select x.item_id as a, y.item_id as b, count(*) as c from sh x join sh y on x.s = y.s and x.item_id < y.item_id group by x.item_id, y.item_id),
 truth as (select a, b, c / (p.n + q.n - c) as jaccard from shc join shn p on p.item_id = a join shn q on q.item_id = b where c / (p.n + q.n - c) >= 0.5)"""
 
-GOLD = f"""{signatures()},
-{terms('sig', 256, 8)},
-{cands()},
+GOLD = f"""{SEARCH},
 {TRUTH},
 {components('truth', 'tc')},
 wanted as (select cast(round(count(*) * 86 / 14.0) as bigint) as w from truth),
@@ -169,6 +190,14 @@ gold2 as (select *, case when list_sum(votes) >= 3 then 1 else 0 end as label fr
 gold3 as (select g.*, {h32("'s'", 'coalesce(p.component, a)')} % 2 as ha, {h32("'s'", 'coalesce(q.component, b)')} % 2 as hb from gold2 g left join tc p on p.item = a left join tc q on q.item = b),
 gold as (select a, b, truth, votes, label, case when ha <> hb then 'mixed' when ha = 0 then 'train' else 'test' end as split from gold3)"""
 
+#: Places of three-word runs, and of candidate pairs the votes for each offset.
+RUNS = f"""toks as (select doc_id as item_id, regexp_extract_all(lower(text), '{WORD_CLASS}') as t from documents),
+runs as (select item_id, unnest(range(0, greatest(len(t) - 2, 1))) as pos, t from toks),
+pts0 as (select item_id, pos, cast('0x' || substr(md5(array_to_string(t[pos + 1:pos + 3], ' ')), 1, 15) as bigint) as h from runs),
+pts as (select item_id, h, min(pos) as pos from pts0 group by item_id, h)"""
+VOTES = RUNS + """,
+votes as (select c.a, c.b, y.pos - x.pos as off, count(*) as v from cand c join pts x on x.item_id = c.a join pts y on y.item_id = c.b and y.h = x.h group by all)"""
+
 
 def with_(*parts: str) -> str:
     """A ``with recursive`` clause."""

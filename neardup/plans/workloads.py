@@ -6,7 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from neardup.functions import text as T
-from neardup.operators import apps, closure, heads, incremental, metrics, postings, scorers, search, signatures, training
+from neardup.operators import apps, augment, closure, heads, incremental, legacy, metrics, postings, scorers, search, signatures, training
 from neardup.operators import terms as terms_
 from neardup.plans import baselines as B
 from neardup.plans import core as C
@@ -28,23 +28,23 @@ def same_as(name: str, other: str):
 @query(
     "w01_new_vs_heads",
     S.with_(S.DOCS, S.DAYS, "hs as (select distinct m.head_id from map m join days d on d.item_id = m.head_id where d.day < (select max(day) from days))")
-    + "select q.item_id as query_id, h.head_id as index_id, count(*) as overlap from days q join terms x on x.item_id = q.item_id join terms y on y.term = x.term join hs h on h.head_id = y.item_id where q.day = (select max(day) from days) group by all having count(*) >= 2",
+    + "select q.item_id as query_id, h.head_id as index_id, count(*) as overlap from days q join terms x on x.item_id = q.item_id join terms y on y.term = x.term join hs h on h.head_id = y.item_id where q.day = (select max(day) from days) group by all",
 )
 def _(spark, sf):
     words = C.doc_words(spark, sf)
     days = X.arrivals(spark, sf)
     last = days.agg(F.max("day")).first()[0]
-    t = terms_.group_bits(words, 256, 8)
-    old = search.head_index(t, C.doc_mapping(spark, sf, words)).join(days.where(F.col("day") < last), "item_id", "left_semi")
-    return search.batch_search(t.join(days.where(F.col("day") == last), "item_id", "left_semi"), old, None, 2)
+    t = terms_.search_terms(words)
+    old = search.head_index(t, C.doc_mapping(spark, sf)).join(days.where(F.col("day") < last), "item_id", "left_semi")
+    return search.batch_search(t.join(days.where(F.col("day") == last), "item_id", "left_semi"), old, None)
 
 
 same_as("w02_search_vec", "v04_self_search")
 
 
-@query("w02_search_text", S.with_(S.signatures(), S.terms("sig", 256, 8), S.cands()) + "select a, b, overlap from cand")
+@query("w02_search_text", S.with_(S.SEARCH) + "select a, b, overlap from cand")
 def search_text(spark, sf):
-    return search.self_search(terms_.group_bits(C.doc_words(spark, sf), 256, 8), 2)
+    return search.self_search(terms_.search_terms(C.doc_words(spark, sf)))
 
 
 @query("w03_index_bytes", f"with {B.BAGS}, terms as (select item_id, term from bags), {C.GAPS} select postings, postings * 8 as raw_bytes, coded_bytes from bytes")
@@ -68,9 +68,9 @@ def codebook(words, size: int = 64):
 
 
 def gold_with_variants(spark, sf):
-    """The gold pairs and modified copies: each with its origin (positive) and with the next document (negative).
+    """The gold pairs and modified copies: each with its origin (positive) and with other documents (negative).
 
-    Pairs are ``(a, b, label, split)``; origins are split by hash. Also returns the texts of all items.
+    Pairs are ``(a, b, label, split)``; origins are split by hash. Also the texts of all items, and the side of each copy.
     """
     items = text_items(spark, sf).select("item_id", "text")
     v = written(X.text_variants(spark, sf))
@@ -82,38 +82,51 @@ def gold_with_variants(spark, sf):
     )
     gold = X.gold(spark, sf).select("a", "b", "label", "split")
     texts = written(items.unionByName(v.select("item_id", "text")))
-    return written(gold.unionByName(near).unionByName(far)), texts
+    return written(gold.unionByName(near).unionByName(far)), texts, written(v.select("item_id", side.alias("split")))
 
 
-def classifier_scores(spark, sf, epochs=24):
-    """Scores of the test half by each generation: ``name, a, b, label, score``.
+def training_sets(spark, sf, gold, texts, words, sides):
+    """The two training sets, neither with a judged label.
 
-    The base network learns from the earlier generation's labels of candidates (and random others); the
-    hard one also from modified copies that the earlier generation does not recognise.
+    ``base``: a share of the bootstrap labels of the documents' candidates, and random others as negatives. ``hard``: all
+    of these, and adversarial positives: among documents and the modified copies of the training side, queries that
+    the earlier generation takes through a member near the head though it refuses the head itself.
     """
-    from neardup.operators import legacy
-
-    gold, texts = gold_with_variants(spark, sf)
-    test = gold.where("split = 'test'").select("a", "b", "label")
-    words = written(signatures.text_bits(texts))
-    points = written(legacy.keypoints(texts))
-    features = written(legacy.pair_features(legacy.align(gold.select("a", "b"), points), legacy.global_descriptor(texts)))
-    plain = X.gold(spark, sf).select("a", "b")
-    tree = legacy.TreeScorer().fit(features, gold.where("split = 'train'").join(plain, ["a", "b"], "left_semi").select("a", "b", "label"))
     held = gold.where("split <> 'train'").select("a", "b")
     docs_ = words.where("item_id < 1000000")
     boot = C.bootstrap(spark, sf, docs_).join(held, ["a", "b"], "left_anti")
     n = max(1, docs_.count())
     other = docs_.select(F.col("item_id").alias("x"), ((F.col("item_id") * 104729 + 71) % n).alias("y")).where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-    boot = written(boot.unionByName(other.distinct().join(held, ["a", "b"], "left_anti").withColumn("label", F.lit(0))).dropDuplicates(["a", "b"]))
-    hard = gold.where("split = 'train'").select("a", "b", "label")
-    sets_ = {"base_deep": training.make_set("base", boot, share=0.3), "hard_deep": training.make_set("hard", boot, hard)}
+    boot = written(boot.unionByName(other.distinct().join(held, ["a", "b"], "left_anti").withColumn("label", F.lit(0))).groupBy("a", "b").agg(F.max("label").alias("label")))
+    own = written(words.join(sides.where("split <> 'train'"), "item_id", "left_anti"))
+    mapping = written(incremental.rebuild(own))
+    layout = C.DEFAULT.for_items(own.count())
+    cands = search.batch_search(terms_.search_terms(own, layout), terms_.search_terms(search.head_index(own, mapping), layout), None)
+    pairs = written(augment.expand(cands, mapping, 2))
+    scored = written(legacy.VoteScorer().score(pairs, texts, "query_id", "member_id"))
+    hard = training.adversarial_pairs(scored, augment.accept(scored, 0.6), 0.6).join(held, ["a", "b"], "left_anti")
+    return {"base_deep": training.make_set("base", boot, share=0.3), "hard_deep": training.make_set("hard", boot, hard)}
+
+
+def classifier_scores(spark, sf, epochs=24):
+    """Scores of the test half by each generation: ``name, a, b, label, score``."""
+    gold, texts, sides = gold_with_variants(spark, sf)
+    test = gold.where("split = 'test'").select("a", "b", "label")
+    words = written(signatures.text_bits(texts))
+    points = written(legacy.keypoints(texts))
+    plain = X.gold(spark, sf).where("split = 'train'").select("a", "b", "label")
+    asked = test.select("a", "b").union(plain.select("a", "b")).distinct()
+    features = written(legacy.pair_features(legacy.align(asked, points), legacy.global_descriptor(texts)))
+    tree = legacy.TreeScorer().fit(features, plain)
+    sets_of_words = written(texts.select("item_id", F.array_distinct(T.words()).alias("terms")))
     rows = {
-        "words": scorers.WordJaccard().score(test, codebook(texts.select("item_id", F.array_distinct(T.words()).alias("terms")))),
+        "words": scorers.WordJaccard().score(test, sets_of_words),
+        "words_of_1024": scorers.WordJaccard().score(test, codebook(sets_of_words, 1024)),
+        "words_of_64": scorers.WordJaccard().score(test, codebook(sets_of_words, 64)),
         "tree": tree.score_features(test, features),
         "distance": scorers.HammingScorer().score(test, words),
     }
-    for name, pairs in sets_.items():
+    for name, pairs in training_sets(spark, sf, gold, texts, words, sides).items():
         weights, _ = training.fit_mlp(written(pairs), words, epochs=epochs, local_steps=4)
         rows[name] = scorers.MlpScorer(weights).score(test, words)
     out = None
@@ -125,9 +138,10 @@ def classifier_scores(spark, sf, epochs=24):
 
 @query("w06_auc")
 def auc(spark, sf):
+    """Areas of every classifier: exact words as they are, and by codebooks that stand for quantised descriptors."""
     s = classifier_scores(spark, sf)
     out = None
-    for name in ("words", "tree", "distance", "base_deep", "hard_deep"):
+    for name in ("words", "words_of_1024", "words_of_64", "tree", "distance", "base_deep", "hard_deep"):
         one = s.where(F.col("name") == name)
         row = metrics.pr_auc(one).crossJoin(metrics.roc_auc(one)).select(F.lit(name).alias("name"), "pr_auc", "roc_auc")
         out = row if out is None else out.unionByName(row)
@@ -140,7 +154,7 @@ def _(spark, sf):
     words = C.doc_words(spark, sf)
     cands = written(B.candidates(words))
     base = written(training.make_set("base", C.bootstrap(spark, sf, words, cands), share=0.3))
-    weights, _ = training.fit_mlp(base, words, hidden=(64, 32, 16), epochs=5, local_steps=2)
+    weights, _ = training.fit_mlp(base, words, hidden=(128, 64, 32), epochs=8, local_steps=2)
     return scorers.MlpScorer(weights).score(cands, words)
 
 
@@ -166,19 +180,19 @@ def _(spark, sf):
 _CONV = "select conv_id * 100 + turn as item_id, text from conversations"
 
 
-@query("w07_conversations", S.with_(S.signatures(_CONV), S.terms("sig", 256, 8), S.cands(), S.near(), S.components()) + "select count(*) as items, count(distinct component) as clusters from comp")
+@query("w07_conversations", S.with_(S.signatures(_CONV), S.search_terms(), S.cands(), S.near_items(), S.components()) + "select count(*) as items, count(distinct component) as clusters from comp")
 def _(spark, sf):
     c = table(spark, sf, "conversations").select((F.col("conv_id") * 100 + F.col("turn")).alias("item_id"), "text")
-    return C.doc_components(written(signatures.text_bits(c))).agg(F.count("*").alias("items"), F.count_distinct("component").alias("clusters"))
+    return C.components_of(written(signatures.text_bits(c))).agg(F.count("*").alias("items"), F.count_distinct("component").alias("clusters"))
 
 
 _PAGE = "select page_id as item_id, regexp_replace(html, '<[^>]*>', ' ', 'g') as text from pages"
 
 
-@query("w07_pages", S.with_(S.signatures(_PAGE), S.terms("sig", 256, 8), S.cands(), S.near(), S.components()) + "select count(*) as items, count(distinct component) as clusters from comp")
+@query("w07_pages", S.with_(S.signatures(_PAGE), S.search_terms(), S.cands(), S.near_items(), S.components()) + "select count(*) as items, count(distinct component) as clusters from comp")
 def _(spark, sf):
     p = table(spark, sf, "pages").select(F.col("page_id").alias("item_id"), F.regexp_replace("html", "<[^>]*>", " ").alias("text"))
-    return C.doc_components(written(signatures.text_bits(p))).agg(F.count("*").alias("items"), F.count_distinct("component").alias("clusters"))
+    return C.components_of(written(signatures.text_bits(p))).agg(F.count("*").alias("items"), F.count_distinct("component").alias("clusters"))
 
 
 same_as("w08_sizes", "s10_size_distribution")
@@ -188,9 +202,10 @@ same_as("w10_one_day", "m23_apply_batch")
 
 @query("w10_thirty_days")
 def thirty_days(spark, sf):
+    """Thirty daily batches one after another, against one clustering of everything."""
     words = C.doc_words(spark, sf)
-    mapping, _ = incremental.run_days(words, X.arrivals(spark, sf).select("item_id", F.floor(F.col("day") / 5).alias("day")))
-    return metrics.pairwise(mapping, C.doc_mapping(spark, sf, words)).crossJoin(metrics.cluster_stats(mapping))
+    mapping, _ = incremental.run_days(words, X.arrivals(spark, sf).select("item_id", "day"))
+    return metrics.pairwise(mapping, C.doc_mapping(spark, sf)).crossJoin(metrics.cluster_stats(mapping))
 
 
 same_as("w11_generations", "b12_generation_ratios")
@@ -204,15 +219,18 @@ def copies(spark, sf):
 
 FEED = """first as (select r.*, m.head_id, row_number() over (partition by r.request, m.head_id order by r.rank, r.item_id) as n from {} r join map m using (item_id))
 select request, rank, item_id, head_id, row_number() over (partition by request order by rank, item_id) as place from first where n = 1"""
-KEYWORDS = ("the", "und", "les", "que", "thing")
-SEARCHED = f"""hits as (select k.word as request, t.item_id from (values {', '.join(f"('{w}')" for w in KEYWORDS)}) k(word) join tok t on list_contains(t.t, k.word)),
+SEARCHED = """wd as (select distinct item_id, unnest(t) as word from tok),
+k as (select word from wd group by word order by count(*) desc, word limit 50),
+hits as (select wd.word as request, wd.item_id from wd join k using (word)),
 iw as (select item_id, cast(sum(cast(round(weight * 100) as bigint)) as bigint) as w from bookmarks group by item_id),
 searched as (select request, item_id, row_number() over (partition by request order by coalesce(w, 0) desc, item_id) as rank from hits left join iw using (item_id))"""
 
 
 def searched(spark, sf):
-    d = text_items(spark, sf).select("item_id", F.array_distinct(T.words()).alias("w"))
-    hits = d.select("item_id", F.explode(F.array_intersect("w", F.array(*map(F.lit, KEYWORDS)))).alias("request"))
+    """Results of the fifty most frequent words as requests, ranked by engagement."""
+    d = written(text_items(spark, sf).select("item_id", F.explode(F.array_distinct(T.words())).alias("request")))
+    words = d.groupBy("request").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "request").limit(50)
+    hits = d.join(F.broadcast(words.select("request")), "request")
     weight = X.bookmarks(spark, sf).groupBy("item_id").agg(F.sum(F.round(F.col("weight") * 100).cast("long")).alias("weight"))
     rank = F.row_number().over(Window.partitionBy("request").orderBy(F.desc(F.coalesce("weight", F.lit(0))), "item_id"))
     return hits.join(weight, "item_id", "left").select("request", "item_id", rank.cast("long").alias("rank"))
@@ -323,23 +341,26 @@ same_as("w22_kinds", "v13_modification_kinds")
 same_as("w23_widths", "v01_width_sweep")
 
 
-@query("w24_stream_of_batches")
+@query("w24_stream_of_batches", S.with_(S.SEARCH) + "select item_id from sig")
 def stream_batches(spark, sf):
-    """Documents as a stream of six files in order of arrival; equal to the same batches applied one by one."""
-    days = X.arrivals(spark, sf).select("item_id", F.floor(F.col("day") / 5).alias("day"))
-    items = written(C.doc_words(spark, sf).join(days, "item_id"))
+    """The items of a mapping kept by a stream of one file a day, in order of arrival."""
+    return daily_stream(spark, sf).select("item_id")
+
+
+def daily_stream(spark, sf):
+    """The mapping after a stream of documents, one file a day; equal to the same batches applied one by one."""
+    items = written(C.doc_words(spark, sf).join(X.arrivals(spark, sf).select("item_id", "day"), "item_id"))
     path = scratch(spark)
-    for d in range(6):
+    for d in [r["day"] for r in items.select("day").distinct().orderBy("day").collect()]:  # a row a day
         items.where(F.col("day") == d).select("item_id", "words").coalesce(1).write.mode("append").parquet(path)
     store, bits = Snapshots(spark, scratch(spark)), Snapshots(spark, scratch(spark))
     stream.run_available(stream.files(spark, path, "item_id long, words array<long>"), stream.batch_writer(store, bits))
-    return store.read().select("item_id", "head_id")
+    return store.read()
 
 
-@query("m12_heads_by_day", None)
+@query("m12_heads_by_day", S.with_(S.DOCS, S.BOOKMARKS, S.DAYS, C.HEADS) + "select day, count(*) as clusters, count(*) filter (where head_id <> cluster) as by_engagement from heads join days on days.item_id = head_id group by day")
 def _(spark, sf):
-    mapping = C.doc_mapping(spark, sf)
-    days = X.arrivals(spark, sf).select("item_id", "day")
-    weight = X.bookmarks(spark, sf).groupBy("item_id").agg(F.sum("weight").alias("weight"))
-    content = table(spark, sf, "documents").select(F.col("doc_id").alias("item_id"), F.lit(1).alias("quality"), "n_chars")
-    return heads.elect(mapping.select("item_id", F.col("head_id").alias("cluster")), weight, content).join(days.withColumnRenamed("item_id", "head_id"), "head_id")
+    """How many clusters are headed by an item of each day, and how many heads are not the one that cut the cluster."""
+    days = X.arrivals(spark, sf).select(F.col("item_id").alias("head_id"), F.col("day").cast("long").alias("day"))
+    found = C.doc_heads(spark, sf, C.doc_mapping(spark, sf)).join(days, "head_id")
+    return found.groupBy("day").agg(F.count("*").alias("clusters"), F.count_if(F.col("head_id") != F.col("cluster")).alias("by_engagement"))

@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 from neardup.functions import text as T
 from neardup.operators import closure, search, signatures
-from neardup.operators.terms import group_bits
-from neardup.sources.lineage import written
+from neardup.operators.terms import search_terms
+from neardup.sources.lineage import kept, written
 from neardup.sources.tables import table, text_items, vector_items
 
 #: Flipped bits of the planted copies, and the words of the overlay: fixed values.
@@ -29,8 +29,8 @@ def vector_words(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def document_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Signatures of the documents: ``(item_id, words)``."""
-    return signatures.text_bits(text_items(spark, sf_dir))
+    """Signatures of the documents, a snapshot of the application: ``(item_id, words)``."""
+    return kept(spark, ("document_words",), [f"{sf_dir}/documents.parquet"], lambda: signatures.text_bits(text_items(spark, sf_dir)))
 
 
 def arrivals(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -79,8 +79,8 @@ def _drawn(*key) -> Column:
 
 
 def plant(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """``(item_id, origin_id, flips, words)``: copies of every fifth vector with 0 to 16 flipped bits."""
-    base = vector_words(spark, sf_dir).where("item_id % 5 = 0").select(F.col("item_id").alias("origin_id"), "words")
+    """``(item_id, origin_id, flips, words)``: copies of every vector with 0 to 16 flipped bits."""
+    base = vector_words(spark, sf_dir).select(F.col("item_id").alias("origin_id"), "words")
     rows = base.select("origin_id", "words", F.posexplode(F.array(*map(F.lit, FLIPS))).alias("no", "flips"))
     where = F.slice(_drawn(F.col("origin_id"), F.col("flips")), F.lit(1), F.col("flips"))
     return rows.select((F.lit(1_000_000) + F.col("origin_id") * 10 + F.col("no")).cast("long").alias("item_id"), "origin_id", "flips", _flipped("words", where).alias("words"))
@@ -88,7 +88,7 @@ def plant(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def drift(spark: SparkSession, sf_dir: str) -> DataFrame:
     """``(item_id, head_id, role, words)``: a head, two members 6 bits off it, two queries 6 more bits off a member."""
-    base = vector_words(spark, sf_dir).where("item_id % 10 = 0").select(F.col("item_id").alias("v"), "words", _drawn(F.col("item_id"), F.lit("drift")).alias("o"))
+    base = vector_words(spark, sf_dir).select(F.col("item_id").alias("v"), "words", _drawn(F.col("item_id"), F.lit("drift")).alias("o"))
     cut = lambda *spans: F.concat(*(F.slice("o", s, n) for s, n in spans))
     made = [
         ("head", F.slice("o", 1, 0)), ("member", cut((1, 6))), ("member", cut((7, 6))), ("query", cut((1, 6), (13, 6))), ("query", cut((7, 6), (19, 6))),
@@ -115,9 +115,9 @@ def chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def text_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """``(item_id, origin_id, kind, text)``: modified copies of every seventh document of 60 words or more."""
+    """``(item_id, origin_id, kind, text)``: modified copies of every document of 60 words or more."""
     w = F.col("w")
-    d = text_items(spark, sf_dir).where("item_id % 7 = 0").select(F.col("item_id").alias("origin_id"), "text", F.split("text", " ").alias("w"))
+    d = text_items(spark, sf_dir).select(F.col("item_id").alias("origin_id"), "text", F.split("text", " ").alias("w"))
     d = d.where(F.size("w") >= 60).withColumn("n", F.size("w"))
     part = lambda x: F.floor(F.col("n") * x).cast("int")
     with_no = F.transform(w, lambda x, i: F.struct(x.alias("x"), i.alias("i")))
@@ -151,8 +151,8 @@ def shingle_pairs(items: DataFrame, at_least: float = 0.5) -> DataFrame:
 def gold(spark: SparkSession, sf_dir: str) -> DataFrame:
     """``(a, b, truth, votes, label, split)``: 14 % near copies by shingles, 86 % others, five noisy votes each."""
     items = text_items(spark, sf_dir)
-    words = signatures.text_bits(items)
-    cands = written(search.self_search(group_bits(words, 256, 8), 2).select("a", "b"))
+    words = document_words(spark, sf_dir)
+    cands = written(search.self_search(search_terms(words)).select("a", "b"))
     true = written(shingle_pairs(items).select("a", "b"))
     n_docs, n_true = items.count(), true.count()
     wanted = round(n_true * 86 / 14)

@@ -9,11 +9,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The cluster's checkpoint folder; a folder of our own only where none is set (tests, one machine)."""
+    """The cluster's checkpoint folder; a folder of our own only where none is set on one machine."""
     sc = spark.sparkContext
     found = sc.getCheckpointDir()
     if found is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="neardup-"))
+        named = sc.getConf().get("spark.checkpoint.dir")
+        if named is None and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="neardup-"))
         found = sc.getCheckpointDir()
     return found
 
@@ -33,6 +36,35 @@ def written(df: DataFrame, *partition_by: str) -> DataFrame:
     return out
 
 
+_KEPT: dict[tuple, tuple[str, object]] = {}
+
+
+def _stamp(spark: SparkSession, path: str) -> tuple:
+    """What tells one state of an input from another: its path, bytes, files and time of change."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    if not fs.exists(where):
+        return (path,)
+    size = fs.getContentSummary(where)
+    return path, size.getLength(), size.getFileCount(), fs.getFileStatus(where).getModificationTime()
+
+
+def kept(spark: SparkSession, name: tuple, inputs: list[str], make) -> DataFrame:
+    """The snapshot ``name`` of ``inputs`` in the shared folder: written by the first that asks, read by the others of the application.
+
+    A changed input, or a cleared folder, makes a new one.
+    """
+    at = (spark.sparkContext.applicationId, name, tuple(_stamp(spark, i) for i in inputs))
+    if at in _KEPT and len(_stamp(spark, _KEPT[at][0])) > 1:
+        path, schema = _KEPT[at]
+    else:
+        df = written(make())
+        path, schema = _KEPT[at] = df._neardup_path, df.schema
+    out = spark.read.schema(schema).parquet(path)
+    out._neardup_path = None  # not to be dropped by one of its readers
+    return out
+
+
 def drop_written(df: DataFrame) -> None:
     """Deletes the files behind a ``written()`` table that nothing reads any more."""
     path = getattr(df, "_neardup_path", None)

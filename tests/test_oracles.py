@@ -8,9 +8,6 @@ import pytest
 
 from neardup.plans import QUERIES, SQL
 
-#: Slow at any size; the driver compares them too.
-SLOW = {"s01_pr_auc_words", "s02_roc_auc_words", "s03_at_threshold", "s18_agreement", "s19_balance", "w19_disagree", "w10_one_day", "v09_match_new", "w09_trend", "w08_sizes", "w12_lsh_recall", "w23_widths", "p01_dedupe_ranked", "p02_aggregate_metadata", "w16_graph", "w21_chain", "w22_kinds"}
-
 
 def plain(v):
     if isinstance(v, float):
@@ -28,7 +25,7 @@ def con(sf):
     return c
 
 
-@pytest.mark.parametrize("name", sorted(set(SQL) - SLOW))
+@pytest.mark.parametrize("name", sorted(SQL))
 def test_same_rows(spark, sf, con, name):
     df = QUERIES[name](spark, sf)
     cols = sorted(df.columns)
