@@ -286,17 +286,32 @@ def bootstrap(spark, sf, words, cands=None):
     return training.bootstrap_labels(cands, text_items(spark, sf).select("item_id", "text"), legacy.VoteScorer(), 0.6)
 
 
-def trained(spark, sf, hidden=(64, 32, 16), epochs=12):
-    """The network fitted to the bootstrap labels of the candidates: ``(scorer, labelled pairs, loss of each epoch)``."""
+def training_pairs(spark, sf):
+    """Candidates and as many pairs drawn from everything, all labelled by the earlier generation; a snapshot."""
+
+    def make():
+        words = doc_words(spark, sf)
+        n = max(1, words.count())
+        cands = search.self_search(terms_.search_terms(words)).select("a", "b")
+        k = max(1, cands.count() // n)
+        drawn = words.select(F.col("item_id").alias("x"), F.explode(F.sequence(F.lit(1), F.lit(k))).alias("k")).select("x", ((F.col("x") * 104729 + F.col("k") * 7919 + 71) % n).alias("y"))
+        drawn = drawn.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+        return bootstrap(spark, sf, words, written(cands.union(drawn).distinct()))
+
+    return of_documents(spark, sf, "training_pairs", make)
+
+
+def trained(spark, sf, hidden=(128, 64, 32), epochs=24):
+    """The network fitted to the earlier generation's labels: ``(scorer, labelled pairs, loss of each epoch)``."""
     words = doc_words(spark, sf)
-    pairs = of_documents(spark, sf, "bootstrap_labels", lambda: bootstrap(spark, sf, words))
+    pairs = training_pairs(spark, sf)
     weights, losses = training.fit_mlp(pairs, words, hidden=hidden, epochs=epochs, local_steps=2)
     return scorers.MlpScorer(weights), pairs, losses
 
 
 @query("m15_mlp_score")
 def _(spark, sf):
-    scorer, pairs, _ = trained(spark, sf, epochs=6)
+    scorer, pairs, _ = trained(spark, sf)
     return scorer.score(pairs.select("a", "b"), doc_words(spark, sf))
 
 
