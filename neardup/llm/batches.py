@@ -1,7 +1,8 @@
 """Functions over whole texts as Arrow functions that hold few of them at once.
 
-Spark hands a worker up to a batch of texts (bounded by rows and by bytes). Only ``SLICE`` of them at a time are
-turned into Python objects, with what is made of them, so a worker's memory follows the batch's bytes alone.
+Spark hands a worker a batch of texts, bounded by rows and by bytes in the session's settings; the JVM holds a batch and
+its serialised form at once. So a session that allows more than ``ROWS`` rows a batch is set to ``ROWS`` (a side effect:
+there is no such setting for a plan). In the worker only ``SLICE`` texts at a time are turned into Python objects.
 """
 
 from __future__ import annotations
@@ -9,10 +10,12 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DataType, _parse_datatype_string
 
-SLICE = 256
+SLICE, ROWS = 256, 1000
+_SETTING = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
 def by_row(make: Callable[[], Callable], returns: str, binary: bool = False):
@@ -20,6 +23,9 @@ def by_row(make: Callable[[], Callable], returns: str, binary: bool = False):
 
     A null counts as the empty text (``binary``: empty bytes). Structs are given as tuples in order of fields.
     """
+    conf = SparkSession.active().conf
+    if not 0 < int(conf.get(_SETTING)) <= ROWS:
+        conf.set(_SETTING, ROWS)
     kind = _arrow(_parse_datatype_string(returns))
     names = [f.name for f in kind] if pa.types.is_struct(kind) else None
     blank = b"" if binary else ""

@@ -42,8 +42,8 @@ from neardup.sources.lineage import drop_written, written
 
 #: Rows a block of a long list, rows of short lists a task holds, most fingerprints of a random list.
 BLOCK, TASK_ROWS, LIST = 4096, 65_536, 1024
-#: Pairs (of two ids and digests) that may be broadcast.
-FEW = 500_000
+#: Pairs (of two ids and digests) that may be broadcast, and partners of an entry that one task checks.
+FEW, PARTNERS = 500_000, 64
 #: Bits of a shingle set's sketch, documents of the sample that orders shingles, and the most shingles ordered by it.
 SKETCH, SAMPLE, COMMON = 512, 10_000, 100_000
 
@@ -320,24 +320,20 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, reps: DataFrame, shingle: int,
     """
     num, den = limit.numerator, limit.denominator
 
-    def set_of(text: bytes) -> tuple[bytes, bytes]:
+    def set_of(text: bytes) -> tuple[bytes, np.ndarray]:
         h = _distinct_shingles(text, shingle)
-        return _digest(h), h.tobytes()
+        return _digest(h), h.view(np.int64)
 
     # Marked so that the check of the digest is not moved below the join, where it would need the set of every text.
-    sets = by_row(lambda: set_of, "digest binary, shingles binary", binary=True).asNondeterministic()
-
-    @F.pandas_udf("boolean")
-    def similar(a: pd.Series, b: pd.Series) -> pd.Series:
-        def one(x: bytes, y: bytes) -> bool:
-            x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-            both = len(x) + len(y) - len(np.union1d(x, y))
-            return both * den >= (len(x) + len(y) - both) * num
-
-        return pd.Series([one(x, y) for x, y in zip(a, b, strict=True)], dtype=bool)
+    sets = by_row(lambda: set_of, "digest binary, shingles array<long>", binary=True).asNondeterministic()
+    # Decided in the JVM: pairs of large sets would fill large batches for Python.
+    both = F.size(F.array_intersect("sa", "sb"))
+    similar = both * den >= (F.size("sa") + F.size("sb") - both) * num
 
     digest = lambda c: reps.select(F.col("rep").alias(c), F.col("digest").alias(f"d{c}"))
-    pairs = written(pairs.join(digest("a"), "a").join(digest("b"), "b"))
+    # An entry with many partners is met by them in parts of about ``PARTNERS``.
+    parts = pairs.groupBy("a").agg(F.ceil(F.count("*") / PARTNERS).cast("int").alias("parts"))
+    pairs = written(pairs.join(parts, "a").join(digest("a"), "a").join(digest("b"), "b"))
     few = F.broadcast if pairs.count() <= FEW else lambda x: x
 
     def held(rows: DataFrame, c: str) -> DataFrame:
@@ -345,9 +341,10 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, reps: DataFrame, shingle: int,
         own = docs.join(few(rows), F.col("doc_id") == F.col(c)).select(*rows.columns, sets(F.col("text").cast("binary")).alias("s"))
         return own.where(F.col("s.digest") == F.col(f"d{c}")).withColumn(f"s{c}", F.col("s.shingles")).drop("s")
 
-    right = held(pairs, "b").select("a", "b", "sb")
-    left = held(pairs.select("a", "da").distinct(), "a").groupBy("a").agg(F.first("sa").alias("sa"))
-    edges = written(right.join(left, "a").where(similar("sa", "sb")).select(F.col("a").alias("src"), F.col("b").alias("dst")).distinct())
+    right = held(pairs, "b").select("a", "b", "sb", F.pmod(F.xxhash64("b", F.lit(13)), F.col("parts")).cast("int").alias("part"))
+    left = held(pairs.select("a", "da", "parts").distinct(), "a").groupBy("a", "parts").agg(F.first("sa").alias("sa"))
+    left = left.select("a", "sa", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"))
+    edges = written(right.join(left, ["a", "part"]).where(similar).select(F.col("a").alias("src"), F.col("b").alias("dst")).distinct())
     drop_written(pairs)
     return edges
 
