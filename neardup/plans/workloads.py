@@ -347,9 +347,13 @@ def stream_batches(spark, sf):
     return daily_stream(spark, sf).select("item_id")
 
 
-def daily_stream(spark, sf):
-    """The mapping after a stream of documents, one file a day; equal to the same batches applied one by one."""
-    items = written(C.doc_words(spark, sf).join(X.arrivals(spark, sf).select("item_id", "day"), "item_id"))
+def daily_stream(spark, sf, days=None):
+    """The mapping after a stream of documents, one file a day of ``days(item_id, day)`` (by default the day of arrival).
+
+    It equals the same batches applied one by one.
+    """
+    days = days if days is not None else X.arrivals(spark, sf).select("item_id", "day")
+    items = written(C.doc_words(spark, sf).join(days, "item_id"))
     path = scratch(spark)
     for d in [r["day"] for r in items.select("day").distinct().orderBy("day").collect()]:  # a row a day
         items.where(F.col("day") == d).select("item_id", "words").coalesce(1).write.mode("append").parquet(path)
