@@ -74,5 +74,16 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {f.__name__: f for f in own}
 
 
+#: All pairs of equal label; links and what they reach. Only for small tables.
+_OP1 = """with recursive v as (select row_number() over () as n, vec_id, label, embedding::double[] as e from embeddings
+  where label is not null and vec_id is not null and len(embedding) > 0 and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(embedding, lambda x: x <> 0)) > 0),
+links as (select x.n as a, y.n as b from v x join v y on x.label = y.label and x.n <> y.n and len(x.e) = len(y.e) and list_cosine_similarity(x.e, y.e) >= 0.93),
+reach as (select n as a, n as b from v union select r.a, l.b from reach r join links l on l.a = r.b),
+comp as (select r.a as n, min(v.vec_id) as component_id from reach r join v on v.n = r.b group by r.a),
+many as (select a as n, count(*) as k from links group by a)
+select v.vec_id, coalesce(k, 0) as n_links, component_id, v.vec_id = component_id as kept from v join comp using (n) left join many using (n)
+union all select e.vec_id, 0, e.vec_id, true from embeddings e where e.vec_id is null or not exists (select 1 from v where v.vec_id = e.vec_id)"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op1_embedding_dedup": _OP1}
