@@ -5,7 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from neardup.config import DEFAULT, Config
+from neardup.functions import bits as B
 from neardup.functions import text as T
+from neardup.operators.search import shared
+from neardup.operators.signatures import collapse_exact
+from neardup.operators.terms import exploded, search_terms
+from neardup.sources.lineage import written
 
 
 def with_head(df: DataFrame, mapping: DataFrame) -> DataFrame:
@@ -95,6 +101,37 @@ def copies_of(originals: DataFrame, corpus: DataFrame, anchor: int = 8) -> DataF
     return out.join(w.select("item_id", joined), "item_id").where(F.col("body").contains(F.col("full"))).select("original_id", "item_id").distinct()
 
 
+def edited_copies(originals: DataFrame, corpus: DataFrame, size: int = 12, step: int = 4, cfg: Config = DEFAULT, salts: int = 1) -> DataFrame:
+    """``(original_id, item_id, windows, share)``: items that hold passages near to those of an original, edited or in part.
+
+    Windows of ``size`` words, at every word of the originals (a word of an original is in up to ``size`` of them) and at
+    every ``step``-th of the corpus, are signed and searched by terms; a pair of windows is near within
+    ``cfg.design_distance`` bits. ``windows`` counts an original's near windows, ``share`` divides by all of its own. A
+    copied run of ``size + step - 1`` words holds a whole corpus window, so it is found where it has no edit; other near
+    windows are found with the layout's probability. Shorter originals are left to ``copies_of``. Equal signatures are one
+    entry on either side; windows without words are left out, and an original without words has no row.
+    """
+    sign = T.signature_udf(cfg.bits)
+
+    def windows(df: DataFrame, by: int) -> DataFrame:
+        runs = passages(df, size, by).where("text <> ''")
+        return written(runs.select(F.struct("item_id", "passage").alias("item_id"), sign("text").alias("words")))
+
+    left, right = windows(originals, 1), windows(corpus, step)
+    (a, of_a), (b, of_b) = ((written(d) for d in collapse_exact(side)) for side in (left, right))
+    cfg = cfg.for_items(b.count())
+    q, i = ((exploded(search_terms(side, cfg)).select(F.col("item_id").alias(name), "term")) for side, name in ((a, "query_id"), (b, "index_id")))
+    found = shared(q, i, "rows", salts).select("query_id", "index_id").distinct()
+    words = lambda side, name: side.select(F.col("item_id").alias(name), F.col("words").alias(f"__{name}"))
+    near = found.join(words(a, "query_id"), "query_id").join(words(b, "index_id"), "index_id")
+    near = near.where(B.hamming("__query_id", "__index_id") <= cfg.design_distance).select("query_id", "index_id")
+    spread = lambda of, name, out: of.select(F.col("rep_id").alias(name), F.col("item_id").alias(out))
+    near = near.join(spread(of_b, "index_id", "at"), "index_id").select("query_id", F.col("at.item_id").alias("item_id")).distinct()
+    hits = near.join(spread(of_a, "query_id", "of"), "query_id").groupBy(F.col("of.item_id").alias("original_id"), "item_id").agg(F.count("*").alias("windows"))
+    every = left.groupBy(F.col("item_id.item_id").alias("original_id")).agg(F.count("*").alias("n"))
+    return hits.join(every, "original_id").select("original_id", "item_id", "windows", F.round(F.col("windows") / F.col("n"), 6).alias("share"))
+
+
 def pool_labels(labels: DataFrame, mapping: DataFrame) -> DataFrame:
     """``item_id, pooled``: labels ``(item_id, label)`` replaced by the majority of the cluster; ties count as 1."""
     heads = with_head(labels, mapping)

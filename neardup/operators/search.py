@@ -13,7 +13,7 @@ from neardup.operators.signatures import collapse_exact
 from neardup.operators.terms import exploded, group_bits, search_terms
 
 
-def _shared(query: DataFrame, index: DataFrame, form: str, salts: int) -> DataFrame:
+def shared(query: DataFrame, index: DataFrame, form: str, salts: int) -> DataFrame:
     """``(query_id, index_id)`` once for each shared term."""
     if form == "lists":  # both sides as posting lists; the product of two lists is unfolded
         q = query.groupBy("term").agg(F.collect_list("query_id").alias("qs"))
@@ -43,7 +43,7 @@ def batch_search(
     """``(item_id, terms)`` on both sides to ``(query_id, index_id, overlap, rank)``; never an item with itself."""
     q = exploded(query).select(F.col("item_id").alias("query_id"), "term")
     i = exploded(index).select(F.col("item_id").alias("index_id"), "term")
-    pairs = _shared(q, i, form, salts).where("query_id <> index_id")
+    pairs = shared(q, i, form, salts).where("query_id <> index_id")
     counted = pairs.groupBy("query_id", "index_id").agg(F.count("*").alias("overlap")).where(F.col("overlap") >= min_overlap)
     return top(counted, k)
 
@@ -60,7 +60,7 @@ def self_search(items: DataFrame, min_overlap: int = 1, salts: int = 1) -> DataF
     rows = exploded(items)
     left = rows.select(F.col("item_id").alias("query_id"), "term")
     right = rows.select(F.col("item_id").alias("index_id"), "term")
-    pairs = _shared(left, right, "rows", salts).where("query_id < index_id")
+    pairs = shared(left, right, "rows", salts).where("query_id < index_id")
     counted = pairs.groupBy(F.col("query_id").alias("a"), F.col("index_id").alias("b")).agg(F.count("*").alias("overlap"))
     return counted.where(F.col("overlap") >= min_overlap)
 

@@ -151,7 +151,7 @@ def _(spark, sf):
 def _(spark, sf):
     t = C.vec_terms(spark, sf).withColumn("terms", F.concat("terms", F.array(F.lit(999999).cast("long"))))
     rows = terms_.exploded(t)
-    pairs = search._shared(rows.withColumnRenamed("item_id", "query_id"), rows.withColumnRenamed("item_id", "index_id"), "rows", 8)
+    pairs = search.shared(rows.withColumnRenamed("item_id", "query_id"), rows.withColumnRenamed("item_id", "index_id"), "rows", 8)
     return pairs.where("query_id <> index_id").groupBy((F.col("query_id") % 10).alias("bucket")).agg(F.count("*").alias("pairs"))
 
 

@@ -217,6 +217,12 @@ def copies(spark, sf):
     return M.copies(spark, sf)
 
 
+@query("w13_passages")
+def _(spark, sf):
+    originals = table(spark, sf, "benchmark").select("item_id", "text")
+    return apps.edited_copies(originals, X.text_items(spark, sf).select("item_id", "text"))
+
+
 FEED = """first as (select r.*, m.head_id, row_number() over (partition by r.request, m.head_id order by r.rank, r.item_id) as n from {} r join map m using (item_id))
 select request, rank, item_id, head_id, row_number() over (partition by request order by rank, item_id) as place from first where n = 1"""
 SEARCHED = """wd as (select distinct item_id, unnest(t) as word from tok),

@@ -249,6 +249,31 @@ def test_large_groups_of_copies_keep_their_places(spark):
     assert legacy.offset_votes(pairs, points).where("votes = 8 and `offset` = 0").count() == 79
 
 
+def test_edited_and_partial_copies_are_found(spark):
+    draw = np.random.default_rng(5)
+    text = lambda n: [f"w{v}" for v in draw.integers(0, 5000, n)]
+    originals = {i: text(80) for i in range(6)} | {6: [], 7: text(9)}
+    corpus = {100 + i: text(60) for i in range(20)} | {120: [], 121: None}
+    for i in range(3):  # one word in twenty is another
+        corpus[200 + i] = text(37) + [w if n % 20 else "changed" for n, w in enumerate(originals[i])] + text(21)
+    for i in range(3, 6):  # half of it
+        corpus[200 + i] = text(11 + i) + originals[i][:44] + text(50)
+    corpus[207] = originals[7]
+    corpus |= {300 + n: corpus[201] for n in range(60)}
+    frame = lambda d: spark.createDataFrame([(k, None if w is None else " ".join(w)) for k, w in d.items()], "item_id long, text string")
+    found = apps.edited_copies(frame(originals), frame(corpus))
+    want = {(i, 200 + i) for i in range(6)} | {(7, 207)} | {(1, 300 + n) for n in range(60)}
+    got = found.collect()
+    assert {(r["original_id"], r["item_id"]) for r in got} == want
+    assert all(0 < r["share"] <= 1 for r in got)
+    assert apps.edited_copies(frame(originals), frame(corpus).limit(0)).count() == 0
+
+
+def test_every_verbatim_copy_is_among_the_passages(spark, sf):
+    found = QUERIES["w13_passages"](spark, sf).select("original_id", "item_id")
+    assert QUERIES["w13_copies"](spark, sf).join(found, ["original_id", "item_id"], "left_anti").count() == 0
+
+
 def test_overlapping_bags_equal_brute_force(spark):
     draw = np.random.default_rng(3)
     bags = {i: set(draw.integers(0, 25, draw.integers(1, 14)).tolist()) for i in range(60)}
