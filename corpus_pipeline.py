@@ -21,8 +21,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of texts with a similarity of 0.8 or more over five-word shingles the smallest id stays."""
-    return simhash.deduplicate(docs, similarity=0.8, shingle=5)
+    """Of each group of texts the smallest id stays: linked are fingerprints of at most three differing bits, and texts with a similarity of 0.8 or more over five-word shingles."""
+    return simhash.drop_linked(docs, max_bits=3, similarity=0.8, shingle=5)
 
 
 def redact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -7,6 +7,7 @@ are kept and verified by their differing bits.
 
 * ``near_duplicates`` uses 64 majority bits of word-shingle hashes: two fingerprints that differ in at most
   ``max_bits`` bits agree in at least ``8 - max_bits`` bytes, so no link is missed.
+* ``linked_documents`` joins both kinds of links below; the pipeline takes it.
 * ``similar_documents`` finds texts by the exact similarity of their distinct word shingles, without
   fingerprints. In one common order of shingles (frequent ones last), two sets of similarity ``t`` share a
   shingle among their first ``n - ceil(t n) + 1``, whatever was edited, so lists of these miss no pair. Sizes
@@ -448,7 +449,26 @@ def deduplicate(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> D
 
     Rows that repeat a kept id stay, and so do rows without an id: nothing names them, so nothing stands for them.
     """
-    found = similar_documents(docs.select("doc_id", "text"), similarity, shingle)
+    return _kept(docs, similar_documents(docs.select("doc_id", "text"), similarity, shingle))
+
+
+def linked_documents(docs: DataFrame, max_bits: int = 3, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
+    """``doc_id, component_id`` over both kinds of links: fingerprints of at most ``max_bits`` differing bits, found by the
+    index of their bytes, and texts of at least the exact ``similarity``, which fingerprints may tell apart.
+    """
+    by_bits = written(near_duplicates(docs, max_bits).select("doc_id", "component_id"))
+    by_sets = written(similar_documents(docs, similarity, shingle))
+    edges = by_bits.union(by_sets).where("doc_id <> component_id").select(F.col("component_id").alias("src"), F.col("doc_id").alias("dst"))
+    found = components(edges).withColumnRenamed("component", "least")
+    return by_sets.join(found, F.col("doc_id") == F.col("item"), "left").select("doc_id", F.coalesce("least", "component_id").alias("component_id"))
+
+
+def drop_linked(docs: DataFrame, max_bits: int = 3, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
+    """``deduplicate`` over the components of ``linked_documents``."""
+    return _kept(docs, linked_documents(docs.select("doc_id", "text"), max_bits, similarity, shingle))
+
+
+def _kept(docs: DataFrame, found: DataFrame) -> DataFrame:
     keep = found.where("doc_id is null or doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
     return docs.join(keep, F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi")
 

@@ -43,3 +43,17 @@ def test_near_duplicates_go(spark, sf, docs_of):
     pairs = [(1, " ".join(text)), (2, " ".join(near)), (3, " ".join(text)), (4, " ".join(draw.choice(words, 200)))]
     stage = dict(corpus_pipeline.STAGES)["simhash"]
     assert sorted(r["doc_id"] for r in stage(spark, docs_of(pairs), sf).collect()) == [1, 4]
+
+
+def test_fingerprints_link_in_the_stage(spark, sf, docs_of):
+    """Texts alike in what they repeat: equal fingerprints, though most distinct shingles differ."""
+    from neardup.llm import simhash
+
+    text = {i: " ".join(["one two three four five six seven"] * 60 + [f"{i}w{j}" for j in range(12)]) for i in (1, 2)}
+    near = " ".join([f"x{j}" for j in range(80)])
+    chain = [(3, near), (4, near + " y"), (5, near)]
+    assert (simhash.simhash(text[1].encode()) ^ simhash.simhash(text[2].encode())).bit_count() <= 3
+    docs = docs_of([*text.items(), *chain, (None, near)])
+    stage = dict(corpus_pipeline.STAGES)["simhash"]
+    assert sorted(r["doc_id"] or 0 for r in stage(spark, docs, sf).collect()) == [0, 1, 3]
+    assert sorted(r["doc_id"] or 0 for r in simhash.deduplicate(docs).collect()) == [0, 1, 2, 3]
